@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
-from . import mixing, packing, sharding
+from . import fingerprint, line_rules, mixing, packing, sharding
 
 QUERIES = {
     "op1_cost_balanced_packing": packing.op1_cost_balanced_packing,
     "op4_prefix_sum_shards": sharding.op4_prefix_sum_shards,
     "op5_weighted_fair_mix": mixing.op5_weighted_fair_mix,
+    "op6_line_frequency_rules": line_rules.op6_line_frequency_rules,
+    "op10_canonical_digest": fingerprint.op10_canonical_digest,
 }
 
 ORACLES = {
     "op5_weighted_fair_mix": mixing.OP5_SQL,
+    "op6_line_frequency_rules": line_rules.OP6_SQL,
 }
