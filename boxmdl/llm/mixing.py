@@ -24,13 +24,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import documents, word_count
+from .common import documents, stored, word_count
 
 #: Weights of the sources in their order, repeated.
 WEIGHTS = (5, 2, 1)
 MAX_REPEAT = 3
 #: Rows aimed at in a digest bucket.
 BUCKET_ROWS = 20_000
+#: Sources (some 100 bytes each) up to which their plan is sent to every task.
+BROADCAST_SOURCES = 100_000
 
 
 def source_targets(sizes: DataFrame, weights=WEIGHTS, max_repeat: int = MAX_REPEAT) -> DataFrame:
@@ -67,8 +69,9 @@ def serve(docs: DataFrame, size: str, id_col: str = "doc_id", source_col: str =
     held = rows.groupBy("__null", "__src").agg(F.sum(size).alias("source_size"), F.count(F.lit(1)).alias("__rows"))
     targets = source_targets(held.select("__null", "__src", "source_size"), weights, max_repeat)
     share = held.select("__null", "__src", F.greatest(F.lit(1), F.ceil(F.col("__rows") / BUCKET_ROWS)).cast("long").alias("__buckets"))
-    plan = targets.join(share, ["__null", "__src"])
-    # A row per source: sources are few beside documents; Spark broadcasts them or not by their size.
+    plan = stored(targets.join(share, ["__null", "__src"]), "sources")
+    if plan.count() <= BROADCAST_SOURCES:  # beyond that, a join that Spark deals out by source
+        plan = F.broadcast(plan)
     rows = rows.join(plan, ["__null", "__src"]).withColumn("__bucket", F.expr("__mix div ((1152921504606846976 + __buckets - 1) div __buckets)"))
 
     bucket = ["__null", "__src", "__bucket"]
