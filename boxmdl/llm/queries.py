@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from . import fingerprint, line_rules, mixing, packing, sharding
+from . import fingerprint, langid, line_rules, mixing, packing, sharding, toxicity
 
 QUERIES = {
     "op1_cost_balanced_packing": packing.op1_cost_balanced_packing,
     "op4_prefix_sum_shards": sharding.op4_prefix_sum_shards,
     "op5_weighted_fair_mix": mixing.op5_weighted_fair_mix,
     "op6_line_frequency_rules": line_rules.op6_line_frequency_rules,
+    "op8_clause_grammar_toxicity": toxicity.op8_clause_grammar_toxicity,
+    "op9_kneser_ney_languages": langid.op9_kneser_ney_languages,
     "op10_canonical_digest": fingerprint.op10_canonical_digest,
 }
 
