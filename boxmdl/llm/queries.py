@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from . import fingerprint, langid, line_rules, mixing, packing, sharding, toxicity
+from . import fingerprint, html_text, langid, line_rules, mixing, neardup, packing, sharding, toxicity
 
 QUERIES = {
     "op1_cost_balanced_packing": packing.op1_cost_balanced_packing,
+    "op2_coordinate_join_neardup": neardup.op2_coordinate_join_neardup,
+    "op3_site_template_removal": html_text.op3_site_template_removal,
     "op4_prefix_sum_shards": sharding.op4_prefix_sum_shards,
     "op5_weighted_fair_mix": mixing.op5_weighted_fair_mix,
     "op6_line_frequency_rules": line_rules.op6_line_frequency_rules,
