@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import fingerprint, html_text, langid, line_rules, mixing, neardup, packing, sharding, toxicity
+from . import fingerprint, html_text, langid, line_rules, mixing, neardup, packing, sharding, suffix_dedup, toxicity
 
 QUERIES = {
     "op1_cost_balanced_packing": packing.op1_cost_balanced_packing,
@@ -11,6 +11,7 @@ QUERIES = {
     "op4_prefix_sum_shards": sharding.op4_prefix_sum_shards,
     "op5_weighted_fair_mix": mixing.op5_weighted_fair_mix,
     "op6_line_frequency_rules": line_rules.op6_line_frequency_rules,
+    "op7_induced_suffix_dedup": suffix_dedup.op7_induced_suffix_dedup,
     "op8_clause_grammar_toxicity": toxicity.op8_clause_grammar_toxicity,
     "op9_kneser_ney_languages": langid.op9_kneser_ney_languages,
     "op10_canonical_digest": fingerprint.op10_canonical_digest,
