@@ -7,16 +7,20 @@
     one posting say nothing.  A pair of at least `T` equal coordinates must
     meet in one of any K - T + 1 lists, so each document keeps the shortest of
     its lists (the prefix) and skips the long ones.
-3.  Postings are merged without writing out all pairs of a list: every list has
-    a few pivots, and each of its documents meets the pivots only.  Pairs with
+3.  Shingles that no other posted document has can be part of no intersection.
+    What is left of a document's set bounds its intersection with any other:
+    documents left with too little are taken off the lists, and pairs are
+    skipped where the bound of either rules out the similarity asked for.
+4.  Postings are merged without writing out all pairs of a list: every list has
+    two pivots, and each of its documents meets the pivots only.  Pairs with
     at least `T` equal coordinates are confirmed on the full shingle sets, and
     confirmed links join components.  Then the documents outside a list's
     largest component meet the members of other components, so a link between
     two documents can only be left out when they already are connected.
-4.  Components are labelled by alternating star contractions.
+5.  Components are labelled by alternating star contractions.
 
-With K = 64 and T = 30, a pair of similarity 0.75 is missed with a probability
-below 1e-6.
+With K = 64 and T = 31, a pair of similarity 0.75 is missed with a probability
+of about 1e-6.
 
 Edge cases: a null text, or one without words, has an empty set and is linked
 with nothing; with fewer words than a shingle the whole sequence is the one
@@ -40,11 +44,7 @@ from .fingerprint import BLOOM_PROBES, BLOOM_WORDS
 SHINGLE = 5
 PERCENT = 75
 K = 64
-T = 30
-PIVOTS = 3
-#: Pairs that one merge of lists may write out for each posting before more pivot rounds are tried first.
-PAIRS_A_POSTING = 2
-MAX_ROUNDS = 4
+T = 31
 
 _FOLD = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 _rng = np.random.default_rng(20240611)
@@ -182,6 +182,27 @@ def confirmed(pairs: DataFrame, reps: DataFrame, texts: DataFrame, threshold: in
     return likely.join(text("a"), "a").join(text("b"), "b").select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long")
 
 
+def shared_parts(texts: DataFrame, reps: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """``node``, ``n`` (set size) and ``e`` (shingles that another posted document has too) of the documents that may have a link."""
+
+    def run(batches):
+        shingler = Shingler()
+        for b in batches:
+            sets = [shingler(t) for t in b.column(1).to_pylist()]
+            nodes = np.repeat(b.column(0).to_numpy(zero_copy_only=False), [len(s) for s in sets])
+            flat = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
+            yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(flat.view(np.int64))], names=["node", "shingle"])
+
+    alone = texts.mapInArrow(run, "node long, shingle long").groupBy("shingle").agg(F.count(F.lit(1)).alias("c"), F.min("node").alias("node")).filter("c = 1").groupBy("node").agg(F.count(F.lit(1)).alias("own"))
+    sizes = reps.select("node", F.col("n_shingles").alias("n")).join(texts.select("node"), "node").join(alone, "node", "left")
+    return sizes.select("node", "n", (F.col("n") - F.coalesce("own", F.lit(0))).alias("e")).filter(100 * F.col("e") >= percent * F.col("n"))
+
+
+def _possible(x: str, y: str, percent: int):
+    """Whether the shared parts of two documents leave room for the similarity."""
+    return (100 + percent) * F.least(F.col(f"{x}e"), F.col(f"{y}e")) >= percent * (F.col(f"{x}n") + F.col(f"{y}n"))
+
+
 def components(edges: DataFrame) -> DataFrame:
     """``node``, ``root`` (the least node reachable) of every node in `edges` (``a``, ``b``), by large-star and small-star rounds."""
     now = stored(edges.filter("a != b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
@@ -189,71 +210,62 @@ def components(edges: DataFrame) -> DataFrame:
     while True:
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-        large = both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a != b").distinct()
+        large = both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a != b")
         least = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(least, "a").select(F.col("b"), "m").filter("b != m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(least.select("a", F.col("m").alias("b")))
+        small = large.join(least, "a").filter("b != m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(least.select("a", F.col("m").alias("b")))
         now = stored(small.distinct(), "edges")
         new = tuple(now.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")), F.lit(0))).first())
-        if new == state:
+        if new == state or not new[0]:
             break
         state = new
-    return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("root"))).distinct()
-
-
-def _labelled(postings: DataFrame, roots: DataFrame | None) -> DataFrame:
-    if roots is None:
-        return postings.withColumn("root", F.col("node"))
-    return postings.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
 
 
-def _with_pivots(labelled: DataFrame, turn: int) -> DataFrame:
-    """Pairs of each posting with the list's pivots of this turn."""
-    pivots = [F.min_by(F.struct("node", "root"), F.xxhash64("node", F.lit(PIVOTS * turn + k))).alias(f"p{k}") for k in range(PIVOTS)]
-    lists = labelled.groupBy("key").agg(*pivots)
-    met = labelled.join(lists, "key").select("node", "root", F.explode(F.array_distinct(F.array(*[f"p{k}" for k in range(PIVOTS)]))).alias("p"))
-    return met.filter("root != p.root").select(F.col("node").alias("a"), F.col("p.node").alias("b")).distinct()
+def _with_pivots(postings: DataFrame, percent: int) -> DataFrame:
+    """Pairs of each posting with its list's pivots: the document with the largest shared part, and one by hash."""
+    pivot = F.struct("node", "n", "e")
+    lists = postings.groupBy("key").agg(F.max_by(pivot, F.struct(F.col("e") / F.col("n"), F.xxhash64("node"))).alias("p0"), F.min_by(pivot, F.xxhash64("node", F.lit(1))).alias("p1"))
+    met = postings.join(lists, "key").select("node", "n", "e", F.explode(F.array("p0", "p1")).alias("p")).select("node", "n", "e", F.col("p.node").alias("p"), F.col("p.n").alias("pn"), F.col("p.e").alias("pe"))
+    return met.filter((F.col("node") != F.col("p")) & _possible("", "p", percent)).select(F.greatest("node", "p").alias("a"), F.least("node", "p").alias("b")).distinct()
 
 
-def _split(labelled: DataFrame) -> tuple[DataFrame, DataFrame, int]:
-    """Postings of lists with several components: those outside the list's largest, all of them, and the pairs they would make."""
+def _between_components(labelled: DataFrame, percent: int) -> DataFrame:
+    """Pairs of different components on a list: of the postings outside the list's largest component with all others."""
     held = labelled.groupBy("key", "root").count()
-    main = held.groupBy("key").agg(F.max_by("root", F.struct("count", "root")).alias("main"), F.sum("count").alias("n"), F.max("count").alias("most")).filter("n > most")
-    pairs = main.agg(F.sum((F.col("n") - F.col("most")) * F.col("n"))).first()[0] or 0
-    apart = labelled.join(main.select("key", "main"), "key")
-    return apart.filter("root != main"), apart, int(pairs)
+    main = held.groupBy("key").agg(F.max_by("root", F.struct("count", "root")).alias("main"), F.sum("count").alias("all"), F.max("count").alias("most")).filter("`all` > most").select("key", "main")
+    apart = labelled.join(main, "key")
+    x, y = (apart.select("key", *(F.col(c).alias(side + c) for c in ("node", "n", "e", "root", "main"))) for side in "xy")
+    meet = x.filter("xroot != xmain").join(y, "key").filter((F.col("xroot") != F.col("yroot")) & ((F.col("yroot") == F.col("ymain")) | (F.col("xnode") > F.col("ynode"))) & _possible("x", "y", percent))
+    return meet.select(F.greatest("xnode", "ynode").alias("a"), F.least("xnode", "ynode").alias("b")).distinct()
 
 
-def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, threshold: int = T) -> tuple[DataFrame, DataFrame]:
-    """The rows (``doc_id``, ``n_shingles``, ``node``: the representative of the row's class, null for an empty set) and the confirmed links between representatives."""
+def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, threshold: int = T) -> tuple[DataFrame, DataFrame | None]:
+    """The rows (``doc_id``, ``n_shingles``, ``node``: the representative of the row's class, null for an empty set) and ``node``, ``root`` of the linked representatives (None without links)."""
     rows = stored(signatures(docs, id_col, text_col), "signatures")
     full = rows.filter("n_shingles > 0")
-    classes = full.groupBy("set_digest").agg(F.min("row").alias("node"))
-    reps = stored(full.join(classes.select(F.col("node").alias("row")), "row", "left_semi").select(F.col("row").alias("node"), "doc_id", "set_digest", "sig"), "representatives")
+    classes = stored(full.groupBy("set_digest").agg(F.min("row").alias("node")), "classes")
+    reps = stored(full.join(classes.select(F.col("node").alias("row")), "row", "left_semi").select(F.col("row").alias("node"), "doc_id", "n_shingles", "set_digest", "sig"), "representatives")
     members = rows.select("row", "doc_id", "n_shingles", "set_digest").join(classes, "set_digest", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("node")).alias("node"))
-    postings = stored(prefix_postings(reps, threshold), "postings")
-    n = postings.count()
-    if not n:
-        return members, reps.select(F.col("node").alias("a"), F.col("node").alias("b")).limit(0)
-    texts = stored(candidate_texts(docs, reps, postings, id_col, text_col), "texts")
-    found, roots = None, None
-    for turn in range(MAX_ROUNDS):
-        new = stored(confirmed(_with_pivots(_labelled(postings, roots), turn), reps, texts, threshold, percent), "links")
-        found = new if found is None else found.unionByName(new)
-        roots = stored(components(found), "roots")
-        labelled = stored(_labelled(postings, roots), "labelled")
-        apart, everyone, pairs = _split(labelled)
-        if pairs <= PAIRS_A_POSTING * n:
-            break
-    rest = apart.alias("x").join(everyone.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("x.root") != F.col("y.root")))
-    rest = rest.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
-    return members, found.unionByName(stored(confirmed(rest, reps, texts, threshold, percent), "links"))
+    posted = stored(prefix_postings(reps, threshold), "postings")
+    if posted.isEmpty():
+        return members, None
+    texts = stored(candidate_texts(docs, reps, posted, id_col, text_col), "texts")
+    postings = stored(posted.join(shared_parts(texts, reps, percent), "node").select("key", "node", "n", "e"), "shared")
+    links = stored(confirmed(_with_pivots(postings, percent), reps, texts, threshold, percent), "links")
+    roots = components(links)
+    labelled = stored(postings.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "labelled")
+    more = stored(confirmed(_between_components(labelled, percent), reps, texts, threshold, percent), "links")
+    if not more.isEmpty():
+        roots = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more))
+    return members, roots
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT) -> DataFrame:
     """``doc_id``, ``n_shingles``, ``component_id`` (the least id in the component), ``kept``."""
-    members, links = link(docs, id_col, text_col, percent)
-    roots = components(links)
-    placed = members.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    members, roots = link(docs, id_col, text_col, percent)
+    placed = members.withColumn("root", F.col("node"))
+    if roots is not None:
+        placed = members.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = placed.filter("root is not null").groupBy("root").agg(F.min("doc_id").alias("component_id"))
     out = placed.join(least, "root", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
