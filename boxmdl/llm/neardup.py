@@ -123,12 +123,12 @@ def signatures(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def prefix_postings(reps: DataFrame, threshold: int = T) -> DataFrame:
-    """``key``, ``node``: each representative under the shortest lists it must share with any partner."""
+    """``key``, ``count`` (the list's length), ``node``: each representative under the shortest lists it must share with any partner."""
     posted = reps.select("node", F.posexplode("sig").alias("at", "value")).select("node", (F.shiftleft(F.col("at").cast("long"), 32) + (F.col("value").cast("long") + (1 << 31))).alias("key"))
     lists = posted.groupBy("key").count().filter("count > 1")
     shared = posted.join(lists, "key").groupBy("node").agg(F.array_sort(F.collect_list(F.struct("count", "key"))).alias("lists"))  # at most K entries a document
     kept = shared.filter(F.size("lists") >= threshold).select("node", F.explode(F.slice("lists", 1, F.size("lists") - threshold + 1)).alias("list"))
-    return kept.select("list.key", "node")
+    return kept.select("list.key", "list.count", "node")
 
 
 def _bloom(ids: DataFrame) -> np.ndarray:
@@ -233,9 +233,12 @@ def _between_components(labelled: DataFrame, percent: int) -> DataFrame:
     """Pairs of different components on a list: of the postings outside the list's largest component with all others."""
     held = labelled.groupBy("key", "root").count()
     main = held.groupBy("key").agg(F.max_by("root", F.struct("count", "root")).alias("main"), F.sum("count").alias("all"), F.max("count").alias("most")).filter("`all` > most").select("key", "main")
-    apart = labelled.join(main, "key")
-    x, y = (apart.select("key", *(F.col(c).alias(side + c) for c in ("node", "n", "e", "root", "main"))) for side in "xy")
-    meet = x.filter("xroot != xmain").join(y, "key").filter((F.col("xroot") != F.col("yroot")) & ((F.col("yroot") == F.col("ymain")) | (F.col("xnode") > F.col("ynode"))) & _possible("x", "y", percent))
+    # a document's lists in one order for all, shortest first: a pair is made in the first list that it shares, and only there
+    order = labelled.groupBy("node").agg(F.array_sort(F.collect_list(F.struct("count", "key"))).getField("key").alias("lists"))
+    apart = labelled.join(main, "key").join(order, "node")
+    x, y = (apart.select("key", *(F.col(c).alias(side + c) for c in ("node", "n", "e", "root", "main", "lists"))) for side in "xy")
+    possible = (F.col("xroot") != F.col("yroot")) & ((F.col("yroot") == F.col("ymain")) | (F.col("xnode") > F.col("ynode"))) & _possible("x", "y", percent)
+    meet = x.filter("xroot != xmain").join(y, "key").filter(possible & (F.get(F.array_intersect("xlists", "ylists"), 0) == F.col("key")))
     return meet.select(F.greatest("xnode", "ynode").alias("a"), F.least("xnode", "ynode").alias("b")).distinct()
 
 
@@ -250,7 +253,7 @@ def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percen
     if posted.isEmpty():
         return members, None
     texts = stored(candidate_texts(docs, reps, posted, id_col, text_col), "texts")
-    postings = stored(posted.join(shared_parts(texts, reps, percent), "node").select("key", "node", "n", "e"), "shared")
+    postings = stored(posted.join(shared_parts(texts, reps, percent), "node").select("key", "count", "node", "n", "e"), "shared")
     links = stored(confirmed(_with_pivots(postings, percent), reps, texts, threshold, percent), "links")
     roots = components(links)
     labelled = stored(postings.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "labelled")
