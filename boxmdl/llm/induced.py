@@ -79,7 +79,13 @@ def s_types(text: np.ndarray) -> np.ndarray:
 
 def _refine(rank: np.ndarray, who: np.ndarray, key: np.ndarray) -> None:
     """Order `who`, whole groups of equal rank, by `key` inside the groups; a rank is the number of smaller elements."""
-    order = np.lexsort((key, rank[who]))
+    old = rank[who]
+    if not len(old) or old[0] == old[-1] and (old == old[0]).all():
+        order = np.argsort(key)
+    elif key.dtype == np.int64:  # ranks: both fit one sort key
+        order = np.argsort(old * (len(rank) + 2) + key)
+    else:
+        order = np.lexsort((key, old))
     who, key = who[order], key[order]
     old = rank[who]
     place = np.arange(len(who))
@@ -129,18 +135,20 @@ def _rank_lms(text: np.ndarray, s_type: np.ndarray, lms: np.ndarray, depth: int)
 
 
 def _common(text: np.ndarray, a: np.ndarray, b: np.ndarray, depth: int) -> np.ndarray:
-    """Common prefixes of suffix pairs, by direct comparison up to the depth."""
-    out = np.zeros(len(a), np.int64)
+    """Common prefixes of pairs of different suffixes up to the depth, four symbols at a time."""
+    wide = np.concatenate([text, np.zeros(depth + 8, text.dtype)]).astype(np.uint64)
+    four = wide[:-3] << np.uint64(48) | wide[1:-2] << np.uint64(32) | wide[2:-1] << np.uint64(16) | wide[3:]
+    out = np.full(len(a), depth, np.int64)
     live = np.arange(len(a))
-    padded = np.concatenate([text, np.zeros(1, text.dtype)])
-    n = len(text)
-    for k in range(depth):
-        x, y = a[live] + k, b[live] + k
-        live = live[(x < n) & (y < n) & (padded[np.minimum(x, n)] == padded[np.minimum(y, n)])]
+    for k in range(0, depth, 4):
+        apart = four[a[live] + k] ^ four[b[live] + k]
+        ended = apart != 0
+        x = apart[ended]
+        out[live[ended]] = k + (x < 1 << 48).astype(np.int64) + (x < 1 << 32) + (x < 1 << 16)
+        live = live[~ended]
         if not len(live):
             break
-        out[live] += 1
-    return out.astype(np.uint8)
+    return np.minimum(out, depth).astype(np.uint8)
 
 
 def _run_lengths(text: np.ndarray, pos: np.ndarray, depth: int) -> np.ndarray:

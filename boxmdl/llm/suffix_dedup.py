@@ -40,9 +40,9 @@ from .induced import repeated_starts
 
 LENGTH = 200
 GRAM = 48
-#: Words of 64 bits in each Bloom filter (8 MB).
-BLOOM_WORDS = 1 << 20
-BATCH_BYTES = 2 << 20
+#: Words of 64 bits in each Bloom filter (2 MB).
+BLOOM_WORDS = 1 << 18
+BATCH_BYTES = 4 << 20
 #: Bytes of a document worked on at once (places in it take 24 bits of a sort key).
 CHUNK = 1 << 22
 #: Segments whose bytes a task remembers to have sent.
