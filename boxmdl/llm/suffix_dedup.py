@@ -213,7 +213,7 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     unlike = found.filter("bytes is not null").select("anchor", "segment", "bytes").dropDuplicates(["anchor", "segment"]).join(again.filter("mixed").select("anchor"), "anchor")
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     shards = unlike.repartition(parts, "anchor").sortWithinPartitions("anchor").select("anchor", "segment", "bytes").mapInArrow(sort_shard, "anchor long, segment long, starts array<struct<lo:long,hi:long>>")
-    verdicts = kinds.join(shards, ["anchor", "segment"], "left").filter("n > 1 or starts is not null")
+    verdicts = stored(kinds.join(shards, ["anchor", "segment"], "left").filter("n > 1 or starts is not null"), "verdicts")
 
     alike = places.filter("not mixed").select("__id", "__text", "lo", "hi")
     judged = places.filter("mixed").select("__id", "__text", "lo", "hi", "anchor", "segment").join(verdicts, ["anchor", "segment"])
