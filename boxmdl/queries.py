@@ -1,10 +1,472 @@
-"""Registered mining queries and their SQL oracles."""
+"""Registered mining queries and their SQL oracles.
+
+Integer results are exact; real ones are rounded to six places in both engines.
+"""
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from . import oracles as O
+from . import streaming
+from .functions import codes
+from .operators import baselines, boxes, candidates, cells, grid, matching, measures, miner, model, neighbors, prune
+from .operators.baselines import itemset, sampling
+from .session import fixed
+from .sources import workloads as W
+
 QUERIES: dict = {}
-ORACLES: dict = {}
+ORACLES: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):
+    def add(f):
+        QUERIES[name] = f
+        if sql:
+            ORACLES[name] = sql
+        return f
+
+    return add
+
+
+def rounded(df: DataFrame, places: int = 6) -> DataFrame:
+    return df.select(*[F.round(c, places).alias(c) if t == "double" else F.col(c) for c, t in df.dtypes])
+
+
+def setup(spark, sf, w, bins):
+    df = W.load(spark, sf, w)
+    g = grid.equal_width(df, W.attrs(w), bins)
+    return df, g
+
+
+def cell_table(spark, sf, w, bins):
+    df, g = setup(spark, sf, w, bins)
+    return fixed(cells.elementary(cells.discretise(df, g))), g
+
+
+def flat(df: DataFrame, k: int, **renamed: str) -> DataFrame:
+    """Array columns as numbered columns."""
+    out = [c for c in df.columns if c not in renamed]
+    return df.select(*out, *[F.element_at(c, i + 1).alias(f"{p}{i}") for c, p in renamed.items() for i in range(k)])
+
+
+def label_hulls(spark, sf, w, bins):
+    """Hulls of the labels as a pattern set: ``pid, label, lo, hi, usage, log_size``, the cells and the grid."""
+    df, g = setup(spark, sf, w, bins)
+    disc = cells.discretise(df, g, ["label"])
+    from pyspark.sql import Window
+
+    hulls = cells.hull_cells(disc, "label").withColumn("pid", F.row_number().over(Window.orderBy("label")).cast("long"))  # a row for each label
+    return boxes.with_log_size(hulls), cells.elementary(disc), disc, g
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Boxes of `part` on a fine grid, in real bounds."""
+    found = miner.mine(W.load(spark, sf_dir, "W4"), W.attrs("W4"), "sqrt", k=8)
+    return cells.to_real(found.boxes, found.grid)
+
+
+# Grids, indices, cells
+
+for _w, _b in (("W1", 5), ("W2", "sqrt"), ("W3", "sqrt"), ("W4", 5), ("W5", 5), ("W6", 5), ("W7", 5)):
+
+    @query(f"grid_equal_width_{_w.lower()}", O.equal_width(_w, _b))
+    def _(spark, sf, w=_w, b=_b):
+        return grid.to_frame(spark, setup(spark, sf, w, b)[1]).drop("cuts")
+
+
+@query("grid_equal_height_w3", O.equal_height("W3", 8))
+def _(spark, sf):
+    g = grid.equal_height(W.load(spark, sf, "W3"), W.attrs("W3"), 8, exact=True)
+    return grid.to_frame(spark, g).select("attr", F.posexplode("cuts").alias("cut", "value")).select("attr", (F.col("cut") + 1).alias("cut"), F.round("value", 6).alias("value"))
+
+
+@query("grid_equal_height_approx_w6")
+def _(spark, sf):
+    return grid.to_frame(spark, grid.equal_height(W.load(spark, sf, "W6"), W.attrs("W6"), 8))
+
+
+@query("grid_mdl_1d_w6")
+def _(spark, sf):
+    return grid.to_frame(spark, grid.mdl_1d(W.load(spark, sf, "W6"), W.attrs("W6")))
+
+
+@query("grid_interaction_preserving_w7")
+def _(spark, sf):
+    return grid.to_frame(spark, grid.interaction_preserving(W.load(spark, sf, "W7"), W.attrs("W7")))
+
+
+@query("grid_user_cuts_w4", "SELECT obj_id, (p_size >= 10)::INT + (p_size >= 30)::INT AS b_0, (p_retailprice >= 950)::INT AS b_1 FROM (SELECT p_partkey AS obj_id, p_size, p_retailprice FROM part)")
+def _(spark, sf):
+    df = W.load(spark, sf, "W4")
+    return cells.discretise(df, grid.from_cuts(df, {"p_size": [10, 30], "p_retailprice": [950]}), ["obj_id"])
+
+
+for _w, _b in (("W4", 5), ("W4", "sqrt"), ("W6", 5), ("W3", "sqrt")):
+
+    @query(f"discretise_{_w.lower()}_{_b}", f"WITH {O.disc(_w, _b)} SELECT obj_id, {O.names(_w)} FROM d")
+    def _(spark, sf, w=_w, b=_b):
+        df, g = setup(spark, sf, w, b)
+        return cells.discretise(df, g, ["obj_id"])
+
+
+for _w in ("W1", "W2", "W3", "W4", "W5", "W6", "W7", "W9", "W10", "W12"):
+    for _b in (5, "sqrt"):
+
+        @query(f"cells_{_w.lower()}_{_b}", O.cell_rows(_w, _b))
+        def _(spark, sf, w=_w, b=_b):
+            c, g = cell_table(spark, sf, w, b)
+            return flat(c.drop("hi"), len(g.axes), lo="b_")
+
+
+_DESCRIBED = [(w, b) for w in ("W1", "W2", "W3", "W4", "W5", "W6", "W7", "W9", "W10", "W12") for b in (5, "sqrt")]
+
+
+@query("describe_workloads", O.describe(_DESCRIBED))
+def _(spark, sf):
+    out = None
+    for w, b in _DESCRIBED:
+        df, g = setup(spark, sf, w, b)
+        one = measures.describe(df, W.attrs(w), g, "label").select(F.lit(w).alias("workload"), F.lit(str(b)).alias("bins"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+for _w in ("W1", "W7"):
+
+    @query(f"hull_by_label_{_w.lower()}", O.hull_real(_w))
+    def _(spark, sf, w=_w):
+        return flat(cells.hull(W.load(spark, sf, w), W.attrs(w), "label"), len(W.attrs(w)), lo="lo_", hi="hi_")
+
+
+# Codes and lengths
+
+
+@query("lnat_bits", f"SELECT i AS n, round({O.lnat('i')}, 6) AS bits FROM (SELECT unnest(range(1, 100001)) AS i)")
+def _(spark, sf):
+    return spark.range(1, 100_001).select(F.col("id").alias("n"), F.round(codes.universal_int_bits_col(F.col("id")), 6).alias("bits"))
+
+
+@query("lgamma_bits", f"SELECT i AS n, round({O.lg('i + 0.5')}, 5) AS bits FROM (SELECT unnest(range(0, 300)) AS i)")
+def _(spark, sf):
+    return spark.range(300).select(F.col("id").alias("n"), F.round(codes.lgamma_bits_col(F.col("id") + F.lit(0.5)), 5).alias("bits"))
+
+
+for _w, _b in (("W1", 5), ("W2", "sqrt"), ("W3", "sqrt"), ("W4", 5), ("W4", "sqrt"), ("W5", 5), ("W6", "sqrt"), ("W7", 5), ("W9", "sqrt")):
+    for _e in ("plugin", "shannon"):
+
+        @query(f"length_cells_{_w.lower()}_{_b}_{_e}", O.length(_w, _b, "c", _e))
+        def _(spark, sf, w=_w, b=_b, e=_e):
+            c, g = cell_table(spark, sf, w, b)
+            return rounded(model.total_bits(miner.starting_boxes(c), g, encoding=e))
+
+
+for _w, _b in (("W7", 5), ("W6", 5), ("W1", 5)):
+
+    @query(f"length_hulls_{_w.lower()}", O.length(_w, _b, "h"))
+    def _(spark, sf, w=_w, b=_b):
+        hulls, _c, _d, g = label_hulls(spark, sf, w, b)
+        return rounded(model.total_bits(hulls, g))
+
+
+@query("uniform_code_w4", f"WITH {O.cells('W4', 5)} SELECT sum(usage)::BIGINT AS n, count(*) AS k, round(sum(usage) * log2(count(*)), 6) AS bits FROM c")
+def _(spark, sf):
+    c, _g = cell_table(spark, sf, "W4", 5)
+    t = c.agg(F.sum("usage").alias("n"), F.count(F.lit(1)).alias("k"))
+    return t.select("n", "k", F.round(F.col("n") * F.log2(F.col("k").cast("double")), 6).alias("bits"))
+
+
+@query("plugin_steps_w6", O.plugin_steps("W6", 5))
+def _(spark, sf):
+    df, g = setup(spark, sf, "W6", 5)
+    c, _g = cell_table(spark, sf, "W6", 5)
+    spot = F.array(*[f"b_{i}" for i in range(3)])
+    seq = cells.discretise(df, g, ["obj_id", "ts"]).select("obj_id", "ts", spot.alias("lo")).join(c.select("lo", "cell_id"), "lo")
+    steps = codes.plugin_step_bits(seq, "cell_id", ["ts", "obj_id"], c.count())
+    return steps.groupBy("cell_id").agg(F.count(F.lit(1)).alias("uses"), F.round(F.sum("bits"), 5).alias("bits"))
+
+
+# Neighbours, candidates, gains
+
+for _w, _b, _k, _m in (("W4", 5, 5, "broadcast"), ("W5", 5, 5, "broadcast"), ("W6", 5, 3, "broadcast"), ("W4", "sqrt", 3, "tiled"), ("W6", 5, 3, "tiled")):
+
+    @query(f"knn_{_w.lower()}_{_b}_k{_k}_{_m}", O.knn_rows(_w, _b, _k))
+    def _(spark, sf, w=_w, b=_b, k=_k, m=_m):
+        c, g = cell_table(spark, sf, w, b)
+        return neighbors.knn(c, k, len(g.axes), m, reach=max(a.n_bins for a in g.axes))
+
+
+@query("knn_w8_projected")
+def _(spark, sf):
+    """Approximate neighbours in 64 attributes."""
+    c, g = cell_table(spark, sf, "W8", 5)
+    return neighbors.knn(c, 5, len(g.axes), "projected")
+
+
+@query("candidates_w4_k1", O.edge_rows("W4", 5, 1))
+def _(spark, sf):
+    c, g = cell_table(spark, sf, "W4", 5)
+    return neighbors.edges(neighbors.knn(c, 1, len(g.axes)))
+
+
+@query("candidates_w4_every_pair", f"WITH {O.cells('W4', 5)} SELECT x.cell_id AS a, y.cell_id AS b FROM c x JOIN c y ON x.cell_id < y.cell_id")
+def _(spark, sf):
+    return neighbors.every_pair(cell_table(spark, sf, "W4", 5)[0])
+
+
+@query("pair_weight_w4", O.pair_weights("W4", 5, 5))
+def _(spark, sf):
+    c, g = cell_table(spark, sf, "W4", 5)
+    pairs = neighbors.edges(neighbors.knn(c, 5, len(g.axes)))
+    return rounded(candidates.weighted(pairs, miner.starting_boxes(c), codes.EPS).select("a", "b", "w"))
+
+
+@query("first_round_best_w4", O.pair_weights("W4", 5, 5, 20))
+def _(spark, sf):
+    c, g = cell_table(spark, sf, "W4", 5)
+    pairs = neighbors.edges(neighbors.knn(c, 5, len(g.axes)))
+    t = c.agg(F.count(F.lit(1)).alias("k"), F.sum("usage").alias("n")).first()
+    gains = candidates.weighted(pairs, miner.starting_boxes(c), codes.EPS).withColumn("gain", F.col("w") + F.lit(model.kappa(t.k, t.n, g)))
+    return gains.orderBy(F.desc(F.round("w", 9)), "a", "b").limit(20).select("a", "b", F.round("gain", 6).alias("gain"))
+
+
+@query("matching_round_w3_sqrt")
+def _(spark, sf):
+    """The first round's accepted merges on a fine grid, found by distributed matching."""
+    c, g = cell_table(spark, sf, "W3", "sqrt")
+    t = c.agg(F.count(F.lit(1)).alias("k"), F.sum("usage").alias("n")).first()
+    pairs = neighbors.edges(neighbors.knn(c, 4, 2, "tiled", t.k, max(a.n_bins for a in g.axes)))
+    weighted = candidates.weighted(pairs, miner.starting_boxes(c), codes.EPS).select("a", "b", "w")
+    return rounded(matching.accepted(matching.greedy_matching(weighted), t.k, t.n, g, codes.EPS, "plugin", "refreshed", t.k + 1))
+
+
+@query("prune_candidates_hulls_w7", O.prune_candidates("W7", 5, 1000))
+def _(spark, sf):
+    hulls, c, _d, g = label_hulls(spark, sf, "W7", 5)
+    t = hulls.agg(F.count(F.lit(1)).alias("k"), F.sum("usage").alias("n")).first()
+    return rounded(prune.candidates(hulls, g, t.n, t.k))
+
+
+# Measures on the label hulls
+
+for _w in ("W7", "W6"):
+
+    @query(f"support_hulls_{_w.lower()}", O.support(_w, 5))
+    def _(spark, sf, w=_w):
+        hulls, c, _d, _g = label_hulls(spark, sf, w, 5)
+        return measures.support(hulls, c)
+
+    @query(f"jaccard_all_hulls_{_w.lower()}", O.jaccard_all(_w, 5))
+    def _(spark, sf, w=_w):
+        hulls, c, _d, _g = label_hulls(spark, sf, w, 5)
+        return rounded(measures.jaccard_all(hulls, c))
+
+    @query(f"jaccard_top3_hulls_{_w.lower()}", O.jaccard_topk(_w, 5, 3))
+    def _(spark, sf, w=_w):
+        hulls, c, _d, _g = label_hulls(spark, sf, w, 5)
+        return rounded(measures.jaccard_topk(hulls, c, 3))
+
+    @query(f"accuracy_hulls_{_w.lower()}", O.accuracy(_w, 5))
+    def _(spark, sf, w=_w):
+        hulls, _c, disc, _g = label_hulls(spark, sf, w, 5)
+        return rounded(measures.accuracy(hulls, disc, "label"))
+
+
+# Planted layouts
+
+for _y in W.LAYOUTS:
+
+    @query(f"layout_{_y.lower()}", O.layout_rows(_y, 200))
+    def _(spark, sf, y=_y):
+        return rounded(W.layout(spark, sf, y, 200), 9)
+
+    @query(f"planted_jcd_{_y.lower()}", O.planted_jcd(_y, 200))
+    def _(spark, sf, y=_y):
+        found = cells.hull(W.layout(spark, sf, y, 200), ["x", "y"], "tid").select(F.col("tid").alias("pid"), F.col("lo").alias("rlo"), F.col("hi").alias("rhi"))
+        known = W.truth(spark, y)
+        ours = measures.jcd(found, known).select(F.lit("computed").alias("side"), "*")
+        return rounded(ours.unionByName(measures.jcd(known, found, "tid", "pid").select(F.lit("truth").alias("side"), "*")))
+
+    @query(f"planted_overlap_{_y.lower()}", O.planted_overlap(_y, 200))
+    def _(spark, sf, y=_y):
+        found = cells.hull(W.layout(spark, sf, y, 200), ["x", "y"], "tid").select(F.col("tid").alias("pid"), F.col("lo").alias("rlo"), F.col("hi").alias("rhi"))
+        return rounded(measures.box_jaccard_mean(found))
+
+
+# Baselines
+
+
+@query("binarise_w4", O.binarise_rows("W4", 5))
+def _(spark, sf):
+    df, g = setup(spark, sf, "W4", 5)
+    return flat(itemset.binarise(cells.discretise(df, g, ["obj_id"]), g, ["obj_id"]), 2, items="item_")
+
+
+@query("item_support_w4", O.item_support("W4", 5))
+def _(spark, sf):
+    df, g = setup(spark, sf, "W4", 5)
+    return itemset.item_support(itemset.binarise(cells.discretise(df, g), g))
+
+
+@query("item_pair_support_w7", O.pair_support("W7", 5))
+def _(spark, sf):
+    df, g = setup(spark, sf, "W7", 5)
+    return itemset.pair_support(itemset.binarise(cells.discretise(df, g), g))
+
+
+@query("itemset_baseline_w7")
+def _(spark, sf):
+    c, g = cell_table(spark, sf, "W7", 5)
+    return itemset.to_boxes(spark, itemset.mine(c, g, max_iter=40), g)
+
+
+@query("sampling_baseline_w7")
+def _(spark, sf):
+    return sampling.mine(W.load(spark, sf, "W7"), W.attrs("W7"), 0.25, thoroughness=64).boxes
+
+
+@query("sample_w3", "SELECT greatest(2, floor(sqrt(count(*))))::BIGINT AS rows FROM orders")
+def _(spark, sf):
+    df = W.load(spark, sf, "W3")
+    return sampling.sample_rows(df, W.attrs("W3"), sampling.size_of("sqrt", df.count()), id_col="obj_id").agg(F.count(F.lit(1)).alias("rows"))
+
+
+@query("single_box_w4", f"WITH {O.cells('W4', 5)} SELECT 1::BIGINT AS pid, min(b_0) AS lo_0, min(b_1) AS lo_1, max(b_0) AS hi_0, max(b_1) AS hi_1, sum(usage)::BIGINT AS usage FROM c")
+def _(spark, sf):
+    return flat(baselines.single_box(cell_table(spark, sf, "W4", 5)[0]).drop("log_size"), 2, lo="lo_", hi="hi_")
+
+
+@query("cluster_boxes_w7")
+def _(spark, sf):
+    return flat(baselines.cluster_boxes(W.load(spark, sf, "W7"), W.attrs("W7"), 10), 4, lo="lo_", hi="hi_")
+
+
+# Mining
+
+_MINED = (("W4", 5, 5, None), ("W2", 5, 5, None), ("W5", 5, 5, "all"), ("W6", 5, 5, None), ("W7", 5, 5, None), ("W9", "sqrt", 8, None), ("W10", 5, None, None), ("W1", 5, 5, None))
+
+
+def _mined(spark, sf, w, b, k, scope, **options):
+    return miner.mine(W.load(spark, sf, w), W.attrs(w), b, k=k, candidate_scope=scope, **options)
+
+
+for _w, _b, _k, _s in _MINED:
+
+    @query(f"mine_{_w.lower()}_{_b}")
+    def _(spark, sf, w=_w, b=_b, k=_k, s=_s):
+        return flat(_mined(spark, sf, w, b, k, s).boxes, len(W.attrs(w)), lo="lo_", hi="hi_")
+
+    @query(f"mine_cover_{_w.lower()}_{_b}", O.partition(_w, _b))
+    def _(spark, sf, w=_w, b=_b, k=_k, s=_s):
+        found = _mined(spark, sf, w, b, k, s)
+        return measures.cover_is_partition(found.boxes, found.lineage, found.cells)
+
+
+@query("mine_interaction_grid_w7")
+def _(spark, sf):
+    df = W.load(spark, sf, "W7")
+    found = miner.mine(df, W.attrs("W7"), grid=grid.interaction_preserving(df, W.attrs("W7")), k=8)
+    return flat(found.boxes, 4, lo="lo_", hi="hi_")
+
+
+@query("mine_describe_w6")
+def _(spark, sf):
+    found = _mined(spark, sf, "W6", 5, 5, None)
+    return found.describe(W.load(spark, sf, "W6")).select("pid", "usage", "support", "intervals", "majority", "accuracy")
+
+
+def report_row(spark, name: str, report: dict) -> tuple:
+    return name, report["cells"], report["patterns"], report["rounds"], report["candidates"], round(report["start_bits"], 6), round(report["end_bits"], 6), round(report["compression_ratio"], 6)
+
+
+REPORT = "run string, cells long, patterns long, rounds long, candidates long, start_bits double, end_bits double, ratio double"
+
+
+@query("experiment_compression")
+def _(spark, sf):
+    """Compression, patterns and explored candidates: workloads by grid."""
+    rows = []
+    for w in ("W4", "W5", "W7"):
+        df = fixed(W.load(spark, sf, w))
+        grids = {"5": grid.equal_width(df, W.attrs(w), 5), "sqrt": grid.equal_width(df, W.attrs(w), "sqrt"), "interaction": grid.interaction_preserving(df, W.attrs(w))}
+        rows += [report_row(spark, f"{w}:{name}", miner.mine(df, W.attrs(w), grid=g, k=min(20, max(a.n_bins for a in g.axes))).report) for name, g in grids.items()]
+    return spark.createDataFrame(rows, REPORT)
+
+
+@query("experiment_settings")
+def _(spark, sf):
+    """Influence of scope, pruning moment, smoothing, gain mode and encoding on W7."""
+    df = fixed(W.load(spark, sf, "W7"))
+    g = grid.equal_width(df, W.attrs("W7"), 5)
+    c = fixed(cells.elementary(cells.discretise(df, g)))
+    settings = {
+        "default": {},
+        "all": {"candidate_scope": "all"},
+        "no_pruning": {"prune_when": "never"},
+        "prune_each_round": {"prune_when": "each_round"},
+        "eps_1": {"eps": 1.0},
+        "eps_0.1": {"eps": 0.1},
+        "stored_gains": {"gain_mode": "stored"},
+        "requeue": {"requeue": True},
+        "shannon": {"encoding": "shannon"},
+        "tie_last": {"tie": "last"},
+    }
+    return spark.createDataFrame([report_row(spark, name, miner.mine_cells(c, g, 5, **o).report) for name, o in settings.items()], REPORT)
+
+
+@query("experiment_layouts")
+def _(spark, sf):
+    """Planted layouts at 200 objects a box: patterns, overlap and agreement both ways, by grid."""
+    rows = []
+    for y in W.LAYOUTS:
+        df = fixed(W.layout(spark, sf, y, 200))
+        known = W.truth(spark, y)
+        for name, b in (("5", 5), ("sqrt", "sqrt")):
+            found = miner.mine(df, ["x", "y"], b, k=5 if b == 5 else 20)
+            real = cells.to_real(found.boxes, found.grid)
+            ours, theirs = measures.jcd(real, known).first().jcd, measures.jcd(known, real, "tid", "pid").first().jcd
+            rows.append((y, name, found.report["patterns"], measures.box_jaccard_mean(real).first().mean_jaccard or 0.0, ours, theirs, found.report["compression_ratio"]))
+    return rounded(spark.createDataFrame(rows, "layout string, grid string, patterns long, overlap double, jcd_computed double, jcd_truth double, ratio double"))
+
+
+@query("experiment_methods_w7")
+def _(spark, sf):
+    """The miner and both baselines on one workload: patterns, length ratio, similarity, accuracy."""
+    df = fixed(W.load(spark, sf, "W7"))
+    attrs = W.attrs("W7")
+    ours = miner.mine(df, attrs, 5, k=5)
+    disc = cells.discretise(df, ours.grid, ["label"])
+    sets = itemset.mine(ours.cells, ours.grid, max_iter=40)
+    theirs = itemset.to_boxes(spark, sets, ours.grid)
+    grown = sampling.mine(df, attrs, 0.25, thoroughness=64)
+    rows = []
+    for name, b, bits in (("boxes", ours.boxes, ours.report["end_bits"]), ("itemsets", theirs, sets.end_bits)):
+        sim = measures.jaccard_topk(b, ours.cells, 10).first().mean_jaccard
+        acc = measures.mean_accuracy(measures.accuracy(b, disc, "label")).first().mean_accuracy
+        rows.append((name, b.count(), bits, sim, acc))
+    rows.append(("sampling", grown.boxes.count(), None, None, None))
+    return rounded(spark.createDataFrame(rows, "method string, patterns long, bits double, similarity double, accuracy double"))
+
+
+# Streaming twins
+
+
+@query("window_cells_daily", O.window_cells(5))
+def _(spark, sf):
+    df, g = setup(spark, sf, "W6", 5)
+    events = df.withColumn("at", F.timestamp_seconds("ts"))
+    names = ["b_0", "b_1", "b_2"]
+    counts = events.select("at", *g.indices()).groupBy(F.window("at", "1 day").alias("w"), *names).agg(F.count(F.lit(1)).alias("usage"))
+    return counts.select(F.date_format("w.start", "yyyy-MM-dd").alias("day"), *names, "usage")
 
 
-def flagship(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/part.parquet").select("p_size", "p_retailprice")
+@query("online_bits_by_user", O.online_bits(5))
+def _(spark, sf):
+    df, g = setup(spark, sf, "W6", 5)
+    c, _g = cell_table(spark, sf, "W6", 5)
+    events = W.table(spark, sf, "events").select("event_id", "user_id", F.col("ts").alias("at"))
+    spot = F.array(*[f"b_{i}" for i in range(3)])
+    scored = cells.discretise(df, g, ["obj_id"]).select(F.col("obj_id").alias("event_id"), spot.alias("lo")).join(c.select("lo", F.col("cell_id").alias("pid")), "lo").join(events, "event_id")
+    steps = streaming.online_bits_batch(scored.withColumnRenamed("at", "ts"), "user_id", c.count())
+    return steps.groupBy("stream_key").agg(F.count(F.lit(1)).alias("events"), F.round(F.sum("bits"), 5).alias("bits"))
