@@ -15,12 +15,13 @@
     two pivots, and each of its documents meets the pivots only.  Pairs with
     at least `T` equal coordinates are confirmed on the full shingle sets, and
     confirmed links join components.  Then the documents outside a list's
-    largest component meet the members of other components, so a link between
-    two documents can only be left out when they already are connected.
+    largest component meet the members of other components where a longer
+    signature of `LONG_K` coordinates lets them, so a link between two documents
+    can only be left out when they already are connected.
 5.  Components are labelled by alternating star contractions.
 
-With K = 64 and T = 31, a pair of similarity 0.75 is missed with a probability
-of about 1e-6.
+With K = 64 and T = 31, as with LONG_K = 384 and LONG_T = 247, a pair of
+similarity 0.75 is missed with a probability of about 1e-6.
 
 Edge cases: a null text, or one without words, has an empty set and is linked
 with nothing; with fewer words than a shingle the whole sequence is the one
@@ -45,12 +46,16 @@ SHINGLE = 5
 PERCENT = 75
 K = 64
 T = 31
+LONG_K = 384
+LONG_T = 247
 
 _FOLD = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 _rng = np.random.default_rng(20240611)
 _PLACE = _rng.integers(1 << 62, size=SHINGLE, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _MULT = _rng.integers(1 << 62, size=K, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _ADD = _rng.integers(1 << 63, size=K, dtype=np.uint64)
+_LONG_MULT = _rng.integers(1 << 62, size=LONG_K, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_LONG_ADD = _rng.integers(1 << 63, size=LONG_K, dtype=np.uint64)
 
 
 def _mixed(h: np.ndarray) -> np.ndarray:
@@ -92,6 +97,15 @@ def signature(shingles: np.ndarray) -> np.ndarray:
     return (least >> np.uint64(32)).astype(np.uint32).view(np.int32)
 
 
+def long_signature(shingles: np.ndarray) -> np.ndarray:
+    """LONG_K coordinates of 16 bits (from the middle of the least values: their upper bits are all small)."""
+    least = np.full(LONG_K, np.iinfo(np.uint64).max, np.uint64)
+    for at in range(0, len(shingles), 1024):
+        part = shingles[at : at + 1024, None] * _LONG_MULT + _LONG_ADD
+        np.minimum(least, part.min(axis=0), out=least)
+    return (least >> np.uint64(20)).astype(np.uint16).view(np.int16)
+
+
 def similar(a: np.ndarray, b: np.ndarray, percent: int = PERCENT) -> bool:
     if 100 * min(len(a), len(b)) < percent * max(len(a), len(b)):
         return False
@@ -198,6 +212,20 @@ def shared_parts(texts: DataFrame, reps: DataFrame, percent: int = PERCENT) -> D
     return sizes.select("node", "n", (F.col("n") - F.coalesce("own", F.lit(0))).alias("e")).filter(100 * F.col("e") >= percent * F.col("n"))
 
 
+def long_signatures(texts: DataFrame) -> DataFrame:
+    """``node``, ``long`` of the posted documents."""
+
+    def run(batches):
+        shingler = Shingler()
+        for b in batches:
+            sigs = [long_signature(shingler(t)) for t in b.column(1).to_pylist()]
+            flat = np.concatenate(sigs) if sigs else np.zeros(0, np.int16)
+            offsets = pa.array(np.arange(len(sigs) + 1) * LONG_K, pa.int32())
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(offsets, pa.array(flat))], names=["node", "long"])
+
+    return texts.mapInArrow(run, "node long, long array<smallint>")
+
+
 def _possible(x: str, y: str, percent: int):
     """Whether the shared parts of two documents leave room for the similarity."""
     return (100 + percent) * F.least(F.col(f"{x}e"), F.col(f"{y}e")) >= percent * (F.col(f"{x}n") + F.col(f"{y}n"))
@@ -229,16 +257,19 @@ def _with_pivots(postings: DataFrame, percent: int) -> DataFrame:
     return met.filter((F.col("node") != F.col("p")) & _possible("", "p", percent)).select(F.greatest("node", "p").alias("a"), F.least("node", "p").alias("b")).distinct()
 
 
-def _between_components(labelled: DataFrame, percent: int) -> DataFrame:
+def _between_components(labelled: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     """Pairs of different components on a list: of the postings outside the list's largest component with all others."""
     held = labelled.groupBy("key", "root").count()
     main = held.groupBy("key").agg(F.max_by("root", F.struct("count", "root")).alias("main"), F.sum("count").alias("all"), F.max("count").alias("most")).filter("`all` > most").select("key", "main")
     # a document's lists in one order for all, shortest first: a pair is made in the first list that it shares, and only there
     order = labelled.groupBy("node").agg(F.array_sort(F.collect_list(F.struct("count", "key"))).getField("key").alias("lists"))
-    apart = labelled.join(main, "key").join(order, "node")
-    x, y = (apart.select("key", *(F.col(c).alias(side + c) for c in ("node", "n", "e", "root", "main", "lists"))) for side in "xy")
+    apart = labelled.join(main, "key")
+    facts = texts.join(apart.select("node").distinct(), "node")
+    apart = stored(apart.join(order, "node").join(long_signatures(facts), "node"), "apart")
+    x, y = (apart.select("key", *(F.col(c).alias(side + c) for c in ("node", "n", "e", "root", "main", "lists", "long"))) for side in "xy")
     possible = (F.col("xroot") != F.col("yroot")) & ((F.col("yroot") == F.col("ymain")) | (F.col("xnode") > F.col("ynode"))) & _possible("x", "y", percent)
-    meet = x.filter("xroot != xmain").join(y, "key").filter(possible & (F.get(F.array_intersect("xlists", "ylists"), 0) == F.col("key")))
+    equal = F.aggregate(F.zip_with("xlong", "ylong", lambda p, q: (p == q).cast("int")), F.lit(0), lambda t, v: t + v)
+    meet = x.filter("xroot != xmain").join(y, "key").filter(possible & (F.get(F.array_intersect("xlists", "ylists"), 0) == F.col("key")) & (equal >= LONG_T))
     return meet.select(F.greatest("xnode", "ynode").alias("a"), F.least("xnode", "ynode").alias("b")).distinct()
 
 
@@ -257,7 +288,7 @@ def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percen
     links = stored(confirmed(_with_pivots(postings, percent), reps, texts, threshold, percent), "links")
     roots = components(links)
     labelled = stored(postings.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "labelled")
-    more = stored(confirmed(_between_components(labelled, percent), reps, texts, threshold, percent), "links")
+    more = stored(confirmed(_between_components(labelled, texts, percent), reps, texts, threshold, percent), "links")
     if not more.isEmpty():
         roots = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more))
     return members, roots
