@@ -20,7 +20,7 @@
     can only be left out when they already are connected.
 5.  Components are labelled by alternating star contractions.
 
-With K = 64 and T = 31, as with LONG_K = 384 and LONG_T = 247, a pair of
+With K = 64 and T = 31, as with LONG_K = 512 and LONG_T = 337, a pair of
 similarity 0.75 is missed with a probability of about 1e-6.
 
 Edge cases: a null text, or one without words, has an empty set and is linked
@@ -46,8 +46,8 @@ SHINGLE = 5
 PERCENT = 75
 K = 64
 T = 31
-LONG_K = 384
-LONG_T = 247
+LONG_K = 512
+LONG_T = 337
 
 _FOLD = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 _rng = np.random.default_rng(20240611)
@@ -176,11 +176,15 @@ def candidate_texts(docs: DataFrame, reps: DataFrame, postings: DataFrame, id_co
     return wanted.join(found, wanted["doc_id"].eqNullSafe(found["id"]) & (wanted["set_digest"] == found["digest"])).select("node", "text").dropDuplicates(["node"])
 
 
-def confirmed(pairs: DataFrame, reps: DataFrame, texts: DataFrame, threshold: int = T, percent: int = PERCENT) -> DataFrame:
-    """Of the pairs (``a``, ``b``), those with `threshold` equal coordinates and `percent` of similarity."""
+def likely(pairs: DataFrame, reps: DataFrame, threshold: int = T) -> DataFrame:
+    """Of the pairs (``a``, ``b``), those with `threshold` equal coordinates."""
     sig = lambda x: reps.select(F.col("node").alias(x), F.col("sig").alias(f"sig_{x}"))
     equal = F.aggregate(F.zip_with("sig_a", "sig_b", lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x)
-    likely = pairs.join(sig("a"), "a").join(sig("b"), "b").filter(equal >= threshold).select("a", "b")
+    return pairs.join(sig("a"), "a").join(sig("b"), "b").filter(equal >= threshold).select("a", "b")
+
+
+def confirmed(pairs: DataFrame, texts: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """Of the pairs (``a``, ``b``), those of `percent` similarity on the full sets."""
     text = lambda x: texts.select(F.col("node").alias(x), F.col("text").alias(f"text_{x}"))
 
     def run(batches):
@@ -193,7 +197,7 @@ def confirmed(pairs: DataFrame, reps: DataFrame, texts: DataFrame, threshold: in
                 keep.append(similar(shingler(text_a), last[1], percent))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return likely.join(text("a"), "a").join(text("b"), "b").select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long")
+    return pairs.join(text("a"), "a").join(text("b"), "b").select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long")
 
 
 def shared_parts(texts: DataFrame, reps: DataFrame, percent: int = PERCENT) -> DataFrame:
@@ -285,10 +289,10 @@ def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percen
         return members, None
     texts = stored(candidate_texts(docs, reps, posted, id_col, text_col), "texts")
     postings = stored(posted.join(shared_parts(texts, reps, percent), "node").select("key", "count", "node", "n", "e"), "shared")
-    links = stored(confirmed(_with_pivots(postings, percent), reps, texts, threshold, percent), "links")
+    links = stored(confirmed(likely(_with_pivots(postings, percent), reps, threshold), texts, percent), "links")
     roots = components(links)
     labelled = stored(postings.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node")), "labelled")
-    more = stored(confirmed(_between_components(labelled, texts, percent), reps, texts, threshold, percent), "links")
+    more = stored(confirmed(_between_components(labelled, texts, percent), texts, percent), "links")
     if not more.isEmpty():
         roots = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more))
     return members, roots
