@@ -52,7 +52,7 @@ def _local_boxes(values, n_bins: int, k: int):
     span = np.where(hi > lo, hi - lo, 1.0)
     spot = np.minimum(n_bins - 1, np.floor((values - lo) / span * n_bins)).astype(np.int64)
     cells, usage = np.unique(spot, axis=0, return_counts=True)
-    grid = Grid(tuple(Axis(f"a{i}", n_bins, x, y) for i, (x, y) in enumerate(zip(lo, hi, strict=True))), len(values))
+    grid = Grid(tuple(Axis(f"a{i}", n_bins, x, y) for i, (x, y) in enumerate(zip(lo.tolist(), hi.tolist(), strict=True))), len(values))
     p = kernel.Patterns.of(np.arange(1, len(cells) + 1), cells, cells, usage)
     run = kernel.mine(p, neighbors.knn_local(cells, k) if k else None, grid, scope="inherited" if k else "all")
     kernel.prune(p, run, grid)

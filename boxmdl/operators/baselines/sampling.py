@@ -18,6 +18,8 @@ from pyspark.sql import functions as F
 
 #: Candidate boxes counted in one scan of the table.
 BATCH = 64
+#: Bounds go through a scaling and back; rows this near to one are inside.
+SLACK = 1e-9
 
 
 @dataclass
@@ -104,7 +106,7 @@ def _count(df: DataFrame, attrs: list[str], boxes: list) -> list[int]:
     for i, (lo, hi) in enumerate(boxes):
         inside = F.lit(True)
         for a, x, y in zip(attrs, lo, hi, strict=True):
-            inside = inside & F.col(a).between(float(x) - 1e-9 * max(1, abs(x)), float(y) + 1e-9 * max(1, abs(y)))
+            inside = inside & F.col(a).between(float(x) - SLACK * max(1, abs(x)), float(y) + SLACK * max(1, abs(y)))
         parts.append(F.count_if(inside).alias(f"c{i}"))
     row = df.agg(*parts).first()
     return [row[f"c{i}"] for i in range(len(boxes))]
@@ -115,5 +117,6 @@ def as_occurrences(result: SamplingResult, df: DataFrame, attrs: list[str], id_c
     boxes = F.broadcast(result.boxes.select("pid", "rlo", "rhi"))  # at most max_boxes
     inside = F.lit(True)
     for i, a in enumerate(attrs):
-        inside = inside & F.col(a).between(F.element_at("rlo", i + 1), F.element_at("rhi", i + 1))
+        x, y = F.element_at("rlo", i + 1), F.element_at("rhi", i + 1)
+        inside = inside & F.col(a).between(x - SLACK * F.greatest(F.lit(1.0), F.abs(x)), y + SLACK * F.greatest(F.lit(1.0), F.abs(y)))
     return df.join(boxes, inside).select("pid", F.col(id_col).alias("cell_id"), F.lit(1).cast("long").alias("usage"))

@@ -81,11 +81,12 @@ def weights(p: Patterns, pairs: np.ndarray, eps: float, encoding: str) -> np.nda
     return out
 
 
-def mine(p: Patterns, edges: np.ndarray | None, grid: Grid, eps: float = EPS, scope: str = "inherited", gain_mode: str = "refreshed", tie: str = "first", encoding: str = "plugin", requeue: bool = False, run: Run | None = None, first_pairs: np.ndarray | None = None, after_round=None) -> Run:
-    """Merge rounds from the patterns `p`; `edges` are row pairs (None: every pair)."""
+def mine(p: Patterns, edges: np.ndarray | None, grid: Grid, eps: float = EPS, scope: str = "inherited", gain_mode: str = "refreshed", tie: str = "first", encoding: str = "plugin", requeue: bool = False, run: Run | None = None, first_pairs: np.ndarray | None = None, after_round=None, total: float | None = None) -> Run:
+    """Merge rounds from the patterns `p`; `edges` are row pairs (None: every pair), `total` the ledger's length so far."""
     run = run or Run(p)
     n = int(p.usage[p.live()].sum())
-    total = total_bits_local(p.usage[p.live()], p.log_size[p.live()], grid, eps, encoding)
+    if total is None:
+        total = total_bits_local(p.usage[p.live()], p.log_size[p.live()], grid, eps, encoding)
     next_id = int(p.ids[: p.size].max(initial=0)) + 1
     if edges is None:
         live = p.live()

@@ -91,11 +91,11 @@ def _distributed(boxes, edges, lineage, grid, n, k, eps, scope, gain_mode, tie,
         report["explored"].append(weighted.count())
         hopeful = weighted.filter(F.col("w") > -hope - 8)
         if hopeful.isEmpty():
-            return boxes, edges, lineage, k, None
+            return boxes, edges, lineage, k, None, total
         merges = matching.accepted(matching.greedy_matching(hopeful, tie), k, n, grid, eps, encoding, gain_mode, next_id)
         made = merges.count()
         if not made:
-            return boxes, edges, lineage, k, None
+            return boxes, edges, lineage, k, None, total
         joint = candidates.weighted(merges, boxes, eps, encoding).join(merges.select("a", "b", "pid"), ["a", "b"])
         usage = merges.select("pid", F.explode(F.array("a", "b")).alias("old")).join(boxes.select(F.col("pid").alias("old"), "usage"), "old").groupBy("pid").agg(F.sum("usage").alias("usage"))
         new = B.with_log_size(joint.join(usage, "pid").select("pid", "lo", "hi", "usage"))
@@ -112,7 +112,7 @@ def _distributed(boxes, edges, lineage, grid, n, k, eps, scope, gain_mode, tie,
         first_new = next_id
         next_id += made
         pairs = edges.filter((F.col("a") >= first_new) | (F.col("b") >= first_new)) if scope == "inherited" else candidates.with_new(boxes, first_new)
-    return boxes, edges, lineage, k, pairs
+    return boxes, edges, lineage, k, pairs, total
 
 
 def _by_step():
@@ -153,11 +153,11 @@ def mine_cells(elementary: DataFrame, grid: grids.Grid, k=None, eps=EPS, candida
     report["start_bits"] = start.total
     ledger: list[DataFrame] = []
     local = choose.rounds_plan(size.k, size.k * (k or 0), scope) == "local"
-    first, edges_df, alive = None, None, size.k
+    first, edges_df, alive, total = None, None, size.k, None
     if not local:
         reach = max(a.n_bins for a in grid.axes)
         edges_df = fixed(neighbors.edges(neighbors.knn(elementary, k, len(grid.axes), knn_method, size.k, reach)) if k else neighbors.every_pair(elementary, size.k))
-        boxes, edges_df, lineage, alive, first = _distributed(fixed(boxes), edges_df, lineage, grid, size.n, size.k, eps, scope, gain_mode, tie, encoding, report, ledger)
+        boxes, edges_df, lineage, alive, first, total = _distributed(fixed(boxes), edges_df, lineage, grid, size.n, size.k, eps, scope, gain_mode, tie, encoding, report, ledger)
     if not local and first is None and alive > choose.LOCAL_PATTERNS:
         report |= {"patterns": alive, "status": "ended on DataFrames; too many patterns to prune"}
         held = boxes
@@ -174,7 +174,7 @@ def mine_cells(elementary: DataFrame, grid: grids.Grid, k=None, eps=EPS, candida
             near = neighbors.knn_local(p.lo[: p.size], k) if k else None
             kernel.mine(p, near, grid, eps, scope, gain_mode, tie, encoding, requeue, run, after_round=each)
         elif first is not None:
-            kernel.mine(p, as_rows(edges_df), grid, eps, scope, gain_mode, tie, encoding, requeue, run, as_rows(first), after_round=each)
+            kernel.mine(p, as_rows(edges_df), grid, eps, scope, gain_mode, tie, encoding, requeue, run, as_rows(first), after_round=each, total=total)
         if prune_when != "never":
             if len(p.live()) <= choose.PRUNE_PATTERNS:
                 pruned()
