@@ -109,7 +109,7 @@ def mix(docs: DataFrame, size: str, whole: bool = True, **options) -> DataFrame:
 
 def op5_weighted_fair_mix(spark, sf_dir) -> DataFrame:
     """What the mix takes of every document, over all its copies."""
-    slim = documents(spark, sf_dir).select("doc_id", "source", word_count("text").alias("size"))
+    slim = stored(documents(spark, sf_dir).select("doc_id", "source", word_count("text").alias("size")), "sizes")
     copies = serve(slim, "size")
     return copies.groupBy("__key", "doc_id", "source", "size", "source_size", "target").agg(F.sum("words").cast("long").alias("taken"), F.min("finish").alias("first_finish")).select(
         "doc_id", "size", F.col("source_size").cast("long").alias("source_size"), "target", "taken", "source", "first_finish"
