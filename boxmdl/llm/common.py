@@ -63,6 +63,16 @@ def _clean() -> None:
             return
 
 
+def pieces(batches, rows: int = 512):
+    """The Arrow batches of a task in slices, so that few texts are Python objects at once; unused Arrow memory goes back at the end."""
+    import pyarrow as pa
+
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+    pa.default_memory_pool().release_unused()
+
+
 def word_count(text) -> F.Column:
     """Number of words of a text column; null counts 0."""
     return F.coalesce(F.regexp_count(text, F.lit(WORD_PATTERN)), F.lit(0)).cast("long")

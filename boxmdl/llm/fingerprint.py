@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, stored
+from .common import documents, pieces, stored
 
 #: Words of 64 bits in the Bloom filter (4 MB) and probes for each digest.
 BLOOM_WORDS = 1 << 19
@@ -61,7 +61,7 @@ def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
 
     def run(batches):
         schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("digest", pa.binary())])
-        for b in batches:
+        for b in pieces(batches):
             yield _batch(schema, [(i, len((t or "").encode("utf-8", "surrogatepass")), digest(canonical(t))) for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True)])
 
     return docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(run, "doc_id long, n_bytes long, digest binary")
@@ -77,7 +77,7 @@ def _bloom(repeated: DataFrame) -> np.ndarray:
 
     def run(batches):
         schema = pa.schema([("word", pa.int32()), ("bits", pa.int64())])
-        for b in batches:
+        for b in pieces(batches):
             yield _batch(schema, [(w, (1 << bit) - (1 << 64 if bit == 63 else 0)) for d in b.column(0).to_pylist() for w, bit in _probe(d)])
 
     rows = repeated.mapInArrow(run, "word int, bits long").groupBy("word").agg(F.bit_or("bits").alias("bits")).toPandas()
@@ -98,7 +98,7 @@ def collisions(docs: DataFrame, known: DataFrame, id_col: str = "doc_id", text_c
     def run(batches):
         schema = pa.schema([("digest", pa.binary()), ("canon", pa.binary())])
         words = bloom.value
-        for b in batches:
+        for b in pieces(batches):
             rows = []
             for t in b.column(0).to_pylist():
                 canon = canonical(t)
@@ -125,7 +125,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     def run(batches):
         schema = pa.schema([("doc_id", pa.int64()), ("fingerprint", pa.string())])
-        for b in batches:
+        for b in pieces(batches):
             yield _batch(schema, [(i, fingerprint_of(canonical(t), clashing)) for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True)])
 
     return docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(run, "doc_id long, fingerprint string")
@@ -152,7 +152,7 @@ def edit_probe(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
 
     def tops(batches):
         schema = pa.schema([("range", pa.int32()), ("top", pa.int64())])
-        for b in batches:
+        for b in pieces(batches):
             ids = b.column(0).to_pylist()
             best: dict[int, int | None] = {}
             for r, i in zip(place(ids), ids, strict=True):
@@ -166,7 +166,7 @@ def edit_probe(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
 
     def deal(batches):
         schema = pa.schema([("range", pa.int32()), ("halo", pa.bool_()), ("doc_id", pa.int64()), ("tie", pa.int64()), ("text", pa.string())])
-        for b in batches:
+        for b in pieces(batches):
             ids, rows = b.column(0).to_pylist(), []
             for r, i, t in zip(place(ids), ids, b.column(1).to_pylist(), strict=True):
                 tie = xxhash.xxh3_64_intdigest((t or "").encode("utf-8", "surrogatepass")) >> 1
@@ -185,7 +185,7 @@ def edit_probe(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
             changed = fingerprint_of(canonical(edited), clashing)
             return i, len(text), hashlib.sha256(edited.encode("utf-8", "surrogatepass")).hexdigest(), own, changed, float(own == changed), float(own == after)
 
-        for b in batches:
+        for b in pieces(batches):
             rows = []
             for r, halo, i, text in zip(*(b.column(k).to_pylist() for k in (0, 1, 2, 4)), strict=True):
                 text = text or ""

@@ -34,7 +34,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import pieces, stored
 
 LEAST_PAGES = 5
 SHARE = 0.1
@@ -248,7 +248,7 @@ def recurring_subtrees(pages: DataFrame, html_col: str, url_col: str, least_page
     """``host``, ``subtree`` of the subtrees to delete."""
 
     def run(batches):
-        for b in batches:
+        for b in pieces(batches):
             roots = [parse(t or "") for t in b.column(1).to_pylist()]
             texts = [xxhash.xxh3_128_digest(main_text(r).encode("utf-8", "surrogatepass")) for r in roots]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(texts, pa.binary()), pa.array([page_subtrees(r) for r in roots], pa.list_(pa.int64()))], names=["host", "digest", "subtrees"])
@@ -277,7 +277,7 @@ def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", htm
         lists = lambda b: (frozenset(x or ()) for x in b.column(3).to_pylist())
 
     def run(batches):
-        for b in batches:
+        for b in pieces(batches):
             texts = [main_text(parse(t or ""), r) for t, r in zip(b.column(2).to_pylist(), lists(b), strict=True)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string())], names=["page_id", "url", "text"])
 

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, train_split
+from .common import documents, pieces, train_split
 
 ORDER = 4
 BITS = 12
@@ -95,7 +95,7 @@ def count_ngrams(docs: DataFrame, text_col: str = "text", lang_col: str = "lang"
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(gram), pa.string()), pa.array(gram, pa.int64()), pa.array(n, pa.int64())], names=["lang", "gram", "n"])
             held.clear()
 
-        for b in batches:
+        for b in pieces(batches):
             for text, lang in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 keys = encoded(text or "")
                 if len(keys):
@@ -269,7 +269,7 @@ def sc_share(docs: DataFrame) -> float:
 
 def _own_entropy(models):
     def run(batches):
-        for b in batches:
+        for b in pieces(batches):
             texts, langs = b.column(0).to_pylist(), b.column(1).to_pylist()
             at = {x: k for k, x in enumerate(models.value.langs)}
             entropy, size = models.value.entropies(texts)
@@ -284,7 +284,7 @@ def identify(docs: DataFrame, models: Models, id_col: str = "doc_id", text_col:
     shared = docs.sparkSession.sparkContext.broadcast(models)
 
     def run(batches):
-        for b in batches:
+        for b in pieces(batches):
             langs, score, rejected = shared.value.predict(b.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(langs, pa.string()), pa.array(score, pa.float64()), pa.array(rejected, pa.bool_())], names=["doc_id", "lang_pred", "score", "rejected"])
 

@@ -39,7 +39,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, stored
+from .common import documents, pieces, stored
 from .fingerprint import BLOOM_PROBES, BLOOM_WORDS
 
 SHINGLE = 5
@@ -75,7 +75,7 @@ class Shingler:
         n, known = len(words), self.words
         if not n:
             return np.zeros(0, np.uint64)
-        if len(known) > 500_000:
+        if len(known) > 100_000:
             known.clear()
         for w in set(words).difference(known):
             known[w] = xxhash.xxh3_64_intdigest(w)
@@ -118,7 +118,7 @@ def signatures(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
     def run(batches):
         shingler, at = Shingler(), TaskContext.get().partitionId() << 33
-        for b in batches:
+        for b in pieces(batches):
             ids, sizes, digests, sigs = b.column(0), [], [], []
             for text in b.column(1).to_pylist():
                 s = shingler(text)
@@ -163,7 +163,7 @@ def candidate_texts(docs: DataFrame, reps: DataFrame, postings: DataFrame, id_co
 
     def run(batches):
         shingler, bloom = Shingler(), shared.value
-        for b in batches:
+        for b in pieces(batches):
             ids, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
             hit = np.ones(len(ids), bool)
             for k in range(BLOOM_PROBES):
@@ -189,7 +189,7 @@ def confirmed(pairs: DataFrame, texts: DataFrame, percent: int = PERCENT) -> Dat
 
     def run(batches):
         shingler, last = Shingler(), (None, None)
-        for batch in batches:
+        for batch in pieces(batches):
             keep = []
             for b, text_a, text_b in zip(*(batch.column(k).to_pylist() for k in (1, 2, 3)), strict=True):
                 if last[0] != b:
@@ -205,7 +205,7 @@ def shared_parts(texts: DataFrame, reps: DataFrame, percent: int = PERCENT) -> D
 
     def run(batches):
         shingler = Shingler()
-        for b in batches:
+        for b in pieces(batches):
             sets = [shingler(t) for t in b.column(1).to_pylist()]
             nodes = np.repeat(b.column(0).to_numpy(zero_copy_only=False), [len(s) for s in sets])
             flat = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
@@ -221,7 +221,7 @@ def long_signatures(texts: DataFrame) -> DataFrame:
 
     def run(batches):
         shingler = Shingler()
-        for b in batches:
+        for b in pieces(batches):
             sigs = [long_signature(shingler(t)) for t in b.column(1).to_pylist()]
             flat = np.concatenate(sigs) if sigs else np.zeros(0, np.int16)
             offsets = pa.array(np.arange(len(sigs) + 1) * LONG_K, pa.int32())

@@ -26,6 +26,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import pieces
+
 SEQ_LEN = 2048
 END_ID = 1
 SCHEMA = "doc_id long, start long, length long, ids binary, doc_tokens long, sequence_id long, offset long, sequence_tokens long, cost double"
@@ -178,7 +180,7 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", seq_le
             held = 0
             return out
 
-        for batch in batches:
+        for batch in pieces(batches):
             for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 ids = np.append(encode(text or ""), np.uint32(END_ID)).astype("<u4", copy=False)
                 for sequence in window.add(doc_id, ids):

@@ -35,18 +35,18 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, stored
+from .common import documents, pieces, stored
 from .induced import repeated_starts
 
 LENGTH = 200
 GRAM = 48
 #: Words of 64 bits in each Bloom filter (2 MB).
 BLOOM_WORDS = 1 << 18
-BATCH_BYTES = 4 << 20
+BATCH_BYTES = 2 << 20
 #: Bytes of a document worked on at once (places in it take 24 bits of a sort key).
 CHUNK = 1 << 22
 #: Segments whose bytes a task remembers to have sent.
-REMEMBERED = 1 << 20
+REMEMBERED = 1 << 18
 
 _BASE = 0x9E3779B97F4A7C15
 _INVERSE = pow(_BASE, -1, 1 << 64)
@@ -134,7 +134,7 @@ def repeated_anchors(docs: DataFrame, text_col: str = "text", length: int = LENG
     """``anchor``, ``mixed`` (whether its segments differ) of the anchors seen twice or more."""
 
     def run(batches):
-        for b in batches:
+        for b in pieces(batches):
             anchors, hashes = [np.zeros(0, np.int64)], []
             for text in b.column(0).to_pylist():
                 data = _utf8(text)
@@ -158,7 +158,7 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
     def find(batches):
         sent: set[tuple[int, int]] = set()
-        for b in batches:
+        for b in pieces(batches):
             row, rows = [], []
             for k, text in enumerate(b.column(2).to_pylist()):
                 data = _utf8(text)
@@ -200,7 +200,7 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
             columns = list(zip(*out, strict=True)) if out else [[]] * 3
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["anchor", "segment", "starts"])
 
-        for b in batches:
+        for b in pieces(batches):
             for anchor, segment, data in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 if size >= batch_bytes and anchor != held[-1][0]:
                     yield settle(held)
@@ -250,7 +250,7 @@ def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     at = names.index(text_col)
 
     def run(batches):
-        for b in batches:
+        for b in pieces(batches):
             texts = [t if s is None or t is None else cut(_utf8(t), s)[0].decode("utf-8", "ignore") for t, s in zip(b.column(at).to_pylist(), b.column(len(names)).to_pylist(), strict=True)]
             columns = list(b.columns[: len(names)])
             columns[at] = pa.array(texts, pa.string())
@@ -268,7 +268,7 @@ def op7_induced_suffix_dedup(spark, sf_dir) -> DataFrame:
     marked = with_spans(documents(spark, sf_dir).select("doc_id", "text"), "doc_id", "text")
 
     def run(batches):
-        for b in batches:
+        for b in pieces(batches):
             rows = []
             for text, spans in zip(b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
                 data = _utf8(text)

@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, train_split
+from .common import documents, pieces, train_split
 
 #: Labelled documents that learning may use.
 MAX_LABELLED = 30_000
@@ -236,10 +236,10 @@ def _pattern_counts(docs: DataFrame, only: frozenset | None = None) -> DataFrame
             held.clear()
             return batch
 
-        for b in batches:
+        for b in pieces(batches):
             for text in b.column(0).to_pylist():
                 held.update(k for k in patterns(text) if wanted is None or k in wanted)
-                if len(held) > 300_000:
+                if len(held) > 100_000:
                     yield out()
         if held:
             yield out()
@@ -252,7 +252,7 @@ def _pattern_lists(docs: DataFrame, only: frozenset) -> list[dict[str, int]]:
     shared = docs.sparkSession.sparkContext.broadcast(only)
 
     def run(batches):
-        for b in batches:
+        for b in pieces(batches):
             found = [[(k, n) for k, n in patterns(t).items() if k in shared.value] for t in b.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array([[k for k, _ in x] for x in found], pa.list_(pa.string())), pa.array([[n for _, n in x] for x in found], pa.list_(pa.int64()))], names=["pattern", "n"])
 
@@ -345,7 +345,7 @@ def learn(docs: DataFrame, labels: DataFrame, max_labelled: int = MAX_LABELLED)
         shared = docs.sparkSession.sparkContext.broadcast(found)
 
         def run(batches):
-            for b in batches:
+            for b in pieces(batches):
                 x = [shared.value.features(t).tolist() for t in b.column(0).to_pylist()]
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.list_(pa.float64())), b.column(1)], names=["x", "toxic"])
 
@@ -361,7 +361,7 @@ def scores(docs: DataFrame, model: Grammar, id_col: str = "doc_id", text_col: st
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
-        for b in batches:
+        for b in pieces(batches):
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shared.value.score(t) for t in b.column(1).to_pylist()], pa.float64())], names=["doc_id", "score"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col)).mapInArrow(run, "doc_id long, score double")
@@ -373,7 +373,7 @@ def without_toxic(docs: DataFrame, model: Grammar, threshold: float = THRESHOLD,
     at = docs.columns.index(text_col)
 
     def run(batches):
-        for b in batches:
+        for b in pieces(batches):
             yield b.filter(pa.array([shared.value.score(t) < threshold for t in b.column(at).to_pylist()], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
