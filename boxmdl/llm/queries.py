@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import fingerprint, html_text, langid, line_rules, mixing, neardup, packing, sharding, suffix_dedup, toxicity
+from . import fingerprint, html_text, langid, line_rules, mixing, neardup, oracles, packing, sharding, suffix_dedup, toxicity
 
 QUERIES = {
     "op1_cost_balanced_packing": packing.op1_cost_balanced_packing,
@@ -18,6 +18,9 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op2_coordinate_join_neardup": oracles.OP2_SQL,
+    "op4_prefix_sum_shards": oracles.OP4_SQL,
     "op5_weighted_fair_mix": mixing.OP5_SQL,
     "op6_line_frequency_rules": line_rules.OP6_SQL,
+    "op7_induced_suffix_dedup": oracles.OP7_SQL,
 }
