@@ -10,8 +10,9 @@ time 1 the whole budget is served.  The copies are range-sorted by finish time
 and cut off at time 1; the copy that is being served then is cut there.
 
 Running sums are taken in two steps, within digest buckets of a source and
-over the buckets' totals, so a source that holds most rows is dealt out over
-many tasks.  Only DataFrame functions are used.
+over the buckets' totals; with as many buckets as a bucket has rows, neither
+step grows faster than the root of the source, and a source that holds most
+rows is dealt out over many tasks.  Only DataFrame functions are used.
 
 Edge cases: a null text or source counts as size 0 and as a source of its own,
 last in order; documents of size 0 take nothing; repeated rows are separate
@@ -29,8 +30,6 @@ from .common import documents, stored, word_count
 #: Weights of the sources in their order, repeated.
 WEIGHTS = (5, 2, 1)
 MAX_REPEAT = 3
-#: Rows aimed at in a digest bucket.
-BUCKET_ROWS = 20_000
 #: Sources (some 100 bytes each) up to which their plan is sent to every task.
 BROADCAST_SOURCES = 100_000
 
@@ -68,7 +67,7 @@ def serve(docs: DataFrame, size: str, id_col: str = "doc_id", source_col: str =
     })
     held = rows.groupBy("__null", "__src").agg(F.sum(size).alias("source_size"), F.count(F.lit(1)).alias("__rows"))
     targets = source_targets(held.select("__null", "__src", "source_size"), weights, max_repeat)
-    share = held.select("__null", "__src", F.greatest(F.lit(1), F.ceil(F.col("__rows") / BUCKET_ROWS)).cast("long").alias("__buckets"))
+    share = held.select("__null", "__src", F.ceil(F.sqrt(F.col("__rows").cast("double"))).cast("long").alias("__buckets"))
     plan = stored(targets.join(share, ["__null", "__src"]), "sources")
     if plan.count() <= BROADCAST_SOURCES:  # beyond that, a join that Spark deals out by source
         plan = F.broadcast(plan)

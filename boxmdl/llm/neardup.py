@@ -26,7 +26,8 @@ similarity 0.75 is missed with a probability of about 1e-6.
 Edge cases: a null text, or one without words, has an empty set and is linked
 with nothing; with fewer words than a shingle the whole sequence is the one
 shingle; repeated rows are classes of copies like any other; rows without an
-id are labelled by the ids of others in their component, or null; an empty
+id are labelled by the ids of others in their component and not kept beside
+them; where there are none, the label is null and they are kept; an empty
 table gives no rows; other columns are not read.
 """
 
@@ -114,7 +115,7 @@ def similar(a: np.ndarray, b: np.ndarray, percent: int = PERCENT) -> bool:
 
 
 def signatures(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """``row`` (a number of its own for every row), ``doc_id``, ``n_shingles``, ``set_digest``, ``sig``."""
+    """``row`` (a number of its own for every row), ``doc_id``, ``n_shingles``, ``set_digest``, ``sig``, ``text_hash``."""
 
     def run(batches):
         shingler, at = Shingler(), TaskContext.get().partitionId() << 33
@@ -128,12 +129,18 @@ def signatures(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
             offsets = np.cumsum([0, *map(len, sigs)])
             flat = np.concatenate(sigs) if sigs else np.zeros(0, np.int32)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(range(at, at + len(sizes)), pa.int64()), ids, pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(flat))],
-                names=["row", "doc_id", "n_shingles", "set_digest", "sig"],
+                [pa.array(range(at, at + len(sizes)), pa.int64()), ids, pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(flat)), b.column(2)],
+                names=["row", "doc_id", "n_shingles", "set_digest", "sig", "text_hash"],
             )
             at += len(sizes)
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col)).mapInArrow(run, "row long, doc_id long, n_shingles long, set_digest binary, sig array<int>")
+    keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col), _text_hash(text_col))
+    return keyed.mapInArrow(run, "row long, doc_id long, n_shingles long, set_digest binary, sig array<int>, text_hash long")
+
+
+def _text_hash(text_col: str):
+    """With the id, the key by which verdicts find their rows again."""
+    return F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("text_hash")
 
 
 def prefix_postings(reps: DataFrame, threshold: int = T) -> DataFrame:
@@ -278,12 +285,12 @@ def _between_components(labelled: DataFrame, texts: DataFrame, percent: int) ->
 
 
 def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, threshold: int = T) -> tuple[DataFrame, DataFrame | None]:
-    """The rows (``doc_id``, ``n_shingles``, ``node``: the representative of the row's class, null for an empty set) and ``node``, ``root`` of the linked representatives (None without links)."""
+    """The rows (``doc_id``, ``n_shingles``, ``text_hash``, ``node``: the representative of the row's class, null for an empty set) and ``node``, ``root`` of the linked representatives (None without links)."""
     rows = stored(signatures(docs, id_col, text_col), "signatures")
     full = rows.filter("n_shingles > 0")
     classes = stored(full.groupBy("set_digest").agg(F.min("row").alias("node")), "classes")
     reps = stored(full.join(classes.select(F.col("node").alias("row")), "row", "left_semi").select(F.col("row").alias("node"), "doc_id", "n_shingles", "set_digest", "sig"), "representatives")
-    members = rows.select("row", "doc_id", "n_shingles", "set_digest").join(classes, "set_digest", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("node")).alias("node"))
+    members = rows.select("row", "doc_id", "n_shingles", "set_digest", "text_hash").join(classes, "set_digest", "left").select("doc_id", "n_shingles", "text_hash", F.when(F.col("n_shingles") > 0, F.col("node")).alias("node"))
     posted = stored(prefix_postings(reps, threshold), "postings")
     if posted.isEmpty():
         return members, None
@@ -299,23 +306,28 @@ def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percen
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT) -> DataFrame:
-    """``doc_id``, ``n_shingles``, ``component_id`` (the least id in the component), ``kept``."""
+    """``doc_id``, ``n_shingles``, ``component_id`` (the least id in the component), ``kept``, ``text_hash``."""
     members, roots = link(docs, id_col, text_col, percent)
     placed = members.withColumn("root", F.col("node"))
     if roots is not None:
         placed = members.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = placed.filter("root is not null").groupBy("root").agg(F.min("doc_id").alias("component_id"))
     out = placed.join(least, "root", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
-    return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
+    return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.col("component_id").isNull()).alias("kept"), "text_hash")
 
 
 def without_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of `docs` whose id is the least of its component; of rows that repeat an id and a shingle set, one stays."""
-    verdict = near_duplicates(docs, id_col, text_col)
-    keep = verdict.filter("kept").select(F.col("doc_id").alias("__kept")).distinct()
-    return docs.join(keep, docs[id_col].eqNullSafe(keep["__kept"]), "left_semi")
+    verdict = stored(near_duplicates(docs, id_col, text_col).filter("kept").groupBy("doc_id", "text_hash").agg(F.count(F.lit(1)).alias("n"), F.max("n_shingles").alias("n_shingles")), "kept")
+    keep = verdict.select(F.col("doc_id").alias("__kept"), F.col("text_hash").alias("__kept_text"))
+    marked = docs.withColumn("__text", _text_hash(text_col))
+    out = marked.join(keep, marked[id_col].eqNullSafe(keep["__kept"]) & (marked["__text"] == keep["__kept_text"]), "left_semi").drop("__text")
+    if verdict.filter("n > 1 AND n_shingles > 0").isEmpty():
+        return out
+    words = F.coalesce(F.col(text_col).rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
+    return out.filter(words).dropDuplicates([id_col, text_col]).unionByName(out.filter(~words))
 
 
 def op2_coordinate_join_neardup(spark, sf_dir) -> DataFrame:
     """Components of near-duplicates among all documents."""
-    return near_duplicates(documents(spark, sf_dir))
+    return near_duplicates(documents(spark, sf_dir)).drop("text_hash")

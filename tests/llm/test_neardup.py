@@ -88,4 +88,8 @@ def test_edges(spark):
     assert len(got) == 5 and sorted(str(r.component_id) for r in got) == ["1", "1", "1", "3", "None"]
     assert neardup.near_duplicates(docs.limit(0)).count() == 0
     kept = neardup.without_near_duplicates(docs)
-    assert kept.columns == docs.columns
+    assert kept.columns == docs.columns and sorted((str(r.doc_id), r.text) for r in kept.filter("text is not null").collect()) == [("1", "a b c d e f")]
+    assert kept.filter("text is null").count() == 2
+    # rows of one id with different texts are told apart
+    mixed = spark.createDataFrame([(5, "a b c d e f", 0), (7, "a b c d e f", 0), (7, "q r s t u v", 0), (5, "k l m n o p", 0)], docs.schema)
+    assert sorted((r.doc_id, r.text[0]) for r in neardup.without_near_duplicates(mixed).collect()) == [(5, "a"), (5, "k"), (7, "q")]
