@@ -20,6 +20,7 @@ from pyspark.sql import functions as F
 
 from ..functions.codes import universal_int_bits
 
+NOT_FINITE = "null, NaN or infinite attribute values; pass on_missing='drop' to leave these rows out"
 #: Largest number of intervals that 'sqrt' chooses.
 SQRT_CAP = 1024
 
@@ -73,10 +74,10 @@ class Grid:
         return [a.index(F.col(a.attr).cast("double")).alias(f"b_{i}") for i, a in enumerate(self.axes)]
 
     def save_rows(self) -> list[tuple]:
-        return [(a.attr, a.n_bins, float(a.lo), float(a.hi), None if a.cuts is None else list(map(float, a.cuts))) for a in self.axes]
+        return [(i, a.attr, a.n_bins, float(a.lo), float(a.hi), None if a.cuts is None else list(map(float, a.cuts))) for i, a in enumerate(self.axes)]
 
 
-GRID_SCHEMA = "attr string, n_bins int, lo double, hi double, cuts array<double>"
+GRID_SCHEMA = "axis int, attr string, n_bins int, lo double, hi double, cuts array<double>"
 
 
 def to_frame(spark, grid: Grid) -> DataFrame:
@@ -84,27 +85,35 @@ def to_frame(spark, grid: Grid) -> DataFrame:
 
 
 def from_frame(df: DataFrame) -> Grid:
-    return Grid(tuple(Axis(r.attr, r.n_bins, r.lo, r.hi, None if r.cuts is None else tuple(r.cuts)) for r in df.collect()))
+    return Grid(tuple(Axis(r.attr, r.n_bins, r.lo, r.hi, None if r.cuts is None else tuple(r.cuts)) for r in df.orderBy("axis").collect()))
 
 
-def valid_rows(df: DataFrame, attrs: list[str], on_missing: str = "error") -> DataFrame:
-    """Rows whose attributes are all finite numbers; with 'error', others raise, with 'drop' they go."""
+def _not_finite(attrs: list[str]) -> Column:
     bad = F.lit(False)
     for a in attrs:
         v = F.col(a).cast("double")
         bad = bad | v.isNull() | F.isnan(v) | (F.abs(v) == float("inf"))
-    if on_missing == "drop":
-        return df.filter(~bad)
-    if df.filter(bad).limit(1).count():
-        raise ValueError("null, NaN or infinite attribute values; pass on_missing='drop' to leave these rows out")
-    return df
+    return bad
+
+
+def finite_rows(df: DataFrame, attrs: list[str]) -> DataFrame:
+    """Rows whose attributes are all finite numbers."""
+    return df.filter(~_not_finite(attrs))
+
+
+def check_rows(df: DataFrame, attrs: list[str]) -> None:
+    """Raise if an attribute value is not a finite number; grids made from the rows have checked that already."""
+    if df.filter(_not_finite(attrs)).limit(1).count():
+        raise ValueError(NOT_FINITE)
 
 
 def _ranges(df: DataFrame, attrs: list[str]):
     parts = [f(F.col(a).cast("double")).alias(f"{name}_{i}") for i, a in enumerate(attrs) for name, f in (("lo", F.min), ("hi", F.max))]
-    row = df.agg(F.count(F.lit(1)).alias("n"), *parts).first()
+    row = df.agg(F.count(F.lit(1)).alias("n"), F.count_if(_not_finite(attrs)).alias("bad"), *parts).first()
     if not row.n:
         raise ValueError("no rows to make a grid from")
+    if row.bad:
+        raise ValueError(NOT_FINITE)
     return row.n, [(row[f"lo_{i}"], row[f"hi_{i}"]) for i in range(len(attrs))]
 
 
@@ -200,18 +209,19 @@ def mdl_1d(df: DataFrame, attrs: list[str], max_bins: int = 30, micro_bins: int
     return Grid(tuple(axes), micro.n_rows)
 
 
-def interaction_preserving(df: DataFrame, attrs: list[str], micro_bins: int = 50, threshold: float = 1.0 / 3.0) -> Grid:
+def interaction_preserving(df: DataFrame, attrs: list[str], micro_bins: int | None = None, threshold: float = 1.0 / 3.0) -> Grid:
     """Boundaries that keep what neighbouring intervals say about the other attributes.
 
     Our own reading of interaction-preserving discretisation: each attribute is
-    cut into quantile micro-intervals; a profile (share of rows below each
+    cut into quantile micro-intervals (the root of the number of rows, 50 at
+    most); a profile (share of rows below each
     quartile of every other attribute, as an empirical distribution) is taken
     for each.  Two neighbours differ where the squared distance of their
     profiles is in the upper `threshold` share of all distances; the merge that
     minimises interval code plus the number of kept differences is found by a
     dynamic programme.
     """
-    micro = _micro(df, attrs, micro_bins)
+    micro = _micro(df, attrs, micro_bins or min(50, bins_of("sqrt", attrs[:1], df.count())[0]))
     levels = _micro(df, attrs, 4)
     rows = df.select(*[a.index(F.col(a.attr).cast("double")).alias(f"m_{i}") for i, a in enumerate(micro.axes)], *[a.index(F.col(a.attr).cast("double")).alias(f"l_{i}") for i, a in enumerate(levels.axes)])
     axes = []
@@ -239,7 +249,7 @@ def _merge_profiles(profile: np.ndarray, weight: np.ndarray, threshold: float) -
     # sampling noise of two empirical shares
     noise = 0.25 * (1 / weight[1:] + 1 / weight[:-1])
     limit = max(float(np.quantile(gaps, 1 - threshold)), 1e-12)
-    different = (gaps >= limit) & (gaps > 4 * noise)
+    different = (gaps >= limit) & (gaps > 2 * noise)
     ahead = np.concatenate([[0], np.cumsum(different)])
     lost = lambda i, j: ahead[j - 1] - ahead[i]  # noqa: E731  differences inside a run i..j-1
     best, back = [0.0] + [math.inf] * m, [0] * (m + 1)

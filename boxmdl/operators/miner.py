@@ -131,7 +131,10 @@ def mine(df: DataFrame, attrs: list[str], n_bins="sqrt", k: int | None = None, g
     """
     began = time.monotonic()
     spark = df.sparkSession
-    df = grids.valid_rows(df, attrs, on_missing)
+    if on_missing == "drop":
+        df = grids.finite_rows(df, attrs)
+    elif grid is not None:
+        grids.check_rows(df, attrs)
     grid = grid or grids.equal_width(df, attrs, n_bins)
     elementary = fixed(cells.elementary(cells.discretise(df, grid)))
     result = mine_cells(elementary, grid, k, eps, candidate_scope, gain_mode, tie, prune_when, top_n, encoding, requeue, absorb_order, knn_method)

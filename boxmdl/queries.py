@@ -73,7 +73,7 @@ for _w, _b in (("W1", 5), ("W2", "sqrt"), ("W3", "sqrt"), ("W4", 5), ("W5", 5),
 
     @query(f"grid_equal_width_{_w.lower()}", O.equal_width(_w, _b))
     def _(spark, sf, w=_w, b=_b):
-        return grid.to_frame(spark, setup(spark, sf, w, b)[1]).drop("cuts")
+        return grid.to_frame(spark, setup(spark, sf, w, b)[1]).drop("axis", "cuts")
 
 
 @query("grid_equal_height_w3", O.equal_height("W3", 8))
