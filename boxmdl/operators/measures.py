@@ -85,10 +85,11 @@ def jaccard_topk(boxes: DataFrame, cells: DataFrame, k: int = 10) -> DataFrame:
     """
     near = jaccard_pairs(boxes, cells)
     ways = near.select(F.col("a").alias("p"), F.col("b").alias("q"), "jaccard").unionByName(near.select(F.col("b").alias("p"), F.col("a").alias("q"), "jaccard"))
-    ids = boxes.select(F.col("pid").alias("q"))
-    # no more than k + 1 others are ever needed to fill a list with zeros, but lists of overlaps may hold any of them
-    every = boxes.select(F.col("pid").alias("p")).join(F.broadcast(ids), F.col("p") != F.col("q"))
-    filled = every.join(ways, ["p", "q"], "left").withColumn("jaccard", F.coalesce("jaccard", F.lit(0.0)))
+    # a list is filled up from the least ids: beside itself and its overlaps a pattern needs k of them at most
+    most = ways.groupBy("p").count().agg(F.max("count")).first()[0] or 0
+    spare = boxes.select(F.col("pid").alias("q")).orderBy("q").limit(k + 1 + most)
+    others = boxes.select(F.col("pid").alias("p")).join(F.broadcast(spare), F.col("p") != F.col("q"))
+    filled = ways.unionByName(others.join(ways, ["p", "q"], "left_anti").withColumn("jaccard", F.lit(0.0)))
     top = filled.withColumn("r", F.row_number().over(Window.partitionBy("p").orderBy(F.desc("jaccard"), "q"))).filter(F.col("r") <= k)
     pairs = top.select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"), "jaccard").dropDuplicates(["a", "b"])
     return pairs.agg(F.count(F.lit(1)).alias("pairs"), F.avg("jaccard").alias("mean_jaccard"))
