@@ -152,8 +152,11 @@ def prune(p: Patterns, run: Run, grid: Grid, eps: float = EPS, top_n: int | None
         found: list[tuple[float, int, int]] = []
         for i in range(k - 1):
             low, high = np.minimum(lo[i], lo[i + 1 :]), np.maximum(hi[i], hi[i + 1 :])
-            inside = ((lo[None] >= low[:, None]) & (hi[None] <= high[:, None])).all(axis=2).sum(axis=1) > 2
-            j = np.flatnonzero(inside) + i + 1
+            inside = np.ones((len(low), k), bool)
+            for d in range(lo.shape[1]):
+                inside &= lo[None, :, d] >= low[:, None, d]
+                inside &= hi[None, :, d] <= high[:, None, d]
+            j = np.flatnonzero(np.count_nonzero(inside, axis=1) > 2) + i + 1
             if len(j):
                 pairs = np.stack([np.full(len(j), live[i]), live[j]], axis=1)
                 found += zip(weights(p, pairs, eps, encoding).tolist(), pairs[:, 0].tolist(), pairs[:, 1].tolist(), strict=True)
@@ -166,7 +169,8 @@ def prune(p: Patterns, run: Run, grid: Grid, eps: float = EPS, top_n: int | None
             live = p.live()
             low, high = np.minimum(p.lo[a], p.lo[b]), np.maximum(p.hi[a], p.hi[b])
             hull = float(np.log2(high - low + 1.0).sum())
-            inside = [h for h in live.tolist() if h not in (a, b) and (p.lo[h] >= low).all() and (p.hi[h] <= high).all()]
+            held = (p.lo[live] >= low).all(axis=1) & (p.hi[live] <= high).all(axis=1) & (live != a) & (live != b)
+            inside = live[held].tolist()
             inside.sort(key=lambda h: p.ids[h] if order == "id" else (-p.usage[h], p.ids[h]))
             gain_of = lambda rows: group_gain(p.usage[rows], p.log_size[rows], hull, len(live), n, grid, eps, encoding)  # noqa: B023, E731
             members, gain = [a, b], gain_of([a, b])
