@@ -132,24 +132,16 @@ def test_pruning_only_shortens(seed):
 
 
 def test_pruning_merges_three_where_no_pair_pays():
-    g = grid.Grid((grid.Axis("x", 63, 0.0, 1.0), grid.Axis("y", 63, 0.0, 1.0)))
-    lo = np.array([[0, 0], [0, 16], [0, 33], [40, 40]])
-    hi = np.array([[20, 14], [20, 31], [20, 50], [45, 44]])
-    found = None
-    for u in range(5, 400):
-        p = kernel.Patterns.of(np.arange(1, 5), lo, hi, np.array([u, u, u, 200]))
-        every = np.array([[a, b] for a in range(4) for b in range(a + 1, 4)])
-        n, k = int(p.usage.sum()), 4
-        gains = kernel.weights(p, every, 0.5, "plugin") + model.kappa(k, n, g)
-        hull = math.log2(21) + math.log2(51)
-        triple = model.group_gain(p.usage[:3], p.log_size[:3], hull, k, n, g)
-        if gains.max() <= 0 < triple:
-            found = p
-            break
-    if found is None:
-        pytest.skip("no such usage on this lattice")
-    run = kernel.Run(found)
-    assert kernel.prune(found, run, g) == 1 and len(found.live()) == 2
+    g = grid.Grid((grid.Axis("x", 8, 0.0, 1.0), grid.Axis("y", 8, 0.0, 1.0)))
+    lo, hi = np.array([[3, 0], [2, 3], [2, 0]]), np.array([[5, 3], [3, 3], [4, 0]])
+    p = kernel.Patterns.of(np.arange(1, 4), lo, hi, np.array([37, 22, 37]))
+    pairs = np.array([[0, 1], [0, 2], [1, 2]])
+    assert (kernel.weights(p, pairs, 0.5, "plugin") + model.kappa(3, 96, g)).max() <= 0
+    run = kernel.mine(p, None, g, scope="all")
+    assert not run.ledger
+    before = model.total_bits_local(p.usage[p.live()], p.log_size[p.live()], g)
+    assert kernel.prune(p, run, g) == 1 and len(p.live()) == 1
+    assert model.total_bits_local(p.usage[p.live()], p.log_size[p.live()], g) < before
 
 
 def test_group_gain_is_the_difference_of_totals():
