@@ -5,14 +5,17 @@ tags as browsers treat them, as far as text is concerned).  Elements whose tag,
 role or class names say that they are no part of an article (menus, headers,
 footers, sidebars, notices, adverts, forms, scripts, comments by readers) are
 left out.  What pages do not say themselves is found by repetition: every
-element subtree outside an article is hashed, Spark counts the pages of each
-host that hold it, and subtrees found on many pages of the host are deleted.
-Subtrees of an `article` or `main` element stay, whatever their number, and
-pages of one host with the same main text count once: copies of an article are
-no template.
-
-A subtree recurs if it is on at least `least_pages` pages and on at least
-`share` of the host's pages.
+element subtree with text is hashed, Spark counts the pages of each host that
+hold it, and subtrees found on many pages of the host are deleted, inside
+`article` and `main` elements too; there, only whole blocks (no inline element,
+list item, row or cell alone, which are parts of a sentence, list or table).
+Pages of one host with the same text count once: copies of an article are no
+template.  So do, for what lies in an outermost `article` or `main` that holds
+half of the page's text or more, articles with the same text, whatever stands
+around them.  Text outside articles stays unless it is marked or recurs.
+
+A subtree recurs if it is on at least `least_pages` pages and, of the host's
+pages, on at least `share` or on at least `many_pages`.
 
 Block elements end a block; white space inside a block becomes one space;
 blocks are joined by a line feed.  Character references are decoded.
@@ -38,6 +41,7 @@ from .common import pieces, stored
 
 LEAST_PAGES = 5
 SHARE = 0.1
+MANY_PAGES = 100
 #: Recurring subtrees (16 bytes and a host name each) up to which their table is sent to every task.
 BROADCAST_ROWS = 200_000
 
@@ -47,6 +51,8 @@ RAW = frozenset("script style textarea title xmp iframe noembed noframes".split(
 BLOCK = frozenset(
     "address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol optgroup option p pre section summary table tbody td tfoot th thead tr ul".split()
 )
+#: Blocks that are part of a list or table: inside articles they go only with the whole of it.
+PARTS = frozenset("caption dd dt legend li tbody td tfoot th thead tr".split())
 DROPPED = frozenset("head script style noscript template iframe object embed svg math canvas audio video map nav header footer aside form button select textarea input label option dialog menu title".split())
 #: A start tag of these closes an open element of the second list, up to the nearest element of the third.
 CLOSES = {
@@ -145,58 +151,66 @@ def says_no_article(node: Node) -> bool:
 
 
 def subtree_hashes(root: Node) -> dict[int, int]:
-    """Hash of every element subtree outside articles, by the node's identity."""
+    """Hash of every element subtree with text that may be deleted, by the node's identity."""
     found: dict[int, int] = {}
-    stack: list[tuple[Node, bool]] = [(root, False)]
-    parts: dict[int, bytes] = {}
+    stack: list[tuple[Node, bool, bool]] = [(root, False, False)]
+    parts: dict[int, tuple[str, bool]] = {}
     while stack:
-        node, done = stack.pop()
+        node, inside, done = stack.pop()
         if not done:
-            stack.append((node, True))
-            stack += [(c, False) for c in node.children if isinstance(c, Node) and c.tag not in ("article", "main")]
+            stack.append((node, inside, True))
+            within = inside or node.tag in ("article", "main")
+            stack += [(c, within, False) for c in node.children if isinstance(c, Node)]
             continue
         text = [node.tag, re.sub(r"\s+", " ", node.attrs).strip()]
-        whole = True
+        shown = False
         for c in node.children:
             if isinstance(c, str):
                 text.append(" ".join(c.split()))
-            elif id(c) in parts:
-                text.append(parts.pop(id(c)).hex())
+                shown = shown or bool(text[-1])
             else:
-                whole = False  # holds an article, or something that does
-        if whole and node.tag != "#root":
-            d = xxhash.xxh3_64_digest("\x1f".join(text).encode("utf-8", "surrogatepass"))
-            parts[id(node)] = d
+                digest, holds = parts.pop(id(c))
+                text.append(digest)
+                shown = shown or holds
+        d = xxhash.xxh3_64_digest("\x1f".join(text).encode("utf-8", "surrogatepass"))
+        parts[id(node)] = d.hex(), shown
+        if shown and node is not root and (not inside or node.tag in BLOCK and node.tag not in PARTS):
             found[id(node)] = int.from_bytes(d, "big") - (1 << 63)
     return found
 
 
-def has_text(node: Node) -> bool:
-    stack = [node]
-    while stack:
-        for c in stack.pop().children:
-            if isinstance(c, str):
-                if c.strip():
-                    return True
-            else:
-                stack.append(c)
-    return False
-
+def page_subtrees(root: Node) -> list[tuple[str, bytes, list[int]]]:
+    """The page's different subtrees, each under the text by which its copies count once.
 
-def page_subtrees(root: Node) -> list[int]:
-    """Hashes of the different subtrees with text outside articles."""
+    One entry ``page`` with the digest of the page's text, and an entry
+    ``article`` for each outermost article that holds half of that text or more.
+    """
     hashes = subtree_hashes(root)
-    seen, stack = set(), [root]
+    digest = lambda text: xxhash.xxh3_128_digest(text.encode("utf-8", "surrogatepass"))
+    text = main_text(root, outside=True)
+    groups: list[tuple[str, bytes, set[int]]] = [("page", digest(text), set())]
+    stack = [(root, 0, False)]
     while stack:
-        node = stack.pop()
-        if id(node) in hashes and has_text(node):
-            seen.add(hashes[id(node)])
-        stack += [c for c in node.children if isinstance(c, Node) and c.tag not in ("article", "main")]
-    return list(seen)
-
-
-def main_text(root: Node, recurring=frozenset()) -> str:
-    """Text of the page without marked elements and without subtrees in `recurring`; of its articles alone, if they have text."""
+        node, group, inside = stack.pop()
+        if not inside and node.tag in ("article", "main"):
+            inside = True
+            own = _blocks(node, says_no_article)
+            if own and 2 * len(own) >= len(text):
+                group = len(groups)
+                groups.append(("article", digest(own), set()))
+        if id(node) in hashes:
+            groups[group][2].add(hashes[id(node)])
+        stack += [(c, group, inside) for c in node.children if isinstance(c, Node)]
+    seen: set[int] = set()
+    out = []
+    for kind, d, held in reversed(groups):
+        out.append((kind, d, list(held - seen)))
+        seen |= held
+    return out
+
+
+def main_text(root: Node, recurring=frozenset(), outside: bool = False) -> str:
+    """Text of the page without marked elements and without subtrees in `recurring`; unless `outside`, of its articles alone, if they have text."""
     hashes = subtree_hashes(root) if recurring else {}
     gone = lambda node: says_no_article(node) or hashes.get(id(node)) in recurring
 
@@ -204,12 +218,14 @@ def main_text(root: Node, recurring=frozenset()) -> str:
         stack = [root]
         while stack:
             node = stack.pop()
+            if gone(node):
+                continue
             if node.tag in ("article", "main"):
                 yield node
-            elif not gone(node):
+            else:
                 stack += [c for c in reversed(node.children) if isinstance(c, Node)]
 
-    chosen = [text for node in mains() if (text := _blocks(node, gone))]
+    chosen = [] if outside else [text for node in mains() if (text := _blocks(node, gone))]
     return "\n".join(chosen) if chosen else _blocks(root, gone)
 
 
@@ -244,26 +260,27 @@ def _blocks(top: Node, gone) -> str:
     return "\n".join(blocks)
 
 
-def recurring_subtrees(pages: DataFrame, html_col: str, url_col: str, least_pages: int = LEAST_PAGES, share: float = SHARE) -> DataFrame:
+def recurring_subtrees(pages: DataFrame, html_col: str, url_col: str, least_pages: int = LEAST_PAGES, share: float = SHARE, many_pages: int = MANY_PAGES) -> DataFrame:
     """``host``, ``subtree`` of the subtrees to delete."""
 
     def run(batches):
         for b in pieces(batches):
-            roots = [parse(t or "") for t in b.column(1).to_pylist()]
-            texts = [xxhash.xxh3_128_digest(main_text(r).encode("utf-8", "surrogatepass")) for r in roots]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(texts, pa.binary()), pa.array([page_subtrees(r) for r in roots], pa.list_(pa.int64()))], names=["host", "digest", "subtrees"])
+            rows = [(host, *x) for host, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True) for x in page_subtrees(parse(t or ""))]
+            kinds = (pa.string(), pa.string(), pa.binary(), pa.list_(pa.int64()))
+            columns = list(zip(*rows, strict=True)) if rows else [[]] * 4
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["host", "kind", "digest", "subtrees"])
 
     hosts = pages.select(F.regexp_extract(F.coalesce(F.col(url_col), F.lit("")), HOST, 1).alias("host"), F.col(html_col)).filter("host != ''")
-    read = hosts.mapInArrow(run, "host string, digest binary, subtrees array<long>")
-    seen = stored(read.dropDuplicates(["host", "digest"]), "subtrees")
-    held = seen.groupBy("host").agg(F.count(F.lit(1)).alias("pages"))
+    read = hosts.mapInArrow(run, "host string, kind string, digest binary, subtrees array<long>")
+    seen = stored(read.dropDuplicates(["host", "kind", "digest"]), "subtrees")
+    held = seen.filter("kind = 'page'").groupBy("host").agg(F.count(F.lit(1)).alias("pages"))
     counts = seen.select("host", F.explode("subtrees").alias("subtree")).groupBy("host", "subtree").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= least_pages)
-    return counts.join(held, "host").filter(F.col("n") >= share * F.col("pages")).select("host", "subtree")
+    return counts.join(held, "host").filter((F.col("n") >= share * F.col("pages")) | (F.col("n") >= many_pages)).select("host", "subtree")
 
 
-def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", least_pages: int = LEAST_PAGES, share: float = SHARE, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
+def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", least_pages: int = LEAST_PAGES, share: float = SHARE, many_pages: int = MANY_PAGES, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """``page_id``, ``url``, ``text`` of every page."""
-    often = stored(recurring_subtrees(pages, html_col, url_col, least_pages, share), "recurring")
+    often = stored(recurring_subtrees(pages, html_col, url_col, least_pages, share, many_pages), "recurring")
     host = F.regexp_extract(F.coalesce(F.col(url_col), F.lit("")), HOST, 1)
     slim = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).alias("url"), F.col(html_col).alias("html"), host.alias("host"))
     if often.count() <= broadcast_rows:
@@ -278,7 +295,7 @@ def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", htm
 
     def run(batches):
         for b in pieces(batches):
-            texts = [main_text(parse(t or ""), r) for t, r in zip(b.column(2).to_pylist(), lists(b), strict=True)]
+            texts = [main_text(parse(t or ""), r, outside=True) for t, r in zip(b.column(2).to_pylist(), lists(b), strict=True)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string())], names=["page_id", "url", "text"])
 
     kind = dict(slim.dtypes)

@@ -63,3 +63,26 @@ def test_templates_are_found_by_repetition(spark):
         assert got[100] == "Site name tagline\nstory 0 has words\nAll rights of site".replace("name ", "name")  # copies of one page
         assert got[200] == "" and got[201].startswith("Site")
     assert html_text.extract(pages.limit(0)).count() == 0
+
+
+def test_templates_inside_articles_and_text_beside_them(spark):
+    def page(i):
+        return f"<h1>Title {i}</h1><article><p>story {i} has <b>bold</b> words</p><ul><li>same</li><li>item {i}</li></ul><p class=x>Licence of the site</p></article><div>body {i}</div>"
+
+    rows = [(i, f"https://host.example/{i}", page(i)) for i in range(12)]
+    rows += [(100 + i, "https://copies.example/", f"<article><p>one story of many words</p><p>told again</p></article><div>{i}</div>") for i in range(12)]
+    rows += [(200 + i, "https://cards.example/", f"<article>Read more</article><div>a longer body of page {i}</div>") for i in range(12)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = {r.page_id: r.text for r in html_text.extract(pages).collect()}
+    for i in range(12):
+        assert got[i] == f"Title {i}\nstory {i} has bold words\nsame\nitem {i}\nbody {i}"
+        assert got[100 + i] == f"one story of many words\ntold again\n{i}"
+        assert got[200 + i] == f"a longer body of page {i}"
+
+
+def test_a_template_of_part_of_a_large_host(spark):
+    rows = [(i, "https://large.example/", f"<p>story {i}</p>" + "<div>notice</div>" * (i < 30)) for i in range(400)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for many, expected in ((30, "story 0"), (31, "story 0\nnotice")):
+        got = {r.page_id: r.text for r in html_text.extract(pages, many_pages=many).collect()}
+        assert got[0] == expected and got[399] == "story 399"
