@@ -37,9 +37,8 @@ from .common import documents, pieces, train_split
 
 #: Labelled documents that learning may use.
 MAX_LABELLED = 30_000
-#: Patterns that a lexicon may hold, and the candidates it is picked from.
+#: Patterns that a lexicon may hold.
 MAX_PATTERNS = 2_000
-MAX_CANDIDATES = 20_000
 MIN_LOG_ODDS = 3.0
 #: Least likelihood-ratio statistic of a pattern, so that chance finds among many candidates stay out.
 MIN_EVIDENCE = 20.0
@@ -224,12 +223,11 @@ def patterns(text: str | None) -> Counter:
     return found
 
 
-def _pattern_counts(docs: DataFrame, only: frozenset | None = None) -> DataFrame:
+def _pattern_counts(docs: DataFrame) -> DataFrame:
     """Numbers of the given documents that hold each pattern."""
-    shared = docs.sparkSession.sparkContext.broadcast(only)
 
     def run(batches):
-        wanted, held = shared.value, Counter()
+        held = Counter()
 
         def out():
             batch = pa.RecordBatch.from_arrays([pa.array(list(held), pa.string()), pa.array(list(held.values()), pa.int64())], names=["pattern", "n"])
@@ -238,7 +236,7 @@ def _pattern_counts(docs: DataFrame, only: frozenset | None = None) -> DataFrame
 
         for b in pieces(batches):
             for text in b.column(0).to_pylist():
-                held.update(k for k in patterns(text) if wanted is None or k in wanted)
+                held.update(patterns(text).keys())
                 if len(held) > 100_000:
                     yield out()
         if held:
@@ -285,17 +283,18 @@ def _lexicon(labelled: DataFrame, n_toxic: int, n_clean: int) -> tuple[dict, dic
     """Patterns with high log odds and enough evidence that cover the toxic documents, and the listed insults that the labels do not contradict."""
     least = max(3, int(0.002 * n_toxic))
     toxic = labelled.filter("toxic = 1")
-    positive = {r.pattern: r.n for r in _pattern_counts(toxic).filter(F.col("n") >= least).orderBy(F.desc("n"), "pattern").limit(MAX_CANDIDATES).collect()}
-    negative = {r.pattern: r.n for r in _pattern_counts(labelled.filter("toxic = 0"), frozenset(positive)).collect()}
-    odds = {p: float(np.log((n + 0.5) / (n_toxic + 1)) - np.log((negative.get(p, 0) + 0.5) / (n_clean + 1))) for p, n in positive.items()}
-    listed = {p: odds.get(p, LISTED_WEIGHT) for p in ("=" + w for w in INSULTS)}
-    share = n_toxic / (n_toxic + n_clean)
-
-    def evidence(p):
-        a, b = positive[p], negative.get(p, 0)
-        return 2 * (a * np.log(a / ((a + b) * share)) + (b * np.log(b / ((a + b) * (1 - share))) if b else 0))
-
-    odds = {p: w for p, w in odds.items() if w >= MIN_LOG_ODDS and evidence(p) >= MIN_EVIDENCE}
+    names = ["=" + w for w in INSULTS]
+    positive = _pattern_counts(toxic).filter(F.col("n") >= least).withColumnRenamed("n", "a")
+    counts = positive.join(_pattern_counts(labelled.filter("toxic = 0")).withColumnRenamed("n", "b"), "pattern", "left").na.fill(0, ["b"])
+    a, b, share = F.col("a"), F.col("b"), n_toxic / (n_toxic + n_clean)
+    weight = F.log((a + 0.5) / (n_toxic + 1)) - F.log((b + 0.5) / (n_clean + 1))
+    evidence = 2 * (a * F.log(a / ((a + b) * share)) + F.when(b > 0, b * F.log(b / ((a + b) * (1 - share)))).otherwise(0.0))
+    # All patterns are judged in Spark; only those that pass (and the listed) are collected.
+    judged = counts.select("pattern", weight.alias("odds"), ((weight >= MIN_LOG_ODDS) & (evidence >= MIN_EVIDENCE)).alias("passes"))
+    found = judged.filter(F.col("passes") | F.col("pattern").isin(names)).collect()
+    known = {r.pattern: r.odds for r in found}
+    odds = {r.pattern: r.odds for r in found if r.passes}
+    listed = {p: known.get(p, LISTED_WEIGHT) for p in names}
     chosen = {p: odds[p] for p in cover(_pattern_lists(toxic, frozenset(odds)), odds, least)}
     chosen |= {p: w for p, w in listed.items() if w >= MIN_LOG_ODDS}
     return {p[1:]: w for p, w in chosen.items() if p[0] == "="}, {p: w for p, w in chosen.items() if p[0] != "="}

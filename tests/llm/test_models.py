@@ -110,6 +110,16 @@ def test_copies_do_not_make_a_lexicon():
     assert "=copyword" not in toxicity.cover(found, dict.fromkeys(("=idiot", "idio", "=scum", "=copyword"), 4.0), 3)
 
 
+def test_rare_insults_are_scored_beside_many_common_words(spark):
+    import random
+
+    rng = random.Random(4)
+    common = " ".join("".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=9)) for _ in range(6000))
+    rows = [(common + (" zyxgrobble" if i < 10 else ""), 1) for i in range(40)] + [(common, 0)] * 100
+    words, beginnings = toxicity._lexicon(spark.createDataFrame(rows, "text string, toxic int"), 40, 100)
+    assert "zyxgrobble" in words and not any(p in common for p in words if p not in toxicity.INSULTS)
+
+
 def test_toxicity_edges(spark):
     docs = spark.createDataFrame([(1, None, 7), (2, "", 7), (2, "", 7), (3, "word " * 50000, 7)], "doc_id long, text string, score int")
     labels = spark.createDataFrame([(1, 0, None), (2, None, 1), (99, 1, 1)], "doc_id long, quality int, toxic int")
