@@ -8,8 +8,8 @@ language) for every n-gram that any language has seen, with back-off rows for
 the rest.  A text goes to the language of the lowest cross-entropy for each
 character.  The confidence is the posterior of that language at a temperature
 that grows with the square root of the length, and is halved for texts whose
-cross-entropy is above the language's rejection level, a high quantile over a
-bounded sample of its training texts.
+cross-entropy is above the language's rejection level, a high quantile over all
+its training texts.
 
 Characters below U+0800 have keys of their own; those above share 2048 hashed
 keys.
@@ -37,9 +37,9 @@ MASK = (1 << BITS) - 1
 SPACE = 32
 #: Rows of n-grams that a model may hold; rarer n-grams go first if there are more.
 MAX_NGRAMS = 4_000_000
-#: Training texts used to set the rejection levels, and the quantile they are set at.
-REJECT_SAMPLE = 4_000
+#: Quantile of a language's training texts that its rejection level is set at, and the accuracy it is found with.
 REJECT_QUANTILE = 0.995
+ACCURACY = 10_000
 #: Characters worked on at once.
 CHUNK = 1 << 21
 
@@ -251,22 +251,16 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
     finally:
         counts.unpersist()
     models = Models.fit(found["lang"].to_numpy(dtype=object), found["gram"].to_numpy(np.int64), found["n"].to_numpy(np.int64))
-    sample = docs.filter(F.col(lang_col).isNotNull()).select(F.xxhash64(id_col).alias("h"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"))
     levels = [np.inf] * len(models.langs)
     names = {x: k for k, x in enumerate(models.langs)}
-    share = sc_share(docs)
-    scores = sample.filter(F.pmod("h", F.lit(1_000_000)) < int(share * 1_000_000)).select("text", "lang").mapInArrow(_own_entropy(docs.sparkSession.sparkContext.broadcast(models)), "lang string, entropy double")
-    for row in scores.groupBy("lang").agg(F.percentile_approx("entropy", REJECT_QUANTILE, 1000).alias("level")).collect():
+    own = docs.filter(F.col(lang_col).isNotNull()).select(F.col(text_col), F.col(lang_col).cast("string"))
+    scores = own.mapInArrow(_own_entropy(docs.sparkSession.sparkContext.broadcast(models)), "lang string, entropy double")
+    for row in scores.groupBy("lang").agg(F.percentile_approx("entropy", REJECT_QUANTILE, ACCURACY).alias("level")).collect():
         levels[names[row["lang"]]] = row["level"] * 1.02
     models.limits = np.array(levels)
     return models
 
 
-def sc_share(docs: DataFrame) -> float:
-    """Share of the rows that makes the rejection sample about REJECT_SAMPLE rows."""
-    return min(1.0, REJECT_SAMPLE / max(1, docs.count()))
-
-
 def _own_entropy(models):
     def run(batches):
         for b in pieces(batches):

@@ -68,6 +68,19 @@ def test_language_edges(spark):
     assert langid.identify(docs.limit(0), models).count() == 0
 
 
+def test_rejection_levels_are_quantiles_of_all_training_texts(spark):
+    import random
+
+    rng = random.Random(8)
+    say = lambda letters: " ".join("".join(rng.choices(letters, k=rng.randrange(2, 7))) for _ in range(6))
+    rows = [(i, say("abcde"), "many") for i in range(9000)] + [(9000 + i, say("vwxyz"), "few") for i in range(30)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    models = langid.train(docs)
+    for k, name in enumerate(models.langs):
+        own = np.sort(models.entropies([t for _, t, x in rows if x == name])[0][:, k])
+        assert models.limits[k] == pytest.approx(1.02 * own[int(np.ceil(langid.REJECT_QUANTILE * len(own))) - 1], rel=1e-3)
+
+
 def test_toxicity_held_out(spark):
     got = toxicity.op8_clause_grammar_toxicity(spark, SF).toPandas()
     labels = duckdb.sql(f"select doc_id, toxic from '{SF}/labels.parquet'").df()
