@@ -1,7 +1,7 @@
 """Language identification with character n-gram language models.
 
 Each language has an interpolated Kneser-Ney model of order 4 over normalised
-characters (lower case, letters only, everything else folded to one space).
+characters (lower case, letters and their marks only, everything else folded to one space).
 Counts are taken over all training documents in Spark; the models are kept
 together in sorted key arrays, one row of log probabilities (a value for each
 language) for every n-gram that any language has seen, with back-off rows for
@@ -11,8 +11,12 @@ that grows with the square root of the length, and is halved for texts whose
 cross-entropy is above the language's rejection level, a high quantile over all
 its training texts.
 
-Characters below U+0800 have keys of their own; those above share 2048 hashed
-keys.
+No n-gram is left out, so discounts and continuation counts are those of the
+full counts, and a model grows with the languages' spelling (4 bytes for each
+language and each n-gram that any of them has).
+
+Characters below U+3000 have keys of their own; those above share 20 479 hashed
+keys.  Combining marks count as letters.
 
 Edge cases: a null text or one without a letter is `und` with score 0, as is
 everything when there was nothing to learn from; documents without a language
@@ -22,6 +26,7 @@ other columns are not read.
 
 from __future__ import annotations
 
+import unicodedata
 from dataclasses import dataclass
 
 import numpy as np
@@ -32,11 +37,10 @@ from pyspark.sql import functions as F
 from .common import documents, pieces, train_split
 
 ORDER = 4
-BITS = 12
-MASK = (1 << BITS) - 1
+BITS = 15
+#: Code points below have keys of their own.
+OWN_KEYS = 0x3000
 SPACE = 32
-#: Rows of n-grams that a model may hold; rarer n-grams go first if there are more.
-MAX_NGRAMS = 4_000_000
 #: Quantile of a language's training texts that its rejection level is set at, and the accuracy it is found with.
 REJECT_QUANTILE = 0.995
 ACCURACY = 10_000
@@ -47,12 +51,12 @@ _table: np.ndarray | None = None
 
 
 def symbols() -> np.ndarray:
-    """Key of every code point: itself below 0x800, a hash from 0x800 on, SPACE for anything but letters."""
+    """Key of every code point: itself below OWN_KEYS, a hash from there on, SPACE for anything but letters and their marks."""
     global _table
     if _table is None:
         codes = np.arange(0x110000, dtype=np.int64)
-        letter = np.fromiter((chr(c).isalpha() for c in range(0x110000)), dtype=bool, count=0x110000)
-        keys = np.where(codes < 0x800, codes, 0x800 + (codes * 2654435761 >> 7) % 0x7FF)
+        letter = np.fromiter((unicodedata.category(chr(c))[0] in "LM" for c in range(0x110000)), dtype=bool, count=0x110000)
+        keys = np.where(codes < OWN_KEYS, codes, OWN_KEYS + (codes * 2654435761 >> 7) % ((1 << BITS) - 1 - OWN_KEYS))
         _table = np.where(letter, keys, SPACE).astype(np.int16)
     return _table
 
@@ -229,28 +233,12 @@ class Models:
         return [self.langs[b] if n else "und" for b, n in zip(best, size, strict=True)], score, rejected | (size == 0)
 
 
-def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", max_ngrams: int = MAX_NGRAMS) -> Models:
-    """Models from all given documents with a language.
-
-    The number of different n-grams is bounded by the languages' spelling, not
-    by the corpus; should it pass `max_ngrams`, n-grams seen least are left out.
-    """
-    counts = count_ngrams(docs, text_col, lang_col).cache()
-    try:
-        tally = counts.groupBy("n").count().orderBy(F.desc("n"))
-        if counts.count() > max_ngrams:
-            held, least = 0, 1
-            for row in tally.toLocalIterator():
-                held += row["count"]
-                if held > max_ngrams:
-                    least = row["n"] + 1
-                    break
-            found = counts.filter(F.col("n") >= least).toPandas()
-        else:
-            found = counts.toPandas()
-    finally:
-        counts.unpersist()
-    models = Models.fit(found["lang"].to_numpy(dtype=object), found["gram"].to_numpy(np.int64), found["n"].to_numpy(np.int64))
+def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Models:
+    """Models from all given documents with a language, of all their n-grams."""
+    found = count_ngrams(docs, text_col, lang_col).toArrow()
+    lang = found["lang"].combine_chunks().dictionary_encode()
+    names = np.array(lang.dictionary.to_pylist(), dtype=object)
+    models = Models.fit(names[lang.indices.to_numpy(zero_copy_only=False)], found["gram"].to_numpy(), found["n"].to_numpy())
     levels = [np.inf] * len(models.langs)
     names = {x: k for k, x in enumerate(models.langs)}
     own = docs.filter(F.col(lang_col).isNotNull()).select(F.col(text_col), F.col(lang_col).cast("string"))

@@ -81,6 +81,20 @@ def test_rejection_levels_are_quantiles_of_all_training_texts(spark):
         assert models.limits[k] == pytest.approx(1.02 * own[int(np.ceil(langid.REJECT_QUANTILE * len(own))) - 1], rel=1e-3)
 
 
+def test_no_ngram_is_left_out_of_a_large_table(spark):
+    letters = np.array([c for c in range(0x61, 0x600) if chr(c).isalpha() and chr(c).lower() == chr(c)])
+    texts = ["".join(map(chr, np.random.default_rng(k).choice(letters, 110_000))) for k in range(40)]
+    docs = spark.createDataFrame([(k, t, "x") for k, t in enumerate(texts)], "doc_id long, text string, lang string").repartition(8)
+    seen = np.unique(np.concatenate([langid.grams(langid.encoded(t)) for t in texts]))
+    assert len(seen) > 4_000_000
+    assert np.array_equal(langid.train(docs).keys[langid.ORDER], seen)
+
+
+def test_marks_are_part_of_words_and_scripts_have_keys_of_their_own():
+    assert len(langid.encoded("हिन्दी")) == langid.ORDER + len("हिन्दी")
+    assert len(set(langid.encoded("".join(map(chr, range(0xE01, 0xE2F)))).tolist())) == 0xE2F - 0xE01 + 1
+
+
 def test_toxicity_held_out(spark):
     got = toxicity.op8_clause_grammar_toxicity(spark, SF).toPandas()
     labels = duckdb.sql(f"select doc_id, toxic from '{SF}/labels.parquet'").df()
