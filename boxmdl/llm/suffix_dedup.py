@@ -15,7 +15,10 @@ among their K-grams, which depends on their bytes alone.  So
 4.  the bytes under all repeats are removed.
 
 A shard is read as a stream of anchors and sorted in batches of at least
-`batch_bytes`; only the segments of one anchor must be in one batch.  Which
+`batch_bytes`; only the segments of one anchor must be in one batch.  The
+segments of anchors seen more than `hot_segments` times are not sorted: their
+strings are grouped by content (a 128-bit hash), over all tasks, so no batch is
+larger than `batch_bytes` and `hot_segments` segments together.  Which
 segments step 1 can skip is told during the scan by a Bloom filter of fixed
 size; a filter that is too full lets more segments through, never fewer.
 
@@ -43,6 +46,8 @@ GRAM = 48
 #: Words of 64 bits in each Bloom filter (2 MB).
 BLOOM_WORDS = 1 << 18
 BATCH_BYTES = 2 << 20
+#: Occurrences of an anchor up to which one task sorts its segments.
+HOT_SEGMENTS = 10_000
 #: Bytes of a document worked on at once (places in it take 24 bits of a sort key).
 CHUNK = 1 << 22
 #: Segments whose bytes a task remembers to have sent.
@@ -131,7 +136,7 @@ def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def repeated_anchors(docs: DataFrame, text_col: str = "text", length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """``anchor``, ``mixed`` (whether its segments differ) of the anchors seen twice or more."""
+    """``anchor``, ``mixed`` (whether its segments differ), ``held`` (how often it is seen) of the anchors seen twice or more."""
 
     def run(batches):
         for b in pieces(batches):
@@ -144,10 +149,29 @@ def repeated_anchors(docs: DataFrame, text_col: str = "text", length: int = LENG
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(anchors)), pa.array(hashes, pa.int64())], names=["anchor", "segment"])
 
     seen = docs.select(F.col(text_col)).mapInArrow(run, "anchor long, segment long")
-    return seen.groupBy("anchor").agg(F.count(F.lit(1)).alias("n"), F.min("segment").alias("x"), F.max("segment").alias("y")).filter("n > 1").select("anchor", (F.col("x") != F.col("y")).alias("mixed"))
+    return seen.groupBy("anchor").agg(F.count(F.lit(1)).alias("n"), F.min("segment").alias("x"), F.max("segment").alias("y")).filter("n > 1").select("anchor", (F.col("x") != F.col("y")).alias("mixed"), F.col("n").alias("held"))
 
 
-def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, gram: int = GRAM, batch_bytes: int = BATCH_BYTES) -> DataFrame:
+def _shared_strings(segments: DataFrame, length: int) -> DataFrame:
+    """``anchor``, ``segment``, ``starts`` of the strings that are in two or more of the different segments of an anchor."""
+
+    def run(batches):
+        for b in pieces(batches, 64):
+            row, at, digests = [], [], []
+            for k, data in enumerate(b.column(2).to_pylist()):
+                n = len(data) - length + 1
+                row += [k] * n
+                at += range(n)
+                digests += [xxhash.xxh3_128_digest(data[i : i + length]) for i in range(n)]
+            of = pa.array(row, pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column(0).take(of), b.column(1).take(of), pa.array(at, pa.int64()), pa.array(digests, pa.binary())], names=["anchor", "segment", "at", "string"])
+
+    strings = stored(segments.select("anchor", "segment", "bytes").mapInArrow(run, "anchor long, segment long, at long, string binary"), "strings")
+    again = strings.groupBy("string").agg(F.count(F.lit(1)).alias("__n")).filter("__n > 1").select("string")
+    return strings.join(again, "string").groupBy("anchor", "segment").agg(F.collect_list(F.struct(F.col("at").alias("lo"), F.col("at").alias("hi"))).alias("starts"))  # at most a segment's own strings
+
+
+def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, gram: int = GRAM, batch_bytes: int = BATCH_BYTES, hot_segments: int = HOT_SEGMENTS) -> DataFrame:
     """``__id``, ``__text`` (hash) and ``spans`` (first and last starts of repeated strings) of the documents that hold any."""
     spark = docs.sparkSession
     again = stored(repeated_anchors(docs, text_col, length, gram), "anchors")
@@ -210,9 +234,13 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         if held:
             yield settle(held)
 
-    unlike = found.filter("bytes is not null").select("anchor", "segment", "bytes").dropDuplicates(["anchor", "segment"]).join(again.filter("mixed").select("anchor"), "anchor")
+    hot = f"mixed and held > {int(hot_segments)}"
+    once = found.filter("bytes is not null").select("anchor", "segment", "bytes").dropDuplicates(["anchor", "segment"])
+    unlike = once.join(again.filter(f"mixed and not ({hot})").select("anchor"), "anchor")
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     shards = unlike.repartition(parts, "anchor").sortWithinPartitions("anchor").select("anchor", "segment", "bytes").mapInArrow(sort_shard, "anchor long, segment long, starts array<struct<lo:long,hi:long>>")
+    if not again.filter(hot).isEmpty():
+        shards = shards.unionByName(_shared_strings(once.join(again.filter(hot).select("anchor"), "anchor"), length))
     verdicts = stored(kinds.join(shards, ["anchor", "segment"], "left").filter("n > 1 or starts is not null"), "verdicts")
 
     alike = places.filter("not mixed").select("__id", "__text", "lo", "hi")

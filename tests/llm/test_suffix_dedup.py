@@ -69,6 +69,27 @@ def test_many_ways_to_repeat(spark):
             assert (kept, runs) == (left, spans), r.doc_id
 
 
+def test_segments_of_a_hot_anchor_are_not_sorted_in_one_task(spark, monkeypatch):
+    rng = random.Random(5)
+    text = lambda n: "".join(rng.choices("abcdefgh", k=n))
+    passage = text(90)
+    texts = [text(rng.randrange(30, 60)) + passage[rng.randrange(10) :] + text(rng.randrange(30, 60)) for _ in range(60)] + [text(150)] * 2
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    share, dealt = suffix_dedup._shared_strings, []
+
+    def watched(segments, length):
+        dealt.extend(segments.groupBy("anchor").count().collect())
+        return share(segments, length)
+
+    monkeypatch.setattr(suffix_dedup, "_shared_strings", watched)
+    want = brute([t.encode() for t in texts], 40)
+    for r in suffix_dedup.with_spans(docs, "doc_id", "text", length=40, gram=16, batch_bytes=500, hot_segments=10).collect():
+        kept, runs = suffix_dedup.cut(r.text.encode(), r["__spans"], 40)
+        removed, spans, left = want[r.doc_id]
+        assert (kept, runs) == (left, spans), r.doc_id
+    assert any(r["count"] > 10 for r in dealt)  # without the bound, all these would be sorted together
+
+
 def test_segments_cover_all_starts():
     data = bytes(random.choice(b"abcd") for _ in range(3000))
     lo, hi, anchor = suffix_dedup.segments(data, 60, 20)
