@@ -54,7 +54,8 @@ def _local_boxes(values, n_bins: int, k: int):
     cells, usage = np.unique(spot, axis=0, return_counts=True)
     grid = Grid(tuple(Axis(f"a{i}", n_bins, x, y) for i, (x, y) in enumerate(zip(lo.tolist(), hi.tolist(), strict=True))), len(values))
     p = kernel.Patterns.of(np.arange(1, len(cells) + 1), cells, cells, usage)
-    run = kernel.mine(p, neighbors.knn_local(cells, k) if k else None, grid, scope="inherited" if k else "all")
+    near = kernel.packed(*neighbors.knn_local(cells, k).T) if k else None
+    run = kernel.mine(p, near, grid, scope="inherited" if k else "all", tie="hash")
     kernel.prune(p, run, grid)
     return grid, p
 

@@ -19,9 +19,10 @@ from pyspark.sql import functions as F
 
 from .. import boxes as B
 from ..grid import Grid
+from .limits import Limits
 
-#: Cells that the cover loop may hold.
-MAX_CELLS = 50_000
+#: Bytes that an item of a row takes with its cover and its co-usages.
+CELL_BYTES = 2_000
 
 
 def offsets(grid: Grid) -> list[int]:
@@ -50,54 +51,80 @@ def pair_support(binary: DataFrame) -> DataFrame:
     return pairs.groupBy("x", "y").agg(F.count(F.lit(1)).alias("support"))
 
 
-@dataclass
 class CodeTable:
-    rows: np.ndarray  # items of each distinct row
-    weight: np.ndarray
-    itemsets: dict[frozenset, int]  # with supports
-    item_bits: dict[int, float]
-
-    def order(self) -> list[frozenset]:
-        return sorted(self.itemsets, key=lambda s: (-len(s), -self.itemsets[s], sorted(s)))
-
-    def cover(self) -> tuple[Counter, list[list[frozenset]]]:
-        """Usages, and the itemsets that cover each row."""
-        ordered = [s for s in self.order() if len(s) > 1]
-        holders = {s: self._rows_with(s) for s in ordered}
-        free = np.ones(self.rows.shape, bool)
-        covers: list[list[frozenset]] = [[] for _ in range(len(self.rows))]
-        usage: Counter = Counter()
-        for s in ordered:
-            at, columns = holders[s]
-            at = at[free[at][:, columns].all(axis=1)]
-            if len(at):
-                free[np.ix_(at, columns)] = False
-                usage[s] += float(self.weight[at].sum())
-                for r in at.tolist():
-                    covers[r].append(s)
-        for r, c in zip(*np.nonzero(free), strict=True):
-            one = frozenset([int(self.rows[r, c])])
-            usage[one] += float(self.weight[r])
-            covers[r].append(one)
-        return usage, covers
-
-    def _rows_with(self, s: frozenset) -> tuple[np.ndarray, list[int]]:
-        columns, hold = [], np.ones(len(self.rows), bool)
-        for item in s:
-            c = int(np.flatnonzero((self.rows == item).any(axis=0))[0])
-            columns.append(c)
-            hold &= self.rows[:, c] == item
-        return np.flatnonzero(hold), sorted(columns)
-
-    def bits(self, usage: Counter) -> float:
-        total = sum(usage.values())
-        data = table = 0.0
-        for s, u in usage.items():
-            if u:
-                code = -math.log2(u / total)
-                data += u * code
-                table += code + sum(self.item_bits[i] for i in s)
-        return data + table
+    """Itemsets over distinct rows, the greedy cover of every row, and usages; kept up to date row by row."""
+
+    def __init__(self, rows: np.ndarray, weight: np.ndarray):
+        self.rows, self.weight = rows, weight
+        self.support: dict[frozenset, float] = {}  # of itemsets of two items and more
+        self.masks: dict[int, np.ndarray] = {}
+        counts: Counter = Counter()
+        for c in range(rows.shape[1]):
+            for item in np.unique(rows[:, c]).tolist():
+                self.masks[item] = rows[:, c] == item
+                counts[item] += float(weight[self.masks[item]].sum())
+        total = sum(counts.values())
+        self.item_bits = {i: -math.log2(n / total) for i, n in counts.items()}
+        self.holders: dict[frozenset, np.ndarray] = {}
+        self.covers: list[list[frozenset]] = [[frozenset([int(i)]) for i in r] for r in rows]
+        self.usage: Counter = Counter()
+        self.together: Counter = Counter()
+        self._count(range(len(rows)), 1)
+
+    def rows_with(self, s: frozenset) -> np.ndarray:
+        return np.flatnonzero(np.logical_and.reduce([self.masks[i] for i in s]))
+
+    def _count(self, at, sign: int) -> None:
+        for r in at:
+            parts, w = self.covers[r], sign * float(self.weight[r])
+            for i, a in enumerate(parts):
+                self.usage[a] += w
+                for b in parts[:i]:
+                    self.together[frozenset((a, b))] += w
+
+    def _cover(self, at: np.ndarray) -> dict[int, list[frozenset]]:
+        """The itemsets that cover the given rows: longer and more frequent ones first."""
+        items = {r: set(self.rows[r].tolist()) for r in at.tolist()}
+        found: dict[int, list[frozenset]] = {r: [] for r in items}
+        for s in sorted(self.support, key=lambda s: (-len(s), -self.support[s], sorted(s))):
+            for r in np.intersect1d(self.holders[s], at, assume_unique=True).tolist():
+                if s <= items[r]:
+                    items[r] -= s
+                    found[r].append(s)
+        for r, rest in items.items():
+            found[r] += [frozenset([i]) for i in sorted(rest)]
+        return found
+
+    def bits(self) -> float:
+        used = [(s, u) for s, u in self.usage.items() if u > 0]
+        total = sum(u for _, u in used)
+        return sum(-(u + 1) * math.log2(u / total) + sum(self.item_bits[i] for i in s) for s, u in used)
+
+    def change(self, add: frozenset | None = None, drop: frozenset | None = None):
+        """Adds or drops an itemset; only rows that hold it (or use it) are covered anew.  Returns how to take it back."""
+        if add is not None:
+            self.holders[add] = at = self.rows_with(add)
+            self.support[add] = float(self.weight[at].sum())
+        else:
+            at = np.array([r for r in self.holders[drop].tolist() if drop in self.covers[r]], np.int64)
+            kept = self.support.pop(drop)
+        old = {r: self.covers[r] for r in at.tolist()}
+        self._count(old, -1)
+        for r, parts in self._cover(at).items():
+            self.covers[r] = parts
+        self._count(old, 1)
+
+        def undo():
+            self._count(old, -1)
+            for r, parts in old.items():
+                self.covers[r] = parts
+            self._count(old, 1)
+            if add is not None:
+                del self.support[add], self.holders[add]
+            else:
+                self.support[drop] = kept
+
+        return undo
 
 
 @dataclass
@@ -106,66 +133,78 @@ class ItemsetResult:
     start_bits: float
     end_bits: float
     evaluated: int
-
-
-def mine(cells: DataFrame, grid: Grid, max_iter: int = 200, prune: bool = True, tries: int = 30) -> ItemsetResult:
-    """Itemsets from cells (``lo, usage``); `max_iter` accepted or `tries` refused candidates in a row end the search."""
-    found = cells.select("lo", "usage").limit(MAX_CELLS + 1).toPandas()
-    if len(found) > MAX_CELLS:
-        raise ValueError(f"more than {MAX_CELLS} cells: use a coarser grid")
-    rows = np.stack(found["lo"].to_list()) + np.array(offsets(grid))
-    weight = found["usage"].to_numpy(float)
-    counts: Counter = Counter()
-    for c in range(rows.shape[1]):
-        for item in np.unique(rows[:, c]):
-            counts[int(item)] += float(weight[rows[:, c] == item].sum())
-    total = sum(counts.values())
-    table = CodeTable(rows, weight, {frozenset([i]): n for i, n in counts.items()}, {i: -math.log2(n / total) for i, n in counts.items()})
-    usage, covers = table.cover()
-    now = start = table.bits(usage)
-    evaluated, refused = 0, set()
-    for _ in range(max_iter):
-        together: Counter = Counter()
-        for r, parts in enumerate(covers):
-            for i in range(len(parts)):
-                for j in range(i):
-                    a, b = parts[i], parts[j]
-                    together[frozenset((a, b))] += weight[r]
-        options = [(n, a | b) for pair, n in together.items() if len(pair) == 2 for a, b in [tuple(pair)] if a | b not in refused and a | b not in table.itemsets]
-        options.sort(key=lambda x: (-x[0], sorted(x[1])))
-        for n, joint in options[:tries]:
-            at, _ = table._rows_with(joint)
-            table.itemsets[joint] = float(weight[at].sum())
-            evaluated += 1
-            trial, trial_covers = table.cover()
-            length = table.bits(trial)
-            if length < now:
-                now, fallen = length, [s for s in table.itemsets if len(s) > 1 and trial[s] < usage[s]]
-                usage, covers = trial, trial_covers
-                if prune:
-                    for s in sorted(fallen, key=lambda s: (usage[s], sorted(s))):
-                        kept = table.itemsets.pop(s)
-                        trial, trial_covers = table.cover()
-                        if (length := table.bits(trial)) < now:
-                            now, usage, covers = length, trial, trial_covers
+    status: str = "ok"
+    seconds: float = 0.0
+
+
+def mine_rows(rows: np.ndarray, weight: np.ndarray, prune: bool = True, limits: Limits | None = None) -> ItemsetResult:
+    """Itemsets of distinct rows of items; ends when no candidate shortens the length, or at the time limit."""
+    limits = limits or Limits()
+    table = CodeTable(rows, weight)
+    now = start = table.bits()
+    evaluated, refused, won = 0, set(), True
+    while won and not limits.over_time():
+        won = False
+        while not limits.over_time():
+            options = []
+            for pair, n in table.together.items():
+                if n > 0 and len(pair) == 2:
+                    joint = frozenset().union(*pair)
+                    if joint not in refused and joint not in table.support:
+                        options.append((n, sorted(joint)))
+            if not options:
+                break
+            options.sort(key=lambda x: (-x[0], x[1]))
+            for _, items in options:
+                joint = frozenset(items)
+                before = dict(table.usage)
+                undo = table.change(add=joint)
+                evaluated += 1
+                if (length := table.bits()) < now:
+                    now, won = length, True
+                    fallen = [s for s in table.support if s != joint and table.usage[s] < before.get(s, 0)]
+                    for s in sorted(fallen, key=lambda s: (table.usage[s], sorted(s))) if prune else ():
+                        back = table.change(drop=s)
+                        if (length := table.bits()) < now:
+                            now = length
                         else:
-                            table.itemsets[s] = kept
+                            back()
+                    break
+                undo()
+                refused.add(joint)
+                if limits.over_time():
+                    break
+            else:
                 break
-            del table.itemsets[joint]
-            refused.add(joint)
-        else:
-            break
-    return ItemsetResult([(sorted(s), u) for s, u in sorted(usage.items(), key=lambda x: (-x[1], sorted(x[0]))) if u], start, now, evaluated)
-
-
-def to_boxes(spark, result: ItemsetResult, grid: Grid) -> DataFrame:
-    """Itemsets as boxes: an attribute without an item spans its whole range."""
-    at = offsets(grid)
-    rows = []
-    for pid, (items, usage) in enumerate(result.itemsets, 1):
+        refused.clear()  # what was refused may pay by now: the search ends with a whole pass without gain
+    found = [(sorted(s), u) for s, u in sorted(table.usage.items(), key=lambda x: (-x[1], sorted(x[0]))) if u > 0]
+    return ItemsetResult(found, start, now, evaluated, limits.status, limits.spent())
+
+
+def mine(cells: DataFrame, grid: Grid, prune: bool = True, seconds: float | None = None) -> ItemsetResult:
+    """Itemsets from cells (``lo, usage``); cells beyond the memory limit are not read, and reported (status 'memory')."""
+    limits = Limits(seconds)
+    k = len(grid.axes)
+    if limits.over_memory(cells.count() * k * CELL_BYTES):
+        return ItemsetResult([], math.nan, math.nan, 0, limits.status, limits.spent())
+    found = cells.select("cell_id", "lo", "usage").toArrow()
+    order = np.argsort(found["cell_id"].to_numpy())
+    rows = found["lo"].combine_chunks().flatten().to_numpy().reshape(-1, k)[order] + np.array(offsets(grid))
+    return mine_rows(rows, found["usage"].to_numpy().astype(float)[order], prune, limits)
+
+
+def sides(result: ItemsetResult, grid: Grid) -> list[tuple[list[int], list[int], int]]:
+    """(lo, hi, usage) of the itemsets as boxes: an attribute without an item spans its whole range."""
+    at, out = offsets(grid), []
+    for items, usage in result.itemsets:
         lo, hi = [0] * len(at), [a.n_bins - 1 for a in grid.axes]
         for item in items:
             axis = max(i for i, o in enumerate(at) if o <= item)
             lo[axis] = hi[axis] = item - at[axis]
-        rows.append((pid, lo, hi, int(usage)))
+        out.append((lo, hi, int(usage)))
+    return out
+
+
+def to_boxes(spark, result: ItemsetResult, grid: Grid) -> DataFrame:
+    rows = [(pid, *s) for pid, s in enumerate(sides(result, grid), 1)]
     return B.with_log_size(spark.createDataFrame(rows, "pid long, lo array<int>, hi array<int>, usage long"))

@@ -16,8 +16,14 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .limits import Limits
+
 #: Candidate boxes counted in one scan of the table.
 BATCH = 64
+#: Tiles of the first attribute in which rows and boxes meet.
+TILES = 64
+#: Bytes that a coordinate of a sampled row takes while a box grows.
+POINT_BYTES = 60
 #: Bounds go through a scaling and back; rows this near to one are inside.
 SLACK = 1e-9
 
@@ -27,6 +33,8 @@ class SamplingResult:
     boxes: DataFrame  # pid, rlo, rhi, support, gain
     evaluated: int
     sample: int
+    status: str = "ok"
+    seconds: float = 0.0
 
 
 def sample_rows(df: DataFrame, attrs: list[str], size: int, seed: int = 0, id_col: str | None = None) -> DataFrame:
@@ -49,55 +57,74 @@ def gain_bits(inside: np.ndarray, n: int, log_share: np.ndarray, k: int, s: int)
     return -inside * log_share - split - 2 * k * math.log2(max(s, 2))
 
 
-def mine(df: DataFrame, attrs: list[str], sample_size=0.5, perseverance: int | None = None, thoroughness: int = 100, seed: int = 0, max_boxes: int = 200, max_sample: int = 20_000) -> SamplingResult:
-    """Boxes from a sample of at most `max_sample` rows; `thoroughness` useless candidates in a row end the search."""
-    spark = df.sparkSession
-    ends = df.agg(F.count(F.lit(1)).alias("n"), *[f(F.col(a).cast("double")).alias(f"{p}{i}") for i, a in enumerate(attrs) for p, f in (("l", F.min), ("h", F.max))]).first()
-    n, k = ends.n, len(attrs)
-    s = min(size_of(sample_size, n), max_sample)
-    low = np.array([ends[f"l{i}"] for i in range(k)])
-    wide = np.maximum(np.array([ends[f"h{i}"] for i in range(k)]) - low, 1e-12)
-    points = (sample_rows(df, attrs, s, seed).toPandas()[attrs].to_numpy(float) - low) / wide
-    s = len(points)
+def grow_all(points: np.ndarray, n: int, count, perseverance: int | None = None, thoroughness: int = 100, seed: int = 0, limits: Limits | None = None) -> tuple[list[tuple], int]:
+    """(lo, hi, rows inside, gain) of the kept boxes of sampled `points` in the unit cube, and the number of candidates.
+
+    `count(boxes)` counts rows of the full table; `thoroughness` useless
+    candidates in a row end the search.
+    """
+    limits = limits or Limits()
+    s, k = points.shape
     perseverance = perseverance or max(1, s // 5)
     rng = np.random.default_rng(seed)
-    kept: list[tuple] = []
+    kept: dict[tuple, tuple] = {}
     useless = evaluated = 0
-    while useless < thoroughness and len(kept) < max_boxes and s > 1:
+    while useless < thoroughness and s > 1 and not limits.over_time():
         batch = [_grow(points, int(rng.integers(s)), perseverance, n, k) for _ in range(min(BATCH, thoroughness - useless))]
-        counts = _count(df, attrs, [(low + b[0] * wide, low + b[1] * wide) for b in batch])
-        for (lo, hi), inside in zip(batch, counts, strict=True):
+        for (lo, hi), inside in zip(batch, count(batch), strict=True):
             evaluated += 1
             share = float(np.log2(np.maximum(hi - lo, 1 / n)).sum())
             gain = float(gain_bits(np.array([inside], float), n, np.array([share]), k, s)[0])
-            known = any(np.allclose(lo, x[0]) and np.allclose(hi, x[1]) for x in kept)
-            if gain > 0 and not known:
-                kept.append((lo, hi, int(inside), gain))
+            known = tuple(np.round(np.concatenate([lo, hi]), 9).tolist())
+            if gain > 0 and known not in kept:
+                kept[known] = (lo, hi, int(inside), gain)
                 useless = 0
             else:
                 useless += 1
+    return list(kept.values()), evaluated
+
+
+def mine(df: DataFrame, attrs: list[str], sample_size=0.5, perseverance: int | None = None, thoroughness: int = 100, seed: int = 0, seconds: float | None = None) -> SamplingResult:
+    """Boxes from a sample; a sample beyond the memory limit is not drawn, and reported (status 'memory')."""
+    spark = df.sparkSession
+    limits = Limits(seconds)
+    ends = df.agg(F.count(F.lit(1)).alias("n"), *[f(F.col(a).cast("double")).alias(f"{p}{i}") for i, a in enumerate(attrs) for p, f in (("l", F.min), ("h", F.max))]).first()
+    n, k = ends.n, len(attrs)
+    s = min(n, size_of(sample_size, n))
+    kept, evaluated = [], 0
+    low = np.array([ends[f"l{i}"] for i in range(k)])
+    wide = np.maximum(np.array([ends[f"h{i}"] for i in range(k)]) - low, 1e-12)
+    if not limits.over_memory(s * k * POINT_BYTES):
+        points = (sample_rows(df, attrs, s, seed).toPandas()[attrs].to_numpy(float) - low) / wide
+        count = lambda batch: _count(df, attrs, [(low + lo * wide, low + hi * wide) for lo, hi in batch])
+        kept, evaluated = grow_all(points, n, count, perseverance, thoroughness, seed, limits)
     rows = [(i, (low + lo * wide).tolist(), (low + hi * wide).tolist(), c, g) for i, (lo, hi, c, g) in enumerate(kept, 1)]
     schema = "pid long, rlo array<double>, rhi array<double>, support long, gain double"
-    return SamplingResult(spark.createDataFrame(rows, schema) if rows else spark.createDataFrame([], schema), evaluated, s)
+    return SamplingResult(spark.createDataFrame(rows, schema), evaluated, s, limits.status, limits.spent())
 
 
 def _grow(points: np.ndarray, at: int, perseverance: int, n: int, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """The best box around the nearest sampled rows of a seed."""
+    """The best box around the nearest sampled rows of a seed.
+
+    The boxes grow with the rows taken in, so a point is inside from the first
+    box on that reaches it on every side.
+    """
     s = len(points)
     order = np.argsort(np.abs(points - points[at]).max(axis=1), kind="stable")
     lows, highs = np.minimum.accumulate(points[order]), np.maximum.accumulate(points[order])
-    best, best_gain, since = 1, -math.inf, 0
-    for j in range(1, s):
-        inside = ((points >= lows[j]) & (points <= highs[j])).all(axis=1).sum() * n / s
-        share = float(np.log2(np.maximum(highs[j] - lows[j], 1 / n)).sum())
-        gain = float(gain_bits(np.array([inside]), n, np.array([share]), k, s)[0])
-        if gain > best_gain:
-            best, best_gain, since = j, gain, 0
-        else:
-            since += 1
-            if since > perseverance:
-                break
-    return lows[best], highs[best]
+    enters = np.zeros(s, np.int64)
+    for d in range(k):
+        enters = np.maximum(enters, np.searchsorted(-lows[:, d], -points[:, d]))
+        enters = np.maximum(enters, np.searchsorted(highs[:, d], points[:, d]))
+    inside = np.cumsum(np.bincount(enters, minlength=s)[:s]) * n / s
+    share = np.log2(np.maximum(highs - lows, 1 / n)).sum(axis=1)
+    gains = gain_bits(inside, n, share, k, s)[1:]
+    best = np.maximum.accumulate(gains)
+    rises = np.append(True, gains[1:] > best[:-1])
+    last = np.maximum.accumulate(np.where(rises, np.arange(s - 1), 0))  # place of the best so far
+    tired = np.flatnonzero(np.arange(s - 1) - last > perseverance)
+    j = int(last[tired[0] if len(tired) else s - 2]) + 1
+    return lows[j], highs[j]
 
 
 def _count(df: DataFrame, attrs: list[str], boxes: list) -> list[int]:
@@ -112,11 +139,25 @@ def _count(df: DataFrame, attrs: list[str], boxes: list) -> list[int]:
     return [row[f"c{i}"] for i in range(len(boxes))]
 
 
-def as_occurrences(result: SamplingResult, df: DataFrame, attrs: list[str], id_col: str) -> DataFrame:
-    """``pid, cell_id, usage`` (a cell is a row here), for the Jaccard and accuracy measures."""
-    boxes = F.broadcast(result.boxes.select("pid", "rlo", "rhi"))  # at most max_boxes
+def occurrences(boxes: DataFrame, df: DataFrame, attrs: list[str], id_col: str) -> DataFrame:
+    """``pid, cell_id, usage`` (a cell is a row here) of boxes with real bounds, for the Jaccard and accuracy measures.
+
+    Rows and boxes meet in tiles of the first attribute, so a row meets only
+    boxes that reach its tile.
+    """
+    first = F.col(attrs[0]).cast("double")
+    ends = df.agg(F.min(first).alias("lo"), F.max(first).alias("hi")).first()
+    wide = ((ends.hi - ends.lo) / TILES if ends.lo is not None else 0.0) or 1.0
+    tile = lambda v: F.greatest(F.lit(0), F.least(F.lit(TILES), F.floor((v - F.lit(ends.lo or 0.0)) / F.lit(wide)))).cast("int")
+    slack = lambda v: F.lit(SLACK) * F.greatest(F.lit(1.0), F.abs(v))
+    x0, y0 = F.element_at("rlo", 1), F.element_at("rhi", 1)
+    spans = boxes.select("pid", "rlo", "rhi", F.explode(F.sequence(tile(x0 - slack(x0)), tile(y0 + slack(y0)))).alias("__tile"))
     inside = F.lit(True)
     for i, a in enumerate(attrs):
         x, y = F.element_at("rlo", i + 1), F.element_at("rhi", i + 1)
-        inside = inside & F.col(a).between(x - SLACK * F.greatest(F.lit(1.0), F.abs(x)), y + SLACK * F.greatest(F.lit(1.0), F.abs(y)))
-    return df.join(boxes, inside).select("pid", F.col(id_col).alias("cell_id"), F.lit(1).cast("long").alias("usage"))
+        inside = inside & F.col(a).between(x - slack(x), y + slack(y))
+    return df.withColumn("__tile", tile(first)).join(spans, "__tile").filter(inside).select("pid", F.col(id_col).alias("cell_id"), F.lit(1).cast("long").alias("usage"))
+
+
+def as_occurrences(result: SamplingResult, df: DataFrame, attrs: list[str], id_col: str) -> DataFrame:
+    return occurrences(result.boxes, df, attrs, id_col)

@@ -21,8 +21,6 @@ from pyspark.sql import functions as F
 from ..functions.codes import universal_int_bits
 
 NOT_FINITE = "null, NaN or infinite attribute values; pass on_missing='drop' to leave these rows out"
-#: Largest number of intervals that 'sqrt' chooses.
-SQRT_CAP = 1024
 
 
 @dataclass(frozen=True)
@@ -119,7 +117,7 @@ def _ranges(df: DataFrame, attrs: list[str]):
 
 def bins_of(n_bins, attrs: list[str], n: int) -> list[int]:
     """Intervals of each attribute from an int, 'sqrt', a list or a dict."""
-    root = max(1, min(SQRT_CAP, math.isqrt(n)))
+    root = max(1, math.isqrt(n))
     one = lambda b: root if b == "sqrt" else int(b)
     if isinstance(n_bins, dict):
         return [one(n_bins[a]) for a in attrs]
@@ -213,8 +211,8 @@ def interaction_preserving(df: DataFrame, attrs: list[str], micro_bins: int | No
     """Boundaries that keep what neighbouring intervals say about the other attributes.
 
     Our own reading of interaction-preserving discretisation: each attribute is
-    cut into quantile micro-intervals (the root of the number of rows, 50 at
-    most); a profile (share of rows below each
+    cut into `micro_bins` quantile micro-intervals (by default 50, or the root
+    of the number of rows where that is less); a profile (share of rows below each
     quartile of every other attribute, as an empirical distribution) is taken
     for each.  Two neighbours differ where the squared distance of their
     profiles is in the upper `threshold` share of all distances; the merge that
@@ -266,6 +264,27 @@ def _merge_profiles(profile: np.ndarray, weight: np.ndarray, threshold: float) -
     return sorted(e for e in ends if e)
 
 
+def interaction_cuts(values: np.ndarray, micro_bins: int | None = None, threshold: float = 1.0 / 3.0) -> list[tuple[float, ...]]:
+    """`interaction_preserving` on an array of rows: the inner cut points of each attribute."""
+    n, k = values.shape
+    micro_bins = micro_bins or min(50, max(1, math.isqrt(n)))
+    ordered = np.sort(values, axis=0)
+    at = lambda i, b: tuple(sorted({float(c) for c in (ordered[max(0, math.ceil(j * n / b) - 1), i] for j in range(1, b)) if ordered[0, i] < c}))
+    micro, levels = [at(i, micro_bins) for i in range(k)], [at(i, 4) for i in range(k)]
+    level = np.stack([np.searchsorted(levels[i], values[:, i], side="right") for i in range(k)], axis=1)
+    out = []
+    for i in range(k):
+        parts = [(level[:, o] <= q).astype(float) for o in range(k) if o != i for q in range(len(levels[o]))]
+        if not parts or not micro[i]:
+            out.append(micro[i])
+            continue
+        known, which, counts = np.unique(np.searchsorted(micro[i], values[:, i], side="right"), return_inverse=True, return_counts=True)
+        profile = np.stack([np.bincount(which, p) / counts for p in parts], axis=1)
+        edges = [ordered[0, i], *micro[i]]
+        out.append(tuple(sorted({float(edges[known[e]]) for e in _merge_profiles(profile, counts.astype(float), threshold)} - {float(ordered[0, i])})))
+    return out
+
+
 def residual_bits(df: DataFrame, grid: Grid, precision: float = 1e-6) -> float:
     """Bits to restore the values inside their intervals; constant under equal width, which is why it is left out there."""
     parts = []

@@ -1,8 +1,9 @@
 """The mining rounds and the pruning pass on arrays, for pattern sets that fit one process.
 
-A round sorts the candidates by weight (the order does not depend on the
+A round orders the candidates by weight (the order does not depend on the
 number of patterns), takes pairs whose parts are both present, and ends at the
-first whose gain is not positive.
+first whose gain is not positive.  Candidate pairs are held as one number each,
+(row << 32) + row, in ascending order.
 """
 
 from __future__ import annotations
@@ -11,17 +12,21 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
-from ..functions.codes import EPS
+from ..functions import codes
+from ..functions.codes import EPS, lgamma_bits
 from .grid import Grid
-from .model import group_gain, kappa, pair_weight_np, total_bits_local
+from .model import hope, kappa, kappa_np, lgamma_bits_np, total_bits_local
 
 #: Weights closer than this are ties.
 TIE = 9
+#: Pairs worked on at once.
+CHUNK = 1 << 20
+_LOW = (1 << 32) - 1
 
 
 @dataclass
 class Patterns:
-    """Patterns by id: rows of the arrays; rows of merged patterns stay, no longer alive."""
+    """Patterns by id: rows of the arrays, ids ascending; rows of merged patterns stay, no longer alive."""
 
     ids: np.ndarray
     lo: np.ndarray
@@ -50,6 +55,18 @@ class Patterns:
         self.size += 1
         return at
 
+    def add_pairs(self, a: np.ndarray, b: np.ndarray, first_id: int) -> np.ndarray:
+        """The hulls of disjoint pairs take their places, with ids from `first_id` on."""
+        at = np.arange(self.size, self.size + len(a))
+        self.ids[at] = first_id + np.arange(len(a))
+        self.lo[at], self.hi[at] = np.minimum(self.lo[a], self.lo[b]), np.maximum(self.hi[a], self.hi[b])
+        self.usage[at] = self.usage[a] + self.usage[b]
+        self.log_size[at] = np.log2(self.hi[at] - self.lo[at] + 1.0).sum(axis=1)
+        self.alive[a] = self.alive[b] = False
+        self.alive[at] = True
+        self.size += len(a)
+        return at
+
     def live(self) -> np.ndarray:
         return np.flatnonzero(self.alive[: self.size])
 
@@ -57,113 +74,261 @@ class Patterns:
 @dataclass
 class Run:
     patterns: Patterns
-    parent: dict[int, int] = field(default_factory=dict)  # row of a merged pattern -> row of its hull
+    parent: np.ndarray | None = None  # row -> row of the hull that took its place, or the row itself
     ledger: list[tuple] = field(default_factory=list)  # round, step, a, b, pid, k_before, gain, total_after
     explored: list[int] = field(default_factory=list)  # candidates evaluated in each round
 
-    def root(self, row: int) -> int:
-        path = []
-        while row in self.parent:
-            path.append(row)
-            row = self.parent[row]
-        for r in path:
-            self.parent[r] = row
-        return row
-
-
-def weights(p: Patterns, pairs: np.ndarray, eps: float, encoding: str) -> np.ndarray:
-    a, b = pairs[:, 0], pairs[:, 1]
-    out = np.empty(len(pairs))
-    for at in range(0, len(pairs), 500_000):
-        x, y = a[at : at + 500_000], b[at : at + 500_000]
-        joint = np.log2(np.maximum(p.hi[x], p.hi[y]) - np.minimum(p.lo[x], p.lo[y]) + 1.0).sum(axis=1)
-        out[at : at + 500_000] = pair_weight_np(p.usage[x], p.usage[y], p.log_size[x], p.log_size[y], joint, eps, encoding)
+    def __post_init__(self):
+        if self.parent is None:
+            self.parent = np.arange(len(self.patterns.ids))
+
+    def roots(self) -> np.ndarray:
+        """Where each row is now."""
+        at = self.parent
+        while True:
+            up = at[at]
+            if (up == at).all():
+                return at
+            at = up
+
+
+def packed(a, b) -> np.ndarray:
+    """Row pairs as single numbers, the smaller row first."""
+    a, b = np.asarray(a, np.int64), np.asarray(b, np.int64)
+    return (np.minimum(a, b) << 32) | np.maximum(a, b)
+
+
+def pair_mix(a, b):
+    """The number by which tie='hash' orders pairs of equal weight; the same arithmetic on arrays and columns."""
+    x = (a * 7919 + b * 104729) % 2147483647
+    return x * x % 2147483647
+
+
+def _lgammas(joint: np.ndarray, eps: float) -> np.ndarray:
+    """log2 of the gamma function of usages plus eps, from a table where that is less work."""
+    most = int(joint.max(initial=0))
+    if most < 4 * len(joint):
+        return lgamma_bits_np(np.arange(most + 1) + eps)[joint.astype(np.int64)]
+    return lgamma_bits_np(joint + eps)
+
+
+def weights(p: Patterns, a: np.ndarray, b: np.ndarray, eps: float, encoding: str) -> np.ndarray:
+    """The part of each pair's gain that depends on the pair."""
+    out = np.empty(len(a))
+    if not len(a):
+        return out
+    logs = np.log2(np.arange(1, int((p.hi.max() - min(p.lo.min(), 0)) + 2)))
+    if encoding == "plugin":
+        own = lgamma_bits_np(p.usage[: p.size] + eps)
+        least = lgamma_bits(eps)
+    for at in range(0, len(a), CHUNK):
+        x, y = a[at : at + CHUNK], b[at : at + CHUNK]
+        hull = np.zeros(len(x))
+        for d in range(p.lo.shape[1]):
+            low, high = p.lo[:, d], p.hi[:, d]
+            hull += logs[np.maximum(high[x], high[y]) - np.minimum(low[x], low[y])]
+        u, v = p.usage[x], p.usage[y]
+        joint = u + v
+        space = u * p.log_size[x] + v * p.log_size[y] - joint * hull
+        if encoding == "plugin":
+            out[at : at + CHUNK] = _lgammas(joint, eps) + least - own[x] - own[y] + space
+        else:
+            out[at : at + CHUNK] = joint * np.log2(joint) - u * np.log2(u) - v * np.log2(v) + space
     return out
 
 
-def mine(p: Patterns, edges: np.ndarray | None, grid: Grid, eps: float = EPS, scope: str = "inherited", gain_mode: str = "refreshed", tie: str = "first", encoding: str = "plugin", requeue: bool = False, run: Run | None = None, first_pairs: np.ndarray | None = None, after_round=None, total: float | None = None) -> Run:
-    """Merge rounds from the patterns `p`; `edges` are row pairs (None: every pair), `total` the ledger's length so far."""
+def _preferred(w: np.ndarray, pairs: np.ndarray, ids: np.ndarray, tie: str) -> np.ndarray:
+    """Order of the pairs by falling weight; of equal weights by `tie`.  Rows ascend with ids, so packed pairs ascend with id pairs."""
+    rounded = np.round(w, TIE)
+    if tie == "first":
+        return np.argsort(-rounded, kind="stable")
+    if tie == "last":
+        return len(w) - 1 - np.argsort(-rounded[::-1], kind="stable")
+    mix = pair_mix(ids[pairs >> 32], ids[pairs & _LOW])
+    by_mix = np.argsort(mix, kind="stable")
+    return by_mix[np.argsort(-rounded[by_mix], kind="stable")]
+
+
+def greedy_matching(a: np.ndarray, b: np.ndarray, n_rows: int) -> np.ndarray:
+    """Which of the edges, given in order of preference, greedy matching takes.
+
+    Again and again takes all edges that come first at both their ends.
+    """
+    rest, taken = np.arange(len(a)), []
+    best, used = np.empty(n_rows, np.int64), np.zeros(n_rows, bool)
+    while len(rest):
+        ends = np.stack([a[rest], b[rest]], axis=1)[::-1]
+        best[ends.ravel()] = np.repeat(rest[::-1], 2)  # of repeated places the last assignment, the most preferred, stays
+        won = rest[(best[a[rest]] == rest) & (best[b[rest]] == rest)]
+        taken.append(won)
+        used[a[won]] = used[b[won]] = True
+        rest = rest[~(used[a[rest]] | used[b[rest]])]
+    return np.sort(np.concatenate(taken)) if taken else rest
+
+
+def _hopeful(p: Patterns, blocks, limit: float, eps: float, encoding: str) -> tuple[np.ndarray, np.ndarray, int]:
+    """The pairs (and weights) of the blocks that are above `limit`, and how many there were."""
+    kept, heavy, seen = [np.zeros(0, np.int64)], [np.zeros(0)], 0
+    for pairs in blocks:
+        w = weights(p, pairs >> 32, pairs & _LOW, eps, encoding)
+        good = w > limit
+        kept.append(pairs[good])
+        heavy.append(w[good])
+        seen += len(pairs)
+    pairs, w = np.concatenate(kept), np.concatenate(heavy)
+    if (pairs[1:] < pairs[:-1]).any():
+        order = np.argsort(pairs, kind="stable")
+        pairs, w = pairs[order], w[order]
+    return pairs, w, seen
+
+
+def _with_every(new: np.ndarray, live: np.ndarray):
+    """Blocks of the pairs of `new` rows with all `live` rows (which hold the new ones, the greatest rows)."""
+    step = max(1, 4 * CHUNK // max(1, len(live)))
+    for at in range(0, len(new), step):
+        part = new[at : at + step]
+        x, y = np.repeat(part, len(live)), np.tile(live, len(part))
+        yield packed(x[y < x], y[y < x])
+
+
+def _every_pair(live: np.ndarray):
+    step = max(1, 4 * CHUNK // max(1, len(live)))
+    for at in range(0, len(live), step):
+        part = live[at : at + step]
+        x, y = np.repeat(part, len(live)), np.tile(live, len(part))
+        yield packed(x[x < y], y[x < y])
+
+
+def mine(p: Patterns, edges: np.ndarray | None, grid: Grid, eps: float = EPS, scope: str = "inherited", gain_mode: str = "refreshed", tie: str = "first", encoding: str = "plugin", requeue: bool = False, run: Run | None = None, first_pairs: np.ndarray | None = None, after_round=None, total: float | None = None, left: np.ndarray | None = None) -> Run:
+    """Merge rounds from the patterns `p`.
+
+    `edges` are packed row pairs (None: every pair), `first_pairs` those of
+    the first round if not all, `total` the ledger's length so far, `left` the
+    pairs of earlier rounds that requeueing brings back.
+    """
     run = run or Run(p)
     n = int(p.usage[p.live()].sum())
     if total is None:
         total = total_bits_local(p.usage[p.live()], p.log_size[p.live()], grid, eps, encoding)
     next_id = int(p.ids[: p.size].max(initial=0)) + 1
-    if edges is None:
-        live = p.live()
-        i, j = np.triu_indices(len(live), 1)
-        edges = np.stack([live[i], live[j]], axis=1)
-    edges = np.unique(np.sort(edges, axis=1), axis=0) if len(edges) else np.zeros((0, 2), np.int64)
-    pairs = edges if first_pairs is None else first_pairs
-    left = np.zeros((0, 2), np.int64)
-    while len(pairs):
-        pairs = pairs[p.alive[pairs].all(axis=1)]
-        w = weights(p, pairs, eps, encoding)
-        run.explored.append(len(pairs))
-        rounded = np.round(w, TIE)
-        ids = p.ids[pairs]
-        order = np.lexsort((ids[:, 1], ids[:, 0], -rounded) if tie == "first" else (-ids[:, 1], -ids[:, 0], -rounded))
-        k = created = len(p.live())
-        start, step, offsets = p.size, 0, {}
-        for at in order.tolist():
-            a, b = pairs[at]
-            if not (p.alive[a] and p.alive[b]):
-                continue
-            now = k if gain_mode == "refreshed" else created
-            if now not in offsets:
-                offsets[now] = kappa(now, n, grid, eps, 1, encoding)
-            gain = offsets[now] + w[at]
-            if gain <= 0 or k < 2:
-                break
-            row = p.add([a, b], next_id)
-            run.parent[int(a)] = run.parent[int(b)] = row
-            total -= gain
-            step += 1
-            run.ledger.append((len(run.explored), step, int(p.ids[a]), int(p.ids[b]), next_id, k, float(gain), float(total)))
-            next_id += 1
-            k -= 1
-        if requeue:
-            left = np.concatenate([left, pairs])
+    if edges is not None:
+        edges = np.unique(edges)
+        blocks = [edges if first_pairs is None else np.unique(first_pairs)]
+    else:
+        edges = np.zeros(0, np.int64)
+        blocks = _every_pair(p.live()) if first_pairs is None else [np.unique(first_pairs)]
+    left = np.zeros(0, np.int64) if left is None else left
+    while True:
+        k = len(p.live())
+        limit = -hope(k, n, grid, eps, encoding)
+        if requeue:  # pairs are carried on even if they have no hope yet
+            blocks = [np.unique(np.concatenate([left, *blocks]))]
+            blocks = [b[p.alive[b >> 32] & p.alive[b & _LOW]] for b in blocks]
+            left = blocks[0]
+        pairs, w, seen = _hopeful(p, blocks, limit, eps, encoding)
+        if not seen:
+            break
+        run.explored.append(seen)
+        order = _preferred(w, pairs, p.ids, tie)
+        a, b, w = pairs[order] >> 32, pairs[order] & _LOW, w[order]
+        taken = greedy_matching(a, b, p.size)
+        ks = k - np.arange(len(taken))
+        gains = np.where(ks > 1, kappa_np(ks if gain_mode == "refreshed" else np.full(len(ks), k), n, grid, eps, encoding) + w[taken], -np.inf)
+        stop = np.flatnonzero(gains <= 0)
+        taken = taken[: stop[0]] if len(stop) else taken
+        start = p.size
+        if len(taken):
+            gains = gains[: len(taken)]
+            totals = total - np.cumsum(gains)
+            x, y = a[taken], b[taken]
+            rows = p.add_pairs(x, y, next_id)
+            run.parent[x] = run.parent[y] = rows
+            run.ledger += zip([len(run.explored)] * len(taken), range(1, len(taken) + 1), p.ids[x].tolist(), p.ids[y].tolist(), p.ids[rows].tolist(), ks[: len(taken)].tolist(), gains.tolist(), totals.tolist(), strict=True)
+            total = float(totals[-1])
+            next_id += len(taken)
         if p.size == start and not (after_round and after_round()):
             break
-        new = np.arange(start, p.size)
+        if after_round and p.size > start:
+            next_id = int(p.ids[: p.size].max()) + 1
+            live = p.live()
+            total = total_bits_local(p.usage[live], p.log_size[live], grid, eps, encoding)
         if scope == "inherited":
-            moved = np.array([run.root(int(r)) for r in range(p.size)])
-            edges = moved[edges]
-            edges = np.unique(np.sort(edges[edges[:, 0] != edges[:, 1]], axis=1), axis=0) if len(edges) else edges
-            pairs = edges[(edges >= start).any(axis=1)] if len(edges) else edges
+            at = run.roots()
+            x, y = at[edges >> 32], at[edges & _LOW]
+            moved = (x != edges >> 32) | (y != edges & _LOW)
+            new = np.unique(packed(x, y)[moved & (x != y)])
+            edges = np.concatenate([edges[~moved], new])
+            # an unmoved edge has old ends only, so it is not among the new; packed pairs with a new row at the end keep the order by ends
+            blocks = [new[(new & _LOW) >= start]]
         else:
-            new, live = new[p.alive[new]], p.live()
-            grid_pairs = np.stack(np.meshgrid(new, live, indexing="ij"), axis=-1).reshape(-1, 2)
-            pairs = np.unique(np.sort(grid_pairs[grid_pairs[:, 0] != grid_pairs[:, 1]], axis=1), axis=0)
-        if requeue and len(left):
-            left = left[p.alive[left].all(axis=1)]
-            pairs = np.unique(np.concatenate([pairs, left]), axis=0)
+            new = np.arange(start, p.size)
+            blocks = _with_every(new[p.alive[new]], p.live())
     return run
 
 
-def prune(p: Patterns, run: Run, grid: Grid, eps: float = EPS, top_n: int | None = 1000, order: str = "id", encoding: str = "plugin") -> int:
-    """Merge several patterns at once where a pair's hull holds others; returns the number of merges."""
+def _bits(ranks: np.ndarray, below: bool) -> np.ndarray:
+    """For every rank, the set of boxes of at least (or, `below`, at most) that rank, as rows of 64-bit words."""
+    k, levels = len(ranks), int(ranks.max()) + 1
+    words = np.zeros((levels, (k + 63) // 64), np.uint64)
+    np.bitwise_or.at(words, (ranks, np.arange(k) // 64), np.uint64(1) << (np.arange(k) % 64).astype(np.uint64))
+    return np.bitwise_or.accumulate(words, axis=0) if below else np.bitwise_or.accumulate(words[::-1], axis=0)[::-1]
+
+
+class Holders:
+    """Finds the pairs of boxes whose hull holds a third: an intersection of bit sets for each side."""
+
+    def __init__(self, lo: np.ndarray, hi: np.ndarray):
+        dims = range(lo.shape[1])
+        self.low = [np.unique(lo[:, d], return_inverse=True)[1] for d in dims]
+        self.high = [np.unique(hi[:, d], return_inverse=True)[1] for d in dims]
+        self.above, self.below = [_bits(r, False) for r in self.low], [_bits(r, True) for r in self.high]
+        self.k = len(lo)
+
+    def of(self, i: int) -> np.ndarray:
+        """The j > i such that the hull of i and j holds another box."""
+        out = []
+        step = max(1, CHUNK // self.above[0].shape[1])
+        for at in range(i + 1, self.k, step):
+            j = slice(at, min(self.k, at + step))
+            held = None
+            for low, high, above, below in zip(self.low, self.high, self.above, self.below, strict=True):
+                side = above[np.minimum(low[i], low[j])] & below[np.maximum(high[i], high[j])]
+                held = side if held is None else np.bitwise_and(held, side, out=held)
+            out.append(np.flatnonzero(np.bitwise_count(held).sum(axis=1) > 2) + at)
+        return np.concatenate(out) if out else np.zeros(0, np.int64)
+
+
+def prune_pairs(p: Patterns, live: np.ndarray, rows, top_n: int | None, eps: float, encoding: str) -> list[tuple[float, int, int]]:
+    """(weight, a, b) of the `top_n` pairs of largest weight whose hull holds another pattern; a is among `rows` (places in `live`)."""
+    holders = Holders(p.lo[live], p.hi[live])
+    found: list[tuple[float, int, int]] = []
+    key = lambda x: (-round(x[0], TIE), p.ids[x[1]], p.ids[x[2]])
+    for i in rows:
+        j = holders.of(i)
+        if len(j):
+            a, b = np.full(len(j), live[i]), live[j]
+            found += zip(weights(p, a, b, eps, encoding).tolist(), a.tolist(), b.tolist(), strict=True)
+            if top_n and len(found) > 20 * top_n + 100_000:
+                found.sort(key=key)
+                del found[top_n:]
+    found.sort(key=key)
+    return found[:top_n] if top_n else found
+
+
+def prune(p: Patterns, run: Run, grid: Grid, eps: float = EPS, top_n: int | None = 1000, order: str = "id", encoding: str = "plugin", search=None) -> int:
+    """Merge several patterns at once where a pair's hull holds others; returns the number of merges.
+
+    `search(p, live, top_n)` finds the candidates (default: `prune_pairs` here).
+    """
     n = int(p.usage[p.live()].sum())
+    log = lambda x: lgamma_bits(x + eps) if encoding == "plugin" else (-x * np.log2(x) if x else 0.0)
     merges = 0
     while True:
         live = p.live()
-        k = len(live)
-        lo, hi = p.lo[live], p.hi[live]
-        found: list[tuple[float, int, int]] = []
-        for i in range(k - 1):
-            low, high = np.minimum(lo[i], lo[i + 1 :]), np.maximum(hi[i], hi[i + 1 :])
-            inside = np.ones((len(low), k), bool)
-            for d in range(lo.shape[1]):
-                inside &= lo[None, :, d] >= low[:, None, d]
-                inside &= hi[None, :, d] <= high[:, None, d]
-            j = np.flatnonzero(np.count_nonzero(inside, axis=1) > 2) + i + 1
-            if len(j):
-                pairs = np.stack([np.full(len(j), live[i]), live[j]], axis=1)
-                found += zip(weights(p, pairs, eps, encoding).tolist(), pairs[:, 0].tolist(), pairs[:, 1].tolist(), strict=True)
-        found.sort(key=lambda x: (-round(x[0], TIE), p.ids[x[1]], p.ids[x[2]]))
+        found = search(p, live, top_n) if search else prune_pairs(p, live, range(len(live) - 1), top_n, eps, encoding)
         total = total_bits_local(p.usage[live], p.log_size[live], grid, eps, encoding)
         before = merges
-        for _, a, b in found[:top_n]:
+        for _, a, b in found:
             if not (p.alive[a] and p.alive[b]):
                 continue
             live = p.live()
@@ -172,19 +337,29 @@ def prune(p: Patterns, run: Run, grid: Grid, eps: float = EPS, top_n: int | None
             held = (p.lo[live] >= low).all(axis=1) & (p.hi[live] <= high).all(axis=1) & (live != a) & (live != b)
             inside = live[held].tolist()
             inside.sort(key=lambda h: p.ids[h] if order == "id" else (-p.usage[h], p.ids[h]))
-            gain_of = lambda rows: group_gain(p.usage[rows], p.log_size[rows], hull, len(live), n, grid, eps, encoding)  # noqa: B023, E731
-            members, gain = [a, b], gain_of([a, b])
+            members, k = [a, b], len(live)
+            joint = own = space = 0.0
+            for h in members:
+                joint, own, space = joint + p.usage[h], own + log(p.usage[h]), space + p.usage[h] * p.log_size[h]
+
+            def gain_of(m, joint, own, space):
+                if encoding == "plugin":
+                    return kappa(k, n, grid, eps, m - 1, encoding) + log(joint) + (m - 1) * lgamma_bits(eps) - own + space - joint * hull  # noqa: B023
+                return kappa(k, n, grid, eps, m - 1, encoding) + own - log(joint) + space - joint * hull  # noqa: B023
+
+            gain = gain_of(2, joint, own, space)
             for h in inside:
-                with_h = gain_of([*members, h])
+                wider = joint + p.usage[h], own + log(p.usage[h]), space + p.usage[h] * p.log_size[h]
+                with_h = gain_of(len(members) + 1, *wider)
                 if with_h > gain:
-                    members, gain = [*members, h], with_h
+                    members.append(h)
+                    gain, (joint, own, space) = with_h, wider
             if gain > 0:
                 pid = int(p.ids[: p.size].max()) + 1
                 row = p.add(members, pid)
-                for m in members:
-                    run.parent[m] = row
+                run.parent[members] = row
                 total -= gain
                 merges += 1
-                run.ledger.append((0, merges, int(p.ids[a]), int(p.ids[b]), pid, len(live), gain, total))
+                run.ledger.append((0, merges, int(p.ids[a]), int(p.ids[b]), pid, k, float(gain), float(total)))
         if merges == before:
             return merges

@@ -14,16 +14,23 @@ from pyspark.sql import functions as F
 from ..session import fixed
 from .cells import with_row_ids
 from .grid import Grid
-from .kernel import TIE
+from .kernel import TIE, pair_mix
 from .model import kappa_col
 
 
 def _order(tie: str) -> Column:
-    sign = -1 if tie == "first" else 1
-    return F.struct(F.round("w", TIE).alias("w"), (sign * F.col("a")).alias("x"), (sign * F.col("b")).alias("y"))
+    """Greatest for the pair to take first.
 
+    With 'first' and 'last' chains of equal pairs are taken from one end, in as
+    many rounds as they are long; with 'hash' the rounds grow with the
+    logarithm of their number.
+    """
+    sign = 1 if tie == "last" else -1
+    mix = (-pair_mix(F.col("a"), F.col("b")) if tie == "hash" else F.lit(0)).cast("long")
+    return F.struct(F.round("w", TIE).alias("w"), mix.alias("m"), (sign * F.col("a")).alias("x"), (sign * F.col("b")).alias("y"))
 
-def greedy_matching(candidates: DataFrame, tie: str = "first") -> DataFrame:
+
+def greedy_matching(candidates: DataFrame, tie: str = "hash") -> DataFrame:
     """Edges (``a, b, w``) that greedy matching by falling weight takes."""
     rest = candidates.select("a", "b", "w").withColumn("o", _order(tie))
     taken = None

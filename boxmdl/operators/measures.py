@@ -14,6 +14,10 @@ from . import cells as C
 from .grid import Grid
 
 
+#: Tiles of the first side in which boxes of two sets meet.
+TILES = 64
+
+
 def compression_ratio(report: dict) -> float:
     """Total length over that of the cells alone; smaller is better."""
     return report["end_bits"] / report["start_bits"]
@@ -36,12 +40,20 @@ def candidate_bounds(report: dict) -> dict:
 def occurrences(boxes: DataFrame, cells: DataFrame) -> DataFrame:
     """``pid, cell_id, usage`` of every cell inside a box, whether or not the box encodes it.
 
-    The boxes are joined on the first side's interval, so each cell meets only
-    boxes that span its interval there.
+    Cells and boxes meet in tiles along the two sides on which the boxes are
+    shortest; a tile is as wide as a box is there on average, so a box is
+    written out a few times whatever the grid.
     """
-    spans = boxes.select("pid", F.col("lo").alias("blo"), F.col("hi").alias("bhi"), F.explode(F.sequence(F.element_at("lo", 1), F.element_at("hi", 1))).alias("first"))
-    at = cells.select("cell_id", F.col("lo").alias("clo"), F.col("hi").alias("chi"), F.col("usage"), F.element_at("lo", 1).alias("first"))
-    return at.join(spans, "first").filter(B.contains(F.col("blo"), F.col("bhi"), F.col("clo"), F.col("chi"))).select("pid", "cell_id", "usage")
+    sides = boxes.select(F.posexplode(F.zip_with("hi", "lo", lambda h, low: h - low + 1)).alias("side", "span")).groupBy("side").agg(F.avg("span").alias("span")).collect()  # a row for each attribute
+    chosen = sorted((r.span, r.side) for r in sides)[:2]
+    tile = lambda c, side, span: F.floor(F.element_at(c, side + 1) / F.lit(max(1, round(span)))).cast("int")
+    spans, at = boxes.select("pid", F.col("lo").alias("blo"), F.col("hi").alias("bhi")), cells.select("cell_id", F.col("lo").alias("clo"), F.col("hi").alias("chi"), "usage")
+    for i, (span, side) in enumerate(chosen):
+        spans = spans.withColumn(f"t{i}", F.explode(F.sequence(tile("blo", side, span), tile("bhi", side, span))))
+        at = at.withColumn(f"t{i}", tile("clo", side, span))
+    if not chosen:
+        return at.limit(0).select(F.lit(0).cast("long").alias("pid"), "cell_id", "usage")
+    return at.join(spans, [f"t{i}" for i in range(len(chosen))]).filter(B.contains(F.col("blo"), F.col("bhi"), F.col("clo"), F.col("chi"))).select("pid", "cell_id", "usage")
 
 
 def support(boxes: DataFrame, cells: DataFrame) -> DataFrame:
@@ -60,9 +72,9 @@ def cover_is_partition(boxes: DataFrame, lineage: DataFrame, cells: DataFrame) -
     return seen.agg(F.sum("usage").alias("rows"), F.count(F.lit(1)).alias("cells"), F.count_distinct("cell_id").alias("encoded"), F.sum((~inside).cast("long")).alias("outside")).crossJoin(totals).select("rows", "usage", "cells", "encoded", "outside")
 
 
-def jaccard_pairs(boxes: DataFrame, cells: DataFrame) -> DataFrame:
-    """``a, b, jaccard`` of the occurrence sets of pairs that share rows (others have 0)."""
-    inside = occurrences(boxes, cells)
+def jaccard_pairs(boxes: DataFrame, cells: DataFrame | None, inside: DataFrame | None = None) -> DataFrame:
+    """``a, b, jaccard`` of the occurrence sets (`inside`, or those of the cells) of pairs that share rows (others have 0)."""
+    inside = occurrences(boxes, cells) if inside is None else inside
     x, y = inside.select("cell_id", "usage", F.col("pid").alias("a")), inside.select("cell_id", F.col("pid").alias("b"))
     both = x.join(y, "cell_id").filter("a < b").groupBy("a", "b").agg(F.sum("usage").alias("both"))
     sizes = inside.groupBy("pid").agg(F.sum("usage").alias("size"))
@@ -78,12 +90,12 @@ def jaccard_all(boxes: DataFrame, cells: DataFrame) -> DataFrame:
     return k.crossJoin(total).select(pairs.cast("long").alias("pairs"), F.when(pairs > 0, F.col("total") / pairs).alias("mean_jaccard"))
 
 
-def jaccard_topk(boxes: DataFrame, cells: DataFrame, k: int = 10) -> DataFrame:
+def jaccard_topk(boxes: DataFrame, cells: DataFrame | None, k: int = 10, inside: DataFrame | None = None) -> DataFrame:
     """``pairs, mean_jaccard`` over each pattern's k most similar others, repeated pairs once; ties to the smaller id.
 
     Patterns that share no row count with 0, after those that do, by id.
     """
-    near = jaccard_pairs(boxes, cells)
+    near = jaccard_pairs(boxes, cells, inside)
     ways = near.select(F.col("a").alias("p"), F.col("b").alias("q"), "jaccard").unionByName(near.select(F.col("b").alias("p"), F.col("a").alias("q"), "jaccard"))
     # a list is filled up from the least ids: beside itself and its overlaps a pattern needs k of them at most
     most = ways.groupBy("p").count().agg(F.max("count")).first()[0] or 0
@@ -109,6 +121,11 @@ def accuracy(boxes: DataFrame, disc: DataFrame, label: str, over: str = "support
     else:
         spread = at.select(spot.alias("lo"), spot.alias("hi"), "usage", F.struct("label", spot.alias("spot")).alias("cell_id"))
         rows = occurrences(boxes, spread).select("pid", "cell_id.label", "usage")
+    return majority(rows)
+
+
+def majority(rows: DataFrame) -> DataFrame:
+    """``pid, majority, rows, accuracy`` from ``pid, label, usage``."""
     by_label = rows.groupBy("pid", "label").agg(F.sum("usage").alias("c"))
     best = F.max(F.struct("c", F.lit(0)))["c"]
     top = by_label.withColumn("best", F.max("c").over(Window.partitionBy("pid")))
@@ -142,21 +159,40 @@ def box_jaccard(lo_a, hi_a, lo_b, hi_b) -> Column:
     return F.when(whole > 0, _product(inner) / whole).otherwise(0.0)
 
 
-def _sides(df: DataFrame, key: str, s: str) -> DataFrame:
-    return df.select(F.col(key).alias(s), F.col("rlo").alias(f"lo_{s}"), F.col("rhi").alias(f"hi_{s}"))
+def _overlapping(ours: DataFrame, others: DataFrame, key: str, other_key: str, by: list[str]) -> DataFrame:
+    """``by, a, b, jaccard`` of the pairs of boxes of one group that share space.
 
-
-def box_jaccard_mean(real: DataFrame, key: str = "pid") -> DataFrame:
-    """``pairs, mean_jaccard`` of the boxes (``rlo, rhi``) over all pairs."""
-    pairs = _sides(real, key, "a").join(F.broadcast(_sides(real, key, "b")), F.col("a") < F.col("b"))  # a pattern set
-    return pairs.agg(F.count(F.lit(1)).alias("pairs"), F.avg(box_jaccard(F.col("lo_a"), F.col("hi_a"), F.col("lo_b"), F.col("hi_b"))).alias("mean_jaccard"))
-
-
-def jcd(ours: DataFrame, others: DataFrame, key: str = "pid", other_key: str = "tid") -> DataFrame:
-    """``boxes, jcd``: mean over `ours` of the best box Jaccard with one of `others`."""
-    pairs = _sides(ours, key, "a").crossJoin(F.broadcast(_sides(others, other_key, "b")))  # two pattern sets
-    best = pairs.groupBy("a").agg(F.max(box_jaccard(F.col("lo_a"), F.col("hi_a"), F.col("lo_b"), F.col("hi_b"))).alias("best"))
-    return best.agg(F.count(F.lit(1)).alias("boxes"), F.avg("best").alias("jcd"))
+    The boxes meet in tiles of the first side, each pair in the first tile that
+    both reach; pairs without a common part have 0 and are not written out.
+    """
+    ends = ours.select("rlo", "rhi").unionByName(others.select("rlo", "rhi")).agg(F.min(F.element_at("rlo", 1)).alias("lo"), F.max(F.element_at("rhi", 1)).alias("hi")).first()
+    wide = ((ends.hi - ends.lo) / TILES if ends.lo is not None else 0.0) or 1.0
+    tile = lambda v: F.least(F.lit(TILES - 1), F.floor((F.element_at(v, 1) - F.lit(ends.lo or 0.0)) / F.lit(wide))).cast("int")
+
+    def side(df, name, s):
+        placed = df.select(*by, F.col(name).alias(s), F.col("rlo").alias(f"lo_{s}"), F.col("rhi").alias(f"hi_{s}"), tile("rlo").alias(f"t_{s}"), tile("rhi").alias(f"u_{s}"))
+        return placed.withColumn("t", F.explode(F.sequence(f"t_{s}", f"u_{s}")))
+
+    both = side(ours, key, "a").join(side(others, other_key, "b"), [*by, "t"]).filter(F.col("t") == F.greatest("t_a", "t_b"))
+    return both.select(*by, "a", "b", box_jaccard(F.col("lo_a"), F.col("hi_a"), F.col("lo_b"), F.col("hi_b")).alias("jaccard")).filter("jaccard > 0")
+
+
+def box_jaccard_mean(real: DataFrame, key: str = "pid", by: list[str] = ()) -> DataFrame:
+    """``pairs, mean_jaccard`` of the boxes (``rlo, rhi``) over all pairs, for each group of the columns `by`."""
+    by = list(by)
+    total = _overlapping(real, real, key, key, by).filter("a < b").groupBy(*by).agg(F.sum("jaccard").alias("total"))
+    count = real.groupBy(*by).agg(F.count(F.lit(1)).alias("k"))
+    joined = count.join(total, by, "left") if by else count.crossJoin(total)  # one row each
+    pairs = (F.col("k") * (F.col("k") - 1) / 2).cast("long")
+    return joined.select(*by, pairs.alias("pairs"), F.when(pairs > 0, F.coalesce("total", F.lit(0.0)) / pairs).alias("mean_jaccard"))
+
+
+def jcd(ours: DataFrame, others: DataFrame, key: str = "pid", other_key: str = "tid", by: list[str] = ()) -> DataFrame:
+    """``boxes, jcd``: mean over `ours` of the best box Jaccard with one of `others` (of the same group)."""
+    by = list(by)
+    best = _overlapping(ours, others, key, other_key, by).groupBy(*by, "a").agg(F.max("jaccard").alias("best"))
+    every = ours.select(*by, F.col(key).alias("a")).join(best, [*by, "a"], "left")
+    return every.groupBy(*by).agg(F.count(F.lit(1)).alias("boxes"), F.avg(F.coalesce("best", F.lit(0.0))).alias("jcd"))
 
 
 def describe(df: DataFrame, attrs: list[str], grid: Grid, label: str | None = None) -> DataFrame:

@@ -9,10 +9,11 @@ from __future__ import annotations
 
 import json
 import time
+import warnings
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -20,10 +21,9 @@ from ..functions.codes import EPS
 from ..plans import choose
 from ..session import fixed
 from . import boxes as B
-from . import candidates, cells, kernel, matching, model, neighbors
+from . import candidates, cells, kernel, matching, model, neighbors, prune
 from . import grid as grids
 
-BOX_SCHEMA = "pid long, lo array<int>, hi array<int>, usage long, log_size double"
 LEDGER_SCHEMA = "round int, step int, a long, b long, pid long, k_before long, gain double, total_after double"
 
 
@@ -70,32 +70,70 @@ class MineResult:
         return cls(read["boxes"], read["lineage"], read["cells"], grids.from_frame(spark.read.parquet(f"{path}/grid")), read["ledger"], report)
 
 
-def _frame(spark, rows: list[tuple], schema: str) -> DataFrame:
-    return spark.createDataFrame(rows, schema) if rows else spark.createDataFrame([], schema)
+def _arrays(boxes: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Ids (ascending), corners and usages of the boxes."""
+    found = boxes.select("pid", "lo", "hi", "usage").toArrow()
+    ids = found["pid"].to_numpy()
+    order = np.argsort(ids)
+    corner = lambda c: found[c].combine_chunks().flatten().to_numpy().reshape(len(ids), -1)[order]
+    return ids[order], corner("lo"), corner("hi"), found["usage"].to_numpy()[order]
+
+
+def _rows(pairs: DataFrame, ids: np.ndarray) -> np.ndarray:
+    """Pairs of ids (``a, b``) as packed row pairs."""
+    found = pairs.select("a", "b").toArrow()
+    return kernel.packed(*(np.searchsorted(ids, found[c].to_numpy()) for c in ("a", "b")))
+
+
+def _near_rows(elementary: DataFrame, ids: np.ndarray, points: np.ndarray, k: int, n_attrs: int, method: str) -> np.ndarray:
+    """Packed row pairs of neighbours: found here for few cells, by tasks for more."""
+    if method == "auto" and len(ids) <= choose.ALL_PAIRS_CELLS:
+        found = neighbors.knn_local(points, k)
+        return kernel.packed(found[:, 0], found[:, 1])
+    return np.unique(_rows(neighbors.neighbor_pairs(elementary, k, n_attrs, method, len(ids)).toDF("a", "b"), ids))
+
+
+def _boxes_frame(spark, p: kernel.Patterns, live: np.ndarray) -> DataFrame:
+    n, d = p.lo[live].shape
+    corner = lambda x: pa.ListArray.from_arrays(pa.array(np.arange(n + 1) * d, pa.int32()), pa.array(x[live].ravel(), pa.int32()))
+    return spark.createDataFrame(pa.table({"pid": p.ids[live], "lo": corner(p.lo), "hi": corner(p.hi), "usage": p.usage[live].astype(np.int64), "log_size": p.log_size[live]}))
+
+
+def _ledger_frame(spark, rows: list[tuple]) -> DataFrame:
+    kinds = {"int": pa.int32(), "long": pa.int64(), "double": pa.float64()}
+    fields = [x.split() for x in LEDGER_SCHEMA.split(", ")]
+    columns = list(zip(*rows, strict=True)) if rows else [[]] * len(fields)
+    return spark.createDataFrame(pa.table({name: pa.array(c, kinds[t]) for (name, t), c in zip(fields, columns, strict=True)}))
 
 
 def starting_boxes(elementary: DataFrame) -> DataFrame:
     return B.with_log_size(elementary.select(F.col("cell_id").alias("pid"), "lo", "hi", "usage"))
 
 
-def _distributed(boxes, edges, lineage, grid, n, k, eps, scope, gain_mode, tie, encoding, report, ledger):
-    """Rounds on DataFrames until the patterns fit the kernel or no candidate is left; returns boxes, edges, lineage and the next round's pairs (None: over)."""
+def _distributed(boxes, edges, lineage, grid, n, k, eps, scope, gain_mode, tie, encoding, requeue, report, ledger):
+    """Rounds on DataFrames until the patterns and candidates fit the kernel or no candidate is left.
+
+    Returns boxes, edges, lineage, their number, the next round's pairs (None:
+    over), the pairs left over for requeueing and the total length.
+    """
     pairs = edges
+    left = None
     total = model.total_bits(boxes, grid, eps, encoding).first().total
     next_id = boxes.agg(F.max("pid")).first()[0] + 1
-    while choose.rounds_plan(k, 0, "inherited") != "local":
-        weighted = candidates.weighted(pairs, boxes, eps, encoding).select("a", "b", "w")
-        # a pair this far below zero has no gain at any number of patterns ahead
-        hope = max(model.kappa(x, n, grid, eps, 1, encoding) for x in {k, max(2, k // 2), 2, 3, 5, 17, 18, 33, 257})
-        weighted = fixed(weighted)
+    n_edges = edges.count()
+    while choose.rounds_plan(k, n_edges) != "local":
+        if requeue and left is not None:
+            pairs = pairs.unionByName(left).dropDuplicates()
+        weighted = fixed(candidates.weighted(pairs, boxes, eps, encoding).select("a", "b", "w"))
+        left = weighted.select("a", "b") if requeue else None
         report["explored"].append(weighted.count())
-        hopeful = weighted.filter(F.col("w") > -hope - 8)
+        hopeful = weighted.filter(F.col("w") > -model.hope(k, n, grid, eps, encoding))
         if hopeful.isEmpty():
-            return boxes, edges, lineage, k, None, total
+            return boxes, edges, lineage, k, None, None, total
         merges = matching.accepted(matching.greedy_matching(hopeful, tie), k, n, grid, eps, encoding, gain_mode, next_id)
         made = merges.count()
         if not made:
-            return boxes, edges, lineage, k, None, total
+            return boxes, edges, lineage, k, None, None, total
         joint = candidates.weighted(merges, boxes, eps, encoding).join(merges.select("a", "b", "pid"), ["a", "b"])
         usage = merges.select("pid", F.explode(F.array("a", "b")).alias("old")).join(boxes.select(F.col("pid").alias("old"), "usage"), "old").groupBy("pid").agg(F.sum("usage").alias("usage"))
         new = B.with_log_size(joint.join(usage, "pid").select("pid", "lo", "hi", "usage"))
@@ -112,7 +150,12 @@ def _distributed(boxes, edges, lineage, grid, n, k, eps, scope, gain_mode, tie,
         first_new = next_id
         next_id += made
         pairs = edges.filter((F.col("a") >= first_new) | (F.col("b") >= first_new)) if scope == "inherited" else candidates.with_new(boxes, first_new)
-    return boxes, edges, lineage, k, pairs, total
+        n_edges = edges.count() if scope == "inherited" else made * k
+        if requeue:
+            gone = merges.select(F.explode(F.array("a", "b")).alias("v"))
+            left = fixed(left.join(gone, F.col("a") == F.col("v"), "left_anti").join(gone, F.col("b") == F.col("v"), "left_anti"))
+            n_edges += left.count()
+    return boxes, edges, lineage, k, pairs, left, total
 
 
 def _by_step():
@@ -122,12 +165,13 @@ def _by_step():
     return Window.orderBy("step").rowsBetween(Window.unboundedPreceding, 0)
 
 
-def mine(df: DataFrame, attrs: list[str], n_bins="sqrt", k: int | None = None, grid: grids.Grid | None = None, eps: float = EPS, candidate_scope: str | None = None, gain_mode: str = "refreshed", tie: str = "first", prune_when: str = "final", top_n: int | None = 1000, encoding: str = "plugin", on_missing: str = "error", requeue: bool = False, absorb_order: str = "id", knn_method: str = "auto") -> MineResult:
+def mine(df: DataFrame, attrs: list[str], n_bins="sqrt", k: int | None = None, grid: grids.Grid | None = None, eps: float = EPS, candidate_scope: str | None = None, gain_mode: str = "refreshed", tie: str = "hash", prune_when: str = "final", top_n: int | None = 1000, encoding: str = "plugin", on_missing: str = "error", requeue: bool = False, absorb_order: str = "id", knn_method: str = "auto") -> MineResult:
     """Boxes of `df` over `attrs`; `k` limits the neighbours (None: every pair).
 
     candidate_scope: 'inherited' (a new box keeps the neighbours of its parts;
     the default with a limit) or 'all' (a new box with every pattern; the
-    default without).  prune_when: 'final', 'each_round' or 'never'.
+    default without).  prune_when: 'final', 'each_round' or 'never'.  tie:
+    which of equal gains goes first: 'first' or 'last' by pair id, or 'hash'.
     """
     began = time.monotonic()
     spark = df.sparkSession
@@ -143,7 +187,7 @@ def mine(df: DataFrame, attrs: list[str], n_bins="sqrt", k: int | None = None, g
     return result
 
 
-def mine_cells(elementary: DataFrame, grid: grids.Grid, k=None, eps=EPS, candidate_scope=None, gain_mode="refreshed", tie="first", prune_when="final", top_n=1000, encoding="plugin", requeue=False, absorb_order="id", knn_method="auto") -> MineResult:
+def mine_cells(elementary: DataFrame, grid: grids.Grid, k=None, eps=EPS, candidate_scope=None, gain_mode="refreshed", tie="hash", prune_when="final", top_n=1000, encoding="plugin", requeue=False, absorb_order="id", knn_method="auto") -> MineResult:
     """As `mine`, from cells (``cell_id, lo, hi, usage``) that are stored or fixed."""
     spark = elementary.sparkSession
     scope = candidate_scope or ("all" if k is None else "inherited")
@@ -155,41 +199,39 @@ def mine_cells(elementary: DataFrame, grid: grids.Grid, k=None, eps=EPS, candida
     start = model.total_bits(boxes, grid, eps, encoding).first()
     report["start_bits"] = start.total
     ledger: list[DataFrame] = []
-    local = choose.rounds_plan(size.k, size.k * (k or 0), scope) == "local"
-    first, edges_df, alive, total = None, None, size.k, None
+    n_attrs = len(grid.axes)
+    local = choose.rounds_plan(size.k, size.k * k if k else size.k * (size.k - 1) // 2) == "local"
+    first, edges_df, alive, total, left = None, None, size.k, None, None
     if not local:
-        reach = max(a.n_bins for a in grid.axes)
-        edges_df = fixed(neighbors.edges(neighbors.knn(elementary, k, len(grid.axes), knn_method, size.k, reach)) if k else neighbors.every_pair(elementary, size.k))
-        boxes, edges_df, lineage, alive, first, total = _distributed(fixed(boxes), edges_df, lineage, grid, size.n, size.k, eps, scope, gain_mode, tie, encoding, report, ledger)
-    if not local and first is None and alive > choose.LOCAL_PATTERNS:
-        report |= {"patterns": alive, "status": "ended on DataFrames; too many patterns to prune"}
+        if prune_when == "each_round":
+            raise ValueError(f"prune_when='each_round' needs a start of at most {choose.LOCAL_PATTERNS} cells and {choose.LOCAL_CANDIDATES} candidates")
+        near = neighbors.edges(neighbors.neighbor_pairs(elementary, k, n_attrs, knn_method, size.k)) if k else neighbors.every_pair(elementary, size.k)
+        boxes, edges_df, lineage, alive, first, left, total = _distributed(fixed(boxes), fixed(near), lineage, grid, size.n, size.k, eps, scope, gain_mode, tie, encoding, requeue, report, ledger)
+    if not local and first is None and alive > choose.PRUNE_PATTERNS:
+        report |= {"patterns": alive, "pruned": False}
+        if prune_when != "never":
+            warnings.warn(f"{alive} patterns are not pruned (at most {choose.PRUNE_PATTERNS})", stacklevel=2)
         held = boxes
     else:
-        # bounded by LOCAL_PATTERNS
-        found = boxes.orderBy("pid").toPandas()
-        p = kernel.Patterns.of(found["pid"].to_numpy(), np.stack(found["lo"].to_list()), np.stack(found["hi"].to_list()), found["usage"].to_numpy())
-        row_of = {int(pid): r for r, pid in enumerate(found["pid"])}
-        as_rows = lambda frame: np.array([[row_of[a], row_of[b]] for a, b in frame.toPandas()[["a", "b"]].to_numpy().tolist()], np.int64).reshape(-1, 2)
+        # bounded by LOCAL_PATTERNS or PRUNE_PATTERNS
+        ids, lo, hi, usage = _arrays(boxes)
+        p = kernel.Patterns.of(ids, lo, hi, usage)
         run = kernel.Run(p, explored=report["explored"])
-        pruned = lambda: kernel.prune(p, run, grid, eps, top_n, absorb_order, encoding)
+        pruned = lambda: kernel.prune(p, run, grid, eps, top_n, absorb_order, encoding, prune.search(spark, eps, encoding))
         each = pruned if prune_when == "each_round" else None
         if local:
-            near = neighbors.knn_local(p.lo[: p.size], k) if k else None
+            near = _near_rows(elementary, ids, lo, k, n_attrs, knn_method) if k else None
             kernel.mine(p, near, grid, eps, scope, gain_mode, tie, encoding, requeue, run, after_round=each)
         elif first is not None:
-            kernel.mine(p, as_rows(edges_df), grid, eps, scope, gain_mode, tie, encoding, requeue, run, as_rows(first), after_round=each, total=total)
+            kernel.mine(p, _rows(edges_df, ids), grid, eps, scope, gain_mode, tie, encoding, requeue, run, _rows(first, ids), after_round=each, total=total, left=_rows(left, ids) if requeue else None)
+        report["pruned"] = prune_when != "never"
         if prune_when != "never":
-            if len(p.live()) <= choose.PRUNE_PATTERNS:
-                pruned()
-            else:
-                report["status"] = "too many patterns to prune"
+            pruned()
         live = p.live()
-        rows = [(int(p.ids[r]), p.lo[r].tolist(), p.hi[r].tolist(), int(p.usage[r]), float(p.log_size[r])) for r in live]
-        held = _frame(spark, rows, BOX_SCHEMA)
-        moved = pd.DataFrame({"pid": found["pid"].to_numpy(), "to": [int(p.ids[run.root(r)]) for r in range(len(found))]})
-        to = spark.createDataFrame(moved, "pid long, to long")
+        held = _boxes_frame(spark, p, live)
+        to = spark.createDataFrame(pa.table({"pid": ids, "to": p.ids[run.roots()[: len(ids)]]}))
         lineage = lineage.join(to, "pid").select("cell_id", F.col("to").alias("pid"))
-        ledger.append(_frame(spark, run.ledger, LEDGER_SCHEMA))
+        ledger.append(_ledger_frame(spark, run.ledger))
         report["patterns"] = len(live)
     end = model.total_bits(held, grid, eps, encoding).first()
     report |= {"rounds": len(report["explored"]), "candidates": int(sum(report["explored"])), "end_bits": end.total, "compression_ratio": end.total / start.total, "parts": {c: end[c] for c in ("grid", "patterns", "count", "data", "reconstruction")}}

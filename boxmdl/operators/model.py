@@ -56,6 +56,44 @@ def kappa(k: int, n: int, grid: Grid, eps: float = EPS, merged: int = 1, encodin
     return out
 
 
+def kappa_np(k: np.ndarray, n: int, grid: Grid, eps: float = EPS, encoding: str = "plugin") -> np.ndarray:
+    """`kappa` for one merge, for many numbers of patterns."""
+    k = np.asarray(k, float)
+    out = _universal_np(k) - _universal_np(k - 1) + grid.side_bits
+    if encoding == "plugin":
+        out = out + _step_np(n + eps * (k - 1), eps) - _step_np(np.maximum(eps * (k - 1), eps), eps)
+    return out
+
+
+def _universal_np(n: np.ndarray) -> np.ndarray:
+    total, term = np.full(len(n), math.log2(codes.C0)), np.asarray(n, float)
+    for _ in range(5):
+        term = np.where(term > 1, np.log2(np.maximum(term, 1)), 0.0)
+        total = total + term
+    return np.where(n >= 1, total, 0.0)
+
+
+def _step_np(x: np.ndarray, step: float) -> np.ndarray:
+    """log2 of gamma(x + step) / gamma(x), without losing digits for large x."""
+    y = x + step
+    series = (step * np.log(x) + (y - 0.5) * np.log1p(step / x) - step + 1 / (12 * y) - 1 / (12 * x)) / codes.LN2
+    return np.where(x < 1e5, lgamma_bits_np(y) - lgamma_bits_np(x), series)
+
+
+def hope(k: int, n: int, grid: Grid, eps: float = EPS, encoding: str = "plugin") -> float:
+    """No `kappa` of a round that starts with k patterns is above this.
+
+    A round merges disjoint pairs, so it ends with half of the patterns or more.
+    The gamma part of kappa falls with the number of patterns, and the integer
+    code never takes a longer step than from 2 to 3.
+    """
+    low = max(2, k - k // 2)
+    out = grid.side_bits + universal_int_bits(3) - universal_int_bits(2)
+    if encoding == "plugin":
+        out += lgamma_step_bits(n + eps * (low - 1), eps) - lgamma_step_bits(eps * (low - 1), eps)
+    return out + 1e-6
+
+
 def kappa_col(k: Column, n: int, grid: Grid, eps: float = EPS, encoding: str = "plugin") -> Column:
     """`kappa` for one merge, as a column; for large arguments the difference of log-gammas is a series."""
     out = universal_int_bits_col(k) - universal_int_bits_col(k - 1) + F.lit(grid.side_bits)
@@ -80,8 +118,6 @@ def pair_weight(u_a: Column, u_b: Column, ls_a: Column, ls_b: Column, ls_join: C
     return xlog(joint) - xlog(u_a) - xlog(u_b) + space
 
 
-
-
 def lgamma_bits_np(x: np.ndarray) -> np.ndarray:
     """The column expression's arithmetic on arrays."""
     x = np.asarray(x, float)
@@ -93,15 +129,6 @@ def lgamma_bits_np(x: np.ndarray) -> np.ndarray:
     return ((z - 0.5) * np.log(z) - z + 0.5 * math.log(2 * math.pi) + tail / z - shift) / codes.LN2
 
 
-def pair_weight_np(u_a, u_b, ls_a, ls_b, ls_join, eps: float = EPS, encoding: str = "plugin") -> np.ndarray:
-    joint = u_a + u_b
-    space = u_a * ls_a + u_b * ls_b - joint * ls_join
-    if encoding == "plugin":
-        return lgamma_bits_np(joint + eps) + lgamma_bits(eps) - lgamma_bits_np(u_a + eps) - lgamma_bits_np(u_b + eps) + space
-    xlog = lambda u: u * np.log2(u)
-    return xlog(joint) - xlog(u_a) - xlog(u_b) + space
-
-
 def group_weight(usages, log_sizes, hull_log_size: float, eps: float = EPS, encoding: str = "plugin") -> float:
     """The part of the gain of replacing m patterns by their hull that depends on them."""
     usages, log_sizes = np.asarray(usages, float), np.asarray(log_sizes, float)

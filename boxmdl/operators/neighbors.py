@@ -1,15 +1,17 @@
 """Nearest cells on the grid (Euclidean over indices; ties to the smaller id).
 
 ``knn`` gives ``cell_id, neighbor, d2, rank``.  Plans: all pairs with one side
-broadcast; tiles of the grid joined ring by ring until the k-th neighbour lies
-within the ring (exact); candidate lists from sorted random projections
-(approximate, for many cells in many attributes; its recall can be measured
-with `recall`).
+broadcast (few cells); tiles: every task gets the positions of a block of
+cells, sorted by tiles, and looks for each of its cells only through the
+non-empty tiles that can hold a neighbour (exact in any number of attributes,
+blocks of bounded size); candidate lists from sorted random projections
+(approximate, by name only; its recall can be measured with `recall`).
 """
 
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -17,6 +19,11 @@ from ..plans import choose
 from ..session import fixed
 from .cells import with_row_ids
 
+#: Attributes that tiles are cut along.
+TILED = 4
+#: Distances that a task works out at once.
+CHUNK = 1 << 22
+
 
 def _d2(a, b):
     return F.aggregate(F.zip_with(a, b, lambda x, y: (x - y).cast("long") * (x - y).cast("long")), F.lit(0).cast("long"), lambda s, x: s + x)
@@ -29,33 +36,111 @@ def _top(pairs: DataFrame, k: int) -> DataFrame:
 
 def _all_pairs(cells: DataFrame, others: DataFrame, k: int) -> DataFrame:
     right = others.select(F.col("cell_id").alias("neighbor"), F.col("lo").alias("at"))
-    pairs = cells.select("cell_id", "lo").join(F.broadcast(right), F.col("cell_id") != F.col("neighbor"))
+    pairs = cells.select("cell_id", "lo").join(F.broadcast(right), F.col("cell_id") != F.col("neighbor"))  # at most ALL_PAIRS_CELLS
     return _top(pairs.select("cell_id", "neighbor", _d2("lo", "at").alias("d2")), k)
 
 
-def _tiled(cells: DataFrame, k: int, n_attrs: int, reach: int, tile: int) -> DataFrame:
-    """Exact neighbours by rings of tiles over the first attributes."""
-    dims = min(n_attrs, 3)
-    tiles = [F.floor(F.element_at("lo", i + 1) / tile).cast("int").alias(f"t{i}") for i in range(dims)]
-    homes = cells.select(F.col("cell_id").alias("neighbor"), F.col("lo").alias("at"), *tiles)
-    todo, found, ring = cells.select("cell_id", "lo"), None, 1
-    while True:
-        last = ring * tile >= reach
-        around = todo.select("cell_id", "lo", *tiles)
-        for i in range(dims):
-            around = around.withColumn(f"t{i}", F.explode(F.sequence(F.col(f"t{i}") - ring, F.col(f"t{i}") + ring)))
-        pairs = around.join(homes, [f"t{i}" for i in range(dims)]).filter(F.col("cell_id") != F.col("neighbor"))
-        near = fixed(_top(pairs.select("cell_id", "neighbor", _d2("lo", "at").alias("d2")), k))
-        # whatever lies outside the ring is farther than ring * tile
-        sure = near.groupBy("cell_id").agg(F.count(F.lit(1)).alias("n"), F.max("d2").alias("far")).filter(((F.col("n") == k) & (F.col("far") <= (ring * tile) ** 2)) | F.lit(last)).select("cell_id")
-        done = near.join(sure, "cell_id", "left_semi")
-        found = done if found is None else found.unionByName(done)
-        if last:
-            return found
-        todo = fixed(todo.join(sure, "cell_id", "left_anti"))
-        if todo.isEmpty():
-            return found
-        ring *= 2
+class Tiles:
+    """Points (rows of integers, with ascending ids) sorted by tiles of the grid, for exact nearest neighbours."""
+
+    def __init__(self, ids: np.ndarray, points: np.ndarray, k: int, tile: int | None = None):
+        self.width = tile or self._width(points, k)
+        spot = points[:, :TILED] // self.width
+        order = np.lexsort(spot.T[::-1])
+        spot = spot[order]
+        first = np.flatnonzero(np.append(True, (spot[1:] != spot[:-1]).any(axis=1)))
+        self.ids, self.points, self.k = ids[order], points[order].astype(np.float64), k
+        self.spots, self.starts, self.stops = spot[first], first, np.append(first[1:], len(order))
+        self.square = (self.points * self.points).sum(axis=1)
+
+    @staticmethod
+    def _width(points: np.ndarray, k: int) -> int:
+        """Tiles of a few neighbours' size, if the points lay evenly."""
+        spread = points[:, :TILED].max(axis=0) - points[:, :TILED].min(axis=0) + 1.0
+        kinds = np.array([len(np.unique(points[:, d])) for d in range(min(TILED, points.shape[1]))], float)
+        wide = kinds > 1
+        if not wide.any():
+            return max(1, int(spread.max()))
+        share = max(1.0, len(points) / max(8.0, k / 4))  # tiles wanted
+        return max(1, int(np.exp((np.log(spread[wide]).sum() - np.log(share)) / wide.sum())))
+
+    def _members(self, tiles: np.ndarray) -> np.ndarray:
+        sizes = self.stops[tiles] - self.starts[tiles]
+        return np.repeat(self.starts[tiles] - np.append(0, np.cumsum(sizes)[:-1]), sizes) + np.arange(sizes.sum())
+
+    def _distances(self, queries: np.ndarray, rows: np.ndarray) -> np.ndarray:
+        square = (queries * queries).sum(axis=1)
+        return np.rint(square[:, None] + self.square[rows][None, :] - 2.0 * queries @ self.points[rows].T)
+
+    def nearest(self, own: np.ndarray, queries: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(query row, id, squared distance) of the k nearest points of other ids of each query, in no order."""
+        queries = queries.astype(np.float64)
+        spot = (queries[:, :TILED] // self.width).astype(np.int64)
+        kinds, which = np.unique(spot, axis=0, return_inverse=True)
+        which = which.ravel()
+        order = np.argsort(which, kind="stable")
+        cuts = np.append(np.flatnonzero(np.append(True, np.diff(which[order]) > 0)), len(order))
+        out = []
+        sizes = self.stops - self.starts
+        for t, (s, e) in enumerate(zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)):
+            ring = np.abs(self.spots - kinds[t]).max(axis=1)
+            near = np.argsort(ring, kind="stable")
+            enough = np.searchsorted(np.cumsum(sizes[near]), self.k + 1)
+            first = self._members(near[: enough + 1])
+            step = max(1, CHUNK // max(1, len(first)))
+            reach = 0
+            for at in range(s, e, step):
+                q = order[at : min(e, at + step)]
+                d = self._distances(queries[q], first)
+                d[own[q][:, None] == self.ids[first][None, :]] = np.inf
+                k = min(self.k, d.shape[1])
+                far = np.partition(d, k - 1, axis=1)[:, k - 1].max()
+                # beyond a ring of r tiles every point is more than r widths away
+                reach = max(reach, len(ring) if not np.isfinite(far) else int(np.ceil(np.sqrt(far) / self.width)))
+            rows = self._members(np.flatnonzero(ring <= reach)) if len(first) > self.k else np.arange(len(self.ids))
+            rows = rows[np.argsort(self.ids[rows])]
+            step = max(1, CHUNK // max(1, len(rows)))
+            for at in range(s, e, step):
+                q = order[at : min(e, at + step)]
+                d = self._distances(queries[q], rows)
+                d[own[q][:, None] == self.ids[rows][None, :]] = np.inf
+                k = min(self.k, d.shape[1])
+                # among equal distances the smaller id, that is the earlier column, wins
+                edge = np.partition(d, k - 1, axis=1)[:, k - 1 : k]
+                taken = d < edge
+                level = (d == edge) & np.isfinite(d)
+                spare = k - taken.sum(axis=1, keepdims=True)
+                taken |= level & (np.cumsum(level, axis=1) <= spare)
+                r, c = np.nonzero(taken)
+                out.append((q[r], self.ids[rows[c]], d[r, c].astype(np.int64)))
+        return tuple(np.concatenate(x) for x in zip(*out, strict=True))
+
+
+def _tiled(cells: DataFrame, k: int, n_cells: int, n_attrs: int, tile: int | None) -> DataFrame:
+    """Exact neighbours, a block of cells after the other (one block, unless their positions take more than NEIGHBOR_BLOCK_BYTES)."""
+    spark = cells.sparkSession
+    block = max(k + 1, choose.NEIGHBOR_BLOCK_BYTES // (8 * (n_attrs + 1)))
+    least = cells.agg(F.min("cell_id")).first()[0] if n_cells else 0
+    found = None
+    for first in range(least, least + max(n_cells, 1), block):
+        held = cells.filter(F.col("cell_id").between(first, first + block - 1)).select("cell_id", "lo").toArrow()
+        if not held.num_rows:
+            continue
+        ids = held["cell_id"].to_numpy()
+        points = held["lo"].combine_chunks().flatten().to_numpy().reshape(len(ids), -1).astype(np.int64)
+        shared = spark.sparkContext.broadcast(Tiles(ids, points, k, tile))
+
+        def run(batches, shared=shared):
+            for b in batches:
+                if b.num_rows:
+                    own = b.column(0).to_numpy()
+                    row, near, d2 = shared.value.nearest(own, b.column(1).flatten().to_numpy().reshape(len(own), -1))
+                    yield pa.RecordBatch.from_arrays([pa.array(own[row]), pa.array(near), pa.array(d2)], names=["cell_id", "neighbor", "d2"])
+
+        parts = cells.select("cell_id", "lo").repartition(max(spark.sparkContext.defaultParallelism * 2, n_cells * k // 2_000_000), "cell_id")
+        one = parts.mapInArrow(run, "cell_id long, neighbor long, d2 long")
+        found = one if found is None else found.unionByName(one)
+    return found
 
 
 def _projected(cells: DataFrame, k: int, n_attrs: int, projections: int, width: int, seed: int) -> DataFrame:
@@ -75,23 +160,33 @@ def _projected(cells: DataFrame, k: int, n_attrs: int, projections: int, width:
     return _top(both.distinct(), k)
 
 
-def knn(cells: DataFrame, k: int, n_attrs: int, method: str = "auto", n_cells: int | None = None, reach: int = 1024, tile: int | None = None, projections: int = 6, width: int = 32, seed: int = 7) -> DataFrame:
-    """The k nearest cells of every cell."""
+def _count(cells: DataFrame, n_cells: int | None) -> int:
+    return cells.count() if n_cells is None else n_cells
+
+
+def knn(cells: DataFrame, k: int, n_attrs: int, method: str = "auto", n_cells: int | None = None, tile: int | None = None, projections: int = 6, width: int = 32, seed: int = 7) -> DataFrame:
+    """The k nearest cells of every cell; exact unless `method` is 'projected'."""
     if method == "auto":
-        method = choose.knn_plan(cells.count() if n_cells is None else n_cells, k, n_attrs)
+        method = choose.knn_plan(_count(cells, n_cells))
     if method == "broadcast":
         return _all_pairs(cells, cells, k)
     if method == "tiled":
-        if tile is None:
-            # aim at a handful of neighbours in a ring of tiles
-            density = max(1.0, (n_cells or cells.count()) / max(1.0, float(reach) ** min(n_attrs, 3)))
-            tile = max(1, int((k / density) ** (1 / min(n_attrs, 3)) / 2) or 1)
-        return _tiled(cells, k, n_attrs, reach, tile)
+        return _top(_tiled(cells, k, _count(cells, n_cells), n_attrs, tile), k)
     if method == "projected":
         return _projected(cells, k, n_attrs, projections, width, seed)
     raise ValueError(method)
 
 
+def neighbor_pairs(cells: DataFrame, k: int, n_attrs: int, method: str = "auto", n_cells: int | None = None) -> DataFrame:
+    """``cell_id, neighbor`` of `knn`, without ranks where one block of cells makes them needless."""
+    n = _count(cells, n_cells)
+    if method == "auto":
+        method = choose.knn_plan(n)
+    if method == "tiled" and 8 * (n_attrs + 1) * n <= choose.NEIGHBOR_BLOCK_BYTES:
+        return _tiled(cells, k, n, n_attrs, None).select("cell_id", "neighbor")
+    return knn(cells, k, n_attrs, method, n).select("cell_id", "neighbor")
+
+
 def recall(approximate: DataFrame, exact: DataFrame) -> DataFrame:
     """Share of the exact neighbour distances that the approximate lists reach."""
     a = approximate.groupBy("cell_id").agg(F.sort_array(F.collect_list("d2")).alias("x"))
@@ -106,19 +201,9 @@ def knn_local(points: np.ndarray, k: int) -> np.ndarray:
     k = min(k, n - 1)
     if k < 1:
         return np.zeros((0, 2), np.int64)
-    x = points.astype(np.float64)
-    square = (x * x).sum(axis=1)
-    out = []
-    step = max(1, min(n, 8_000_000 // max(n, 1)))
-    for at in range(0, n, step):
-        part = x[at : at + step]
-        d2 = np.rint(square[at : at + step, None] + square[None, :] - 2.0 * part @ x.T)
-        key = d2 * n + np.arange(n)
-        rows = np.arange(len(part))
-        key[rows, rows + at] = np.inf
-        near = np.argpartition(key, k - 1, axis=1)[:, :k]
-        out.append(np.stack([np.repeat(rows + at, k), near.ravel()], axis=1))
-    return np.concatenate(out)
+    points = np.asarray(points, np.int64)
+    row, near, _ = Tiles(np.arange(n), points, k).nearest(np.arange(n), points)
+    return np.stack([row, near], axis=1)
 
 
 def edges(near: DataFrame) -> DataFrame:
@@ -128,7 +213,7 @@ def edges(near: DataFrame) -> DataFrame:
 
 def every_pair(cells: DataFrame, n_cells: int | None = None) -> DataFrame:
     """All pairs of cells, for tables small enough."""
-    n = cells.count() if n_cells is None else n_cells
+    n = _count(cells, n_cells)
     if n > choose.EVERY_PAIR_CELLS:
         raise ValueError(f"{n} cells make too many pairs; set a neighbour limit")
     right = F.broadcast(cells.select(F.col("cell_id").alias("b")))  # at most EVERY_PAIR_CELLS ids

@@ -1,29 +1,31 @@
 """Pruning: several patterns replaced at once by the hull of two of them.
 
-`candidates` finds, on DataFrames, the pairs whose hull holds a third pattern;
-`prune` runs the whole pass on arrays (pattern sets are small by then).
+The pairs whose hull holds a third pattern are looked for with bit sets
+(`kernel.Holders`), by the driver for few patterns and otherwise by tasks, each
+for some of the patterns as one part of the pair; only the best `top_n` of every
+task come back.  `candidates` finds the same pairs with joins.
 """
 
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.codes import EPS
 from ..plans import choose
 from . import boxes as B
-from . import kernel, model
+from . import kernel, miner, model
 from .grid import Grid
-from .miner import BOX_SCHEMA
 
 
 def candidates(boxes: DataFrame, grid: Grid, n: int, k: int, eps: float = EPS, top_n: int | None = 1000, encoding: str = "plugin") -> DataFrame:
     """``a, b, held, gain``: the pairs whose hull holds `held` other patterns, those of the largest pair gain first."""
-    if k > choose.PRUNE_PATTERNS:
-        raise ValueError(f"{k} patterns are too many to compare in pairs")
+    if k > choose.ALL_PAIRS_CELLS:
+        raise ValueError(f"{k} patterns are too many to join in threes; use search")
     side = lambda s: boxes.select(F.col("pid").alias(s), *(F.col(c).alias(f"{c}_{s}") for c in ("lo", "hi", "usage", "log_size")))
-    pairs = side("a").join(F.broadcast(side("b")), F.col("a") < F.col("b"))  # at most PRUNE_PATTERNS boxes on each side
+    pairs = side("a").join(F.broadcast(side("b")), F.col("a") < F.col("b"))  # at most ALL_PAIRS_CELLS boxes on each side
     hulls = pairs.withColumns({"lo": B.join_lo(F.col("lo_a"), F.col("lo_b")), "hi": B.join_hi(F.col("hi_a"), F.col("hi_b"))})
     third = F.broadcast(side("c").select("c", "lo_c", "hi_c"))
     held = hulls.join(third, (F.col("c") != F.col("a")) & (F.col("c") != F.col("b")) & B.contains(F.col("lo"), F.col("hi"), F.col("lo_c"), F.col("hi_c")))
@@ -33,15 +35,41 @@ def candidates(boxes: DataFrame, grid: Grid, n: int, k: int, eps: float = EPS, t
     return ordered.orderBy(F.desc("gain"), "a", "b").limit(top_n) if top_n else ordered
 
 
+def search(spark, eps: float = EPS, encoding: str = "plugin"):
+    """The candidate search that `kernel.prune` calls."""
+
+    def find(p: kernel.Patterns, live: np.ndarray, top_n: int | None) -> list[tuple[float, int, int]]:
+        k = len(live)
+        if k <= choose.PRUNE_LOCAL:
+            return kernel.prune_pairs(p, live, range(k - 1), top_n, eps, encoding)
+        compact = kernel.Patterns.of(p.ids[live], p.lo[live], p.hi[live], p.usage[live])  # at most PRUNE_PATTERNS
+        shared = spark.sparkContext.broadcast(compact)
+        parts = min(k // 50, 16 * spark.sparkContext.defaultParallelism)
+
+        def run(batches):
+            for b in batches:
+                for part in b.column(0).to_pylist():
+                    found = kernel.prune_pairs(shared.value, shared.value.live(), range(part, k - 1, parts), top_n, eps, encoding)
+                    columns = list(zip(*found, strict=True)) if found else [[]] * 3
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.float64(), pa.int64(), pa.int64()), strict=True)], names=["w", "a", "b"])
+
+        every = spark.range(0, parts, 1, parts).mapInArrow(run, "w double, a long, b long")
+        best = every.orderBy(F.desc(F.round("w", kernel.TIE)), "a", "b")
+        got = (best.limit(top_n) if top_n else best).toPandas()  # top_n rows; all only where no limit was asked for
+        shared.unpersist()
+        return list(zip(got["w"].tolist(), live[got["a"].to_numpy()].tolist(), live[got["b"].to_numpy()].tolist(), strict=True))
+
+    return find
+
+
 def prune(boxes: DataFrame, grid: Grid, eps: float = EPS, top_n: int | None = 1000, order: str = "id", encoding: str = "plugin") -> tuple[DataFrame, DataFrame]:
     """The pruned boxes, and ``pid, to``: where each pattern went."""
     spark = boxes.sparkSession
     if boxes.limit(choose.PRUNE_PATTERNS + 1).count() > choose.PRUNE_PATTERNS:
         raise ValueError("too many patterns to prune")
-    found = boxes.orderBy("pid").toPandas()
-    p = kernel.Patterns.of(found["pid"].to_numpy(), np.stack(found["lo"].to_list()), np.stack(found["hi"].to_list()), found["usage"].to_numpy())
+    ids, lo, hi, usage = miner._arrays(boxes)
+    p = kernel.Patterns.of(ids, lo, hi, usage)
     run = kernel.Run(p)
-    kernel.prune(p, run, grid, eps, top_n, order, encoding)
-    rows = [(int(p.ids[r]), p.lo[r].tolist(), p.hi[r].tolist(), int(p.usage[r]), float(p.log_size[r])) for r in p.live()]
-    moved = [(int(pid), int(p.ids[run.root(r)])) for r, pid in enumerate(found["pid"])]
-    return spark.createDataFrame(rows, BOX_SCHEMA), spark.createDataFrame(moved, "pid long, to long")
+    kernel.prune(p, run, grid, eps, top_n, order, encoding, search(spark, eps, encoding))
+    moved = list(zip(ids.tolist(), p.ids[run.roots()[: len(ids)]].tolist(), strict=True))
+    return miner._boxes_frame(spark, p, p.live()), spark.createDataFrame(moved, "pid long, to long")

@@ -38,7 +38,7 @@ def lg(x: str) -> str:
 def grid(w: str, bins) -> str:
     """CTEs ``w`` (view), ``g`` (one row: n, B, lo_i, hi_i)."""
     attrs, view = VIEWS[w]
-    b = "greatest(1, least(1024, floor(sqrt(count(*)))))::INT" if bins == "sqrt" else f"{bins}::INT"
+    b = "greatest(1, floor(sqrt(count(*))))::INT" if bins == "sqrt" else f"{bins}::INT"
     ends = ", ".join(f"min({a}) AS lo_{i}, max({a}) AS hi_{i}" for i, a in enumerate(attrs))
     return f"w AS ({view}), g AS (SELECT count(*) AS n, {b} AS nb, {ends} FROM w)"
 
@@ -146,6 +146,124 @@ def pair_weights(w: str, bins, k: int, top: int | None = None) -> str:
     return f"WITH {edges(w, bins, k)}, kk AS (SELECT count(*) AS kc FROM c) SELECT a, b, round(w + {kappa(w, 'kc', 'g.n')}, 6) AS gain FROM ({rows}), kk, g ORDER BY round(w, 9) DESC, a, b LIMIT {top}"
 
 
+def _box(ids: str, boxes: str = "bx") -> str:
+    return f"list_filter({boxes}, lambda z: z.id = {ids})[1]"
+
+
+def _hull_bits(a: str, b: str) -> str:
+    return f"list_sum(list_transform(range(1, len({a}.lo) + 1), lambda i: log2(greatest({a}.hi[i], {b}.hi[i]) - least({a}.lo[i], {b}.lo[i]) + 1)))"
+
+
+def _ranked(pairs: str, boxes: str = "bx") -> str:
+    """Pairs {a, b} as {s, t, a, b, w}, the one to take first in front: rounded weight, then the tie number, then ids."""
+    a, b = _box("p.a", boxes), _box("p.b", boxes)
+    both = f"list_transform({pairs}, lambda p: {{'p': p, 'x': {a}, 'y': {b}}})"
+    w = weight("r.x.u", "r.y.u", f"(r.x.u * r.x.ls + r.y.u * r.y.ls - (r.x.u + r.y.u) * {_hull_bits('r.x', 'r.y')})")
+    mix = "(p.a * 7919 + p.b * 104729) % 2147483647"
+    weighed = f"list_transform({both}, lambda r: {{'p': r.p, 'w': {w}}})"
+    keyed = f"list_transform({weighed}, lambda r: {{'s': -round(r.w, 9), 't': {mix.replace('p.', 'r.p.')}, 'a': r.p.a, 'b': r.p.b, 'w': r.w}})"
+    return f"list_sort(list_transform({keyed}, lambda r: {{'s': r.s, 't': r.t * r.t % 2147483647, 'a': r.a, 'b': r.b, 'w': r.w}}))"
+
+
+def _new_box(a: str, b: str, name: str) -> str:
+    side = lambda f, c: f"list_transform(range(1, len({a}.lo) + 1), lambda i: {f}({a}.{c}[i], {b}.{c}[i]))"
+    return f"{{'id': {name}, 'lo': {side('least', 'lo')}, 'hi': {side('greatest', 'hi')}, 'u': {a}.u + {b}.u, 'ls': {_hull_bits(a, b)}}}"
+
+
+def _start(w: str, bins, k: int | None) -> str:
+    """CTE ``s0``: the cells as a list of boxes, and the neighbour edges (every pair without a limit)."""
+    spot = f"[{names(w)}]"
+    near = edges(w, bins, k) if k else f"{cells(w, bins)}, e AS (SELECT x.cell_id AS a, y.cell_id AS b FROM c x JOIN c y ON x.cell_id < y.cell_id)"
+    return f"""{near}, s0 AS (SELECT (SELECT list({{'id': cell_id, 'lo': {spot}, 'hi': {spot}, 'u': usage, 'ls': 0.0::DOUBLE}} ORDER BY cell_id) FROM c) AS bx, coalesce((SELECT list({{'a': a, 'b': b}}) FROM e), []) AS e, (SELECT count(*) FROM c) AS k)"""
+
+
+def merging(w: str, bins, k: int | None, scope: str) -> str:
+    """CTEs that mine step by step; ``st`` has a row for each step: a merge (kind 1), the start of a round (0) or the end (2).
+
+    The state of a step is one row: boxes, edges, the candidates still to take
+    and the merges of the round.
+    """
+    old = "{'a': 0::BIGINT, 'b': 0::BIGINT}"
+    to = lambda end: f"coalesce(list_filter(m, lambda z: z.o = p.{end})[1].n, p.{end})"
+    moved = f"list_transform(e, lambda p: {{'a': {to('a')}, 'b': {to('b')}}})"
+    next_edges = f"list_distinct(list_filter(list_transform({moved}, lambda p: {{'a': least(p.a, p.b), 'b': greatest(p.a, p.b)}}), lambda p: p.a <> p.b))"
+    fresh = "list_filter(e2, lambda p: p.b >= first_new)" if scope == "inherited" else "flatten(list_transform(list_filter(bx, lambda y: y.id >= first_new), lambda y: list_transform(list_filter(bx, lambda x: x.id < y.id), lambda x: {'a': x.id, 'b': y.id})))"
+    gain = f"CASE WHEN len(q) = 0 OR k < 2 THEN -1.0 ELSE q[1].w + {kappa(w, 'k', 'n')} END"
+    return f"""{_start(w, bins, k)},
+st AS (
+  SELECT 0 AS kind, 1 AS rnd, 0 AS step, s0.k AS k, s0.k + 1 AS next_id, s0.k + 1 AS first_new, bx, e, []::STRUCT(o BIGINT, n BIGINT)[] AS m, {_ranked('e')} AS q, 0::BIGINT AS a, 0::BIGINT AS b, 0.0::DOUBLE AS gain FROM s0
+  UNION ALL
+  SELECT nx.kind, nx.rnd, nx.step, nx.k, nx.next_id, nx.first_new, nx.bx, nx.e, nx.m, nx.q, nx.a, nx.b, nx.gain FROM (
+    SELECT CASE WHEN g1 > 0 THEN 1 WHEN step = 0 THEN 2 ELSE 0 END AS kind,
+      CASE WHEN g1 <= 0 AND step > 0 THEN rnd + 1 ELSE rnd END AS rnd,
+      CASE WHEN g1 > 0 THEN step + 1 ELSE 0 END AS step,
+      CASE WHEN g1 > 0 THEN k - 1 ELSE k END AS k,
+      CASE WHEN g1 > 0 THEN next_id + 1 ELSE next_id END AS next_id,
+      CASE WHEN g1 > 0 THEN first_new ELSE next_id END AS first_new,
+      CASE WHEN g1 > 0 THEN list_append(list_filter(bx, lambda z: z.id <> q[1].a AND z.id <> q[1].b), {_new_box('xa', 'xb', 'next_id')}) ELSE bx END AS bx,
+      CASE WHEN g1 > 0 THEN e ELSE e2 END AS e,
+      CASE WHEN g1 > 0 THEN m || [{{'o': q[1].a, 'n': next_id}}, {{'o': q[1].b, 'n': next_id}}] ELSE [] END AS m,
+      CASE WHEN g1 > 0 THEN list_filter(q, lambda p: p.a <> q[1].a AND p.a <> q[1].b AND p.b <> q[1].a AND p.b <> q[1].b) WHEN step = 0 THEN [] ELSE {_ranked(fresh)} END AS q,
+      CASE WHEN g1 > 0 THEN q[1].a ELSE 0 END AS a, CASE WHEN g1 > 0 THEN q[1].b ELSE 0 END AS b, g1 AS gain
+    FROM (SELECT *, {gain} AS g1, {_box('q[1].a')} AS xa, {_box('q[1].b')} AS xb, CASE WHEN step > 0 THEN {next_edges} ELSE e END AS e2 FROM st, g WHERE kind <> 2)
+  ) nx
+)"""
+
+
+def ledger(w: str, bins, k: int | None, scope: str) -> str:
+    """The merges of mining without pruning, with the total length after each."""
+    return f"""WITH RECURSIVE {merging(w, bins, k, scope)},
+t AS (SELECT sum(usage)::BIGINT AS n, count(*) AS k, sum({lg(f'usage + {EPS}')}) AS slg FROM c),
+start AS (SELECT {grid_bits(w)} + {lnat('t.k')} + t.k * {side_bits(w)} + {lnat('t.n')} + {lg(f't.n + {EPS} * t.k')} - {lg(f'{EPS} * t.k')} - slg + t.k * {lg(str(EPS))} AS bits FROM t, g)
+SELECT rnd::INT AS round, step::INT AS step, a, b, next_id - 1 AS pid, k + 1 AS k_before, round(gain, 6) AS gain, round(bits - sum(gain) OVER (ORDER BY next_id), 6) AS total_after FROM st, start WHERE kind = 1"""
+
+
+def mined(w: str, bins, k: int | None, scope: str, top: int = 1000) -> str:
+    """The boxes after mining and pruning.
+
+    Pruning goes on from the last state of mining: ``pr`` has a row for each
+    candidate pair that is looked at; the boxes in its hull join one by one, in
+    order of their ids, while the gain of the whole group rises.
+    """
+    d = len(VIEWS[w][0])
+    pairs = "flatten(list_transform(bx, lambda y: list_transform(list_filter(bx, lambda x: x.id < y.id), lambda x: {'a': x.id, 'b': y.id, 'x': x, 'y': y})))"
+    inside_hull = "list_reduce(list_transform(range(1, len({0}.lo) + 1), lambda i: least({0}.lo[i], {1}.lo[i]) <= h.lo[i] AND greatest({0}.hi[i], {1}.hi[i]) >= h.hi[i]), lambda s, v: s AND v)"
+    holders = f"list_transform(list_filter(list_transform({pairs}, lambda p: {{'p': p, 'n': len(list_filter(bx, lambda h: {inside_hull.format('p.x', 'p.y')}))}}), lambda r: r.n > 2), lambda r: {{'a': r.p.a, 'b': r.p.b}})"
+    by_id = f"list_sort(list_transform({_ranked(holders)}, lambda r: {{'s': r.s, 'a': r.a, 'b': r.b}}))[1:{top}]"
+    own = lambda u: lg(f"{u} + {EPS}")
+    fresh = f"{{'m': 2, 'j': xa.u + xb.u, 'o': {own('xa.u')} + {own('xb.u')}, 'sp': xa.u * xa.ls + xb.u * xb.ls, 'ids': [xa.id, xb.id]}}"
+
+    def group_gain(v: str) -> str:
+        many = f"({lnat('k')} - {lnat(f'(k - {v}.m + 1)')} + ({v}.m - 1) * {side_bits(w)} + {lg(f'n + {EPS} * k')} - {lg(f'n + {EPS} * (k - {v}.m + 1)')} + {lg(f'{EPS} * (k - {v}.m + 1)')} - {lg(f'{EPS} * k')})"
+        return f"({many} + {own(f'{v}.j')} + ({v}.m - 1) * {lg(str(EPS))} - {v}.o + {v}.sp - {v}.j * hull)"
+
+    acc = "{'m': acc.m + 1, 'j': acc.j + h.u, 'o': acc.o + " + own("h.u") + ", 'sp': acc.sp + h.u * h.ls, 'ids': list_append(acc.ids, h.id)}"
+    held = f"list_sort(list_filter(bx, lambda h: h.id <> xa.id AND h.id <> xb.id AND {inside_hull.format('xa', 'xb')}))"
+    hull_lo, hull_hi = ("list_transform(range(1, len(xa.lo) + 1), lambda i: " + x + ")" for x in ("least(xa.lo[i], xb.lo[i])", "greatest(xa.hi[i], xb.hi[i])"))
+    # members are tried one after the other: the list of held boxes is walked with its place as state
+    out = ", ".join(f"z.lo[{i + 1}]::INT AS lo_{i}, z.hi[{i + 1}]::INT AS hi_{i}" for i in range(d))
+    return f"""WITH RECURSIVE {merging(w, bins, k, scope)},
+pr AS (
+  SELECT 0 AS kind, len(bx)::BIGINT AS k, next_id, bx, q2 AS q, 0 AS made, NULL::STRUCT(m INT, j HUGEINT, o DOUBLE, sp DOUBLE, ids BIGINT[]) AS acc, []::STRUCT(id BIGINT, lo INT[], hi INT[], u BIGINT, ls DOUBLE)[] AS hs FROM (SELECT next_id, bx, {by_id} AS q2 FROM st WHERE kind = 2)
+  UNION ALL
+  SELECT kind2, k2, next2, bx2, q2, made2, acc2, hs2 FROM (
+    SELECT
+      CASE WHEN acc IS NULL AND len(q) = 0 AND made = 0 THEN 2 ELSE 0 END AS kind2,
+      CASE WHEN commits THEN k - acc.m + 1 ELSE k END AS k2,
+      CASE WHEN commits THEN next_id + 1 ELSE next_id END AS next2,
+      CASE WHEN commits THEN list_append(list_filter(bx, lambda z: NOT list_contains(acc.ids, z.id)), {{'id': next_id, 'lo': {hull_lo}, 'hi': {hull_hi}, 'u': acc.j::BIGINT, 'ls': hull}}) ELSE bx END AS bx2,
+      CASE WHEN acc IS NULL AND len(q) = 0 AND made > 0 THEN {by_id} WHEN acc IS NOT NULL AND len(hs) = 0 OR acc IS NULL AND NOT both_live THEN q[2:] ELSE q END AS q2,
+      CASE WHEN acc IS NULL AND len(q) = 0 THEN 0 WHEN commits THEN made + 1 ELSE made END AS made2,
+      CASE WHEN acc IS NULL AND both_live THEN {fresh} WHEN acc IS NULL OR len(hs) = 0 THEN NULL WHEN {group_gain('wider')} > {group_gain('acc')} THEN wider ELSE acc END AS acc2,
+      CASE WHEN acc IS NULL AND both_live THEN {held} WHEN acc IS NULL OR len(hs) = 0 THEN [] ELSE hs[2:] END AS hs2
+    FROM (SELECT *, acc IS NOT NULL AND len(hs) = 0 AND {group_gain('acc')} > 0 AS commits FROM (
+      SELECT *, len(q) > 0 AND xa IS NOT NULL AND xb IS NOT NULL AS both_live, {_hull_bits('xa', 'xb')} AS hull, CASE WHEN len(hs) > 0 THEN {acc.replace('h.', 'hs[1].')} END AS wider
+      FROM (SELECT pr.*, g.*, {_box('q[1].a')} AS xa, {_box('q[1].b')} AS xb FROM pr, g WHERE kind <> 2)))
+  )
+)
+SELECT z.id AS pid, {out}, z.u::BIGINT AS usage, round(z.ls, 6) AS log_size FROM (SELECT unnest(bx) AS z FROM pr WHERE kind = 2)"""
+
+
 def inside(w: str, lo_a: str, hi_a: str, lo_b: str, hi_b: str) -> str:
     return " AND ".join(f"{lo_a}{i} <= {lo_b}{i} AND {hi_a}{i} >= {hi_b}{i}" for i in range(len(VIEWS[w][0])))
 
@@ -266,3 +384,43 @@ def equal_height(w: str, bins: int) -> str:
     attrs, view = VIEWS[w]
     rows = " UNION ALL ".join(f"SELECT '{a}' AS attr, unnest(range(1, {bins}))::INT AS cut, unnest(quantile_cont({a}, [{', '.join(f'{j}::DOUBLE / {bins}' for j in range(1, bins))}])) AS value FROM w" for a in attrs)
     return f"WITH w AS ({view}) SELECT attr, cut, round(value, 6) AS value FROM ({rows})"
+
+
+def first_round(w: str, bins, k: int) -> str:
+    """The merges of the first round."""
+    return f"WITH RECURSIVE {merging(w, bins, k, 'inherited')} SELECT a, b, next_id - 1 AS pid, step::INT AS step, k + 1 AS k_before, round(gain, 6) AS gain FROM st WHERE kind = 1 AND rnd = 1"
+
+
+def accuracy_cover(w: str, bins) -> str:
+    return f"WITH {cells(w, bins)}, n AS (SELECT c.cell_id AS pid, d.label, count(*) AS c FROM d JOIN c USING ({names(w)}) WHERE d.label IS NOT NULL GROUP BY ALL) SELECT pid, arg_min(label, (-c, label)) AS majority, sum(c)::BIGINT AS rows, round(max(c) / sum(c), 6) AS accuracy FROM n GROUP BY pid"
+
+
+def length_ratio(w: str, bins) -> str:
+    one = lambda source: length(w, bins, source).replace("round(grid + patterns + \"count\" + data + reconstruction, 6)", "grid + patterns + \"count\" + data + reconstruction")
+    return f"SELECT round(a.total / b.total, 6) AS ratio FROM ({one('c')}) a, ({one('h')}) b"
+
+
+def marginals(w: str, bins) -> str:
+    return f"WITH {disc(w, bins)} SELECT {names(w)}, count(*) AS usage, grouping_id({names(w)})::BIGINT AS subset FROM d GROUP BY CUBE ({names(w)})"
+
+
+def label_totals(w: str, bins) -> str:
+    return f"WITH {disc(w, bins)} SELECT b_0, label, count(*) AS rows, grouping_id(b_0, label)::BIGINT AS level FROM d GROUP BY ROLLUP (b_0, label)"
+
+
+def forecast(w: str, bins) -> str:
+    return f"WITH {cells(w, bins)} SELECT count(*) AS exact, true AS near FROM c"
+
+
+AS_OF = """WITH p AS (SELECT user_id, ts, max(event_id) AS last_purchase FROM events WHERE event_type = 'purchase' GROUP BY ALL)
+SELECT e.event_id, p.last_purchase FROM events e ASOF LEFT JOIN p ON e.user_id = p.user_id AND e.ts >= p.ts"""
+
+
+def compare(w: str, bins: int, other: int) -> str:
+    one, two = (f"SELECT {names(w)} FROM (WITH {cells(w, b)} SELECT * FROM c)" for b in (bins, other))
+    return f"SELECT 'both' AS side, * FROM (({one}) INTERSECT ALL ({two})) UNION ALL SELECT 'ours', * FROM (({one}) EXCEPT ALL ({two})) UNION ALL SELECT 'theirs', * FROM (({two}) EXCEPT ALL ({one}))"
+
+
+def ntile(w: str, attr: int, bins: int) -> str:
+    attrs, view = VIEWS[w]
+    return f"SELECT bin::INT AS bin, min(v) AS lo, max(v) AS hi, count(*) AS rows FROM (SELECT {attrs[attr]} AS v, ntile({bins}) OVER (ORDER BY {attrs[attr]}, obj_id) AS bin FROM ({view})) GROUP BY bin"

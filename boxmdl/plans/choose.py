@@ -6,25 +6,26 @@ distributed plans run, with the same results.
 
 from __future__ import annotations
 
-#: Cells whose neighbours are found by comparing all pairs, with one side broadcast.
-ALL_PAIRS_CELLS = 20_000
-#: Patterns up to which mining rounds run on the driver (boxes and edges of so many patterns take some 100 MB).
-LOCAL_PATTERNS = 20_000
-#: Candidate pairs that the local kernel may hold.
-LOCAL_CANDIDATES = 2_000_000
+#: Cells whose neighbours are found by a plain join of all pairs, with one side broadcast.
+ALL_PAIRS_CELLS = 2_000
+#: Bytes of cell positions that are sent to every task at once when neighbours are looked for; more are sent block by block.
+NEIGHBOR_BLOCK_BYTES = 64 << 20
+#: Patterns up to which mining rounds run on the driver (their boxes take some 20 MB in five attributes).
+LOCAL_PATTERNS = 200_000
+#: Candidate pairs that the local kernel may hold (8 bytes each at rest, some 60 while a round sorts them).
+LOCAL_CANDIDATES = 40_000_000
 #: Cells up to which every pair may be a candidate.
-EVERY_PAIR_CELLS = 2_000
-#: Patterns up to which pruning compares every pair with every pattern.
-PRUNE_PATTERNS = 3_000
+EVERY_PAIR_CELLS = 10_000
+#: Patterns up to which the driver itself looks for pruning candidates; beyond, tasks do.
+PRUNE_LOCAL = 1_000
+#: Patterns that pruning can hold at all (every task gets their boxes).
+PRUNE_PATTERNS = 200_000
 
 
-def knn_plan(n_cells: int, k: int, n_attrs: int) -> str:
-    """'broadcast' for few cells; 'tiled' where tiles can keep cells apart; beyond many attributes tiles are no help."""
-    if n_cells <= ALL_PAIRS_CELLS:
-        return "broadcast"
-    return "tiled" if n_attrs <= 8 else "projected"
+def knn_plan(n_cells: int) -> str:
+    """'broadcast' for few cells, else 'tiled'; both exact.  The approximate plan runs by name only."""
+    return "broadcast" if n_cells <= ALL_PAIRS_CELLS else "tiled"
 
 
-def rounds_plan(n_patterns: int, n_edges: int, scope: str) -> str:
-    pairs = n_edges if scope == "inherited" else n_patterns * (n_patterns - 1) // 2
-    return "local" if n_patterns <= LOCAL_PATTERNS and pairs <= LOCAL_CANDIDATES else "distributed"
+def rounds_plan(n_patterns: int, n_edges: int) -> str:
+    return "local" if n_patterns <= LOCAL_PATTERNS and n_edges <= LOCAL_CANDIDATES else "distributed"

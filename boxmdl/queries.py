@@ -8,10 +8,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import experiments as E
 from . import oracles as O
 from . import streaming
 from .functions import codes
-from .operators import baselines, boxes, candidates, cells, grid, matching, measures, miner, model, neighbors, prune
+from .operators import around, baselines, boxes, candidates, cells, grid, matching, measures, miner, model, neighbors, prune
 from .operators.baselines import itemset, sampling
 from .session import fixed
 from .sources import workloads as W
@@ -62,8 +63,8 @@ def label_hulls(spark, sf, w, bins):
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Boxes of `part` on a fine grid, in real bounds."""
-    found = miner.mine(W.load(spark, sf_dir, "W4"), W.attrs("W4"), "sqrt", k=8)
+    """Boxes of the embeddings' first elements on the root-n grid, with as many neighbours as intervals, in real bounds."""
+    found = _mined(spark, sf_dir, "W7", "sqrt", "bins")
     return cells.to_real(found.boxes, found.grid)
 
 
@@ -194,7 +195,14 @@ for _w, _b, _k, _m in (("W4", 5, 5, "broadcast"), ("W5", 5, 5, "broadcast"), ("W
     @query(f"knn_{_w.lower()}_{_b}_k{_k}_{_m}", O.knn_rows(_w, _b, _k))
     def _(spark, sf, w=_w, b=_b, k=_k, m=_m):
         c, g = cell_table(spark, sf, w, b)
-        return neighbors.knn(c, k, len(g.axes), m, reach=max(a.n_bins for a in g.axes))
+        return neighbors.knn(c, k, len(g.axes), m)
+
+
+@query("knn_w8_recall")
+def _(spark, sf):
+    """Recall of the approximate neighbours in 64 attributes, against the exact ones."""
+    c, g = cell_table(spark, sf, "W8", 5)
+    return neighbors.recall(neighbors.knn(c, 5, len(g.axes), "projected"), neighbors.knn(c, 5, len(g.axes), "tiled"))
 
 
 @query("knn_w8_projected")
@@ -236,7 +244,7 @@ def _(spark, sf):
     """The first round's accepted merges on a fine grid, found by distributed matching."""
     c, g = cell_table(spark, sf, "W3", "sqrt")
     t = c.agg(F.count(F.lit(1)).alias("k"), F.sum("usage").alias("n")).first()
-    pairs = neighbors.edges(neighbors.knn(c, 4, 2, "tiled", t.k, max(a.n_bins for a in g.axes)))
+    pairs = neighbors.edges(neighbors.knn(c, 4, 2, "tiled", t.k))
     weighted = candidates.weighted(pairs, miner.starting_boxes(c), codes.EPS).select("a", "b", "w")
     return rounded(matching.accepted(matching.greedy_matching(weighted), t.k, t.n, g, codes.EPS, "plugin", "refreshed", t.k + 1))
 
@@ -267,6 +275,27 @@ for _w in ("W7", "W6"):
         hulls, c, _d, _g = label_hulls(spark, sf, w, 5)
         return rounded(measures.jaccard_topk(hulls, c, 3))
 
+    @query(f"jaccard_top10_hulls_{_w.lower()}", O.jaccard_topk(_w, 5, 10))
+    def _(spark, sf, w=_w):
+        hulls, c, _d, _g = label_hulls(spark, sf, w, 5)
+        return rounded(measures.jaccard_topk(hulls, c, 10))
+
+    @query(f"accuracy_cover_cells_{_w.lower()}", O.accuracy_cover(_w, 5))
+    def _(spark, sf, w=_w):
+        """Accuracy of the unmerged cells over what they encode."""
+        df, g = setup(spark, sf, w, 5)
+        disc = cells.discretise(df, g, ["label"])
+        c = fixed(cells.elementary(disc))
+        own = c.select("cell_id", F.col("cell_id").alias("pid"))
+        return rounded(measures.accuracy(miner.starting_boxes(c), disc, "label", "cover", own, c))
+
+    @query(f"length_ratio_hulls_{_w.lower()}", O.length_ratio(_w, 5))
+    def _(spark, sf, w=_w):
+        """Length of the unmerged cells over that of the label hulls."""
+        hulls, c, _d, g = label_hulls(spark, sf, w, 5)
+        one, other = (model.total_bits(b, g).select(F.col("total").alias(x)) for b, x in ((miner.starting_boxes(c), "cells"), (hulls, "hulls")))
+        return one.crossJoin(other).select(F.round(F.col("cells") / F.col("hulls"), 6).alias("ratio"))  # one row each
+
     @query(f"accuracy_hulls_{_w.lower()}", O.accuracy(_w, 5))
     def _(spark, sf, w=_w):
         hulls, _c, disc, _g = label_hulls(spark, sf, w, 5)
@@ -318,12 +347,12 @@ def _(spark, sf):
 @query("itemset_baseline_w7")
 def _(spark, sf):
     c, g = cell_table(spark, sf, "W7", 5)
-    return itemset.to_boxes(spark, itemset.mine(c, g, max_iter=40), g)
+    return itemset.to_boxes(spark, itemset.mine(c, g, seconds=E.SECONDS), g)
 
 
 @query("sampling_baseline_w7")
 def _(spark, sf):
-    return sampling.mine(W.load(spark, sf, "W7"), W.attrs("W7"), 0.25, thoroughness=64).boxes
+    return sampling.mine(W.load(spark, sf, "W7"), W.attrs("W7"), 0.25, seconds=E.SECONDS).boxes
 
 
 @query("sample_w3", "SELECT greatest(2, floor(sqrt(count(*))))::BIGINT AS rows FROM orders")
@@ -342,111 +371,133 @@ def _(spark, sf):
     return flat(baselines.cluster_boxes(W.load(spark, sf, "W7"), W.attrs("W7"), 10), 4, lo="lo_", hi="hi_")
 
 
-# Mining
+# Mining: `None` neighbours are every pair, "bins" as many as intervals
 
-_MINED = (("W4", 5, 5, None), ("W2", 5, 5, None), ("W5", 5, 5, "all"), ("W6", 5, 5, None), ("W7", 5, 5, None), ("W9", "sqrt", 8, None), ("W10", 5, None, None), ("W1", 5, 5, None))
+_MINED = (
+    ("W4", 5, 5, "inherited", True), ("W2", 5, 5, "inherited", True), ("W5", 5, 5, "all", True), ("W6", 5, 5, "inherited", True), ("W7", 5, 5, "inherited", True), ("W9", "sqrt", 8, "inherited", True),
+    ("W10", 5, None, "all", True), ("W1", 5, 5, "inherited", True), ("W5", "sqrt", "bins", "inherited", True), ("W10", "sqrt", "bins", "inherited", True),
+    ("W1", "sqrt", "bins", "inherited", False), ("W2", "sqrt", "bins", "inherited", False), ("W3", "sqrt", "bins", "inherited", False), ("W4", "sqrt", "bins", "inherited", False),
+    ("W6", "sqrt", "bins", "inherited", False), ("W7", "sqrt", "bins", "inherited", False), ("W8", 5, 5, "inherited", False), ("W8", "sqrt", "bins", "inherited", False),
+    ("W11", 5, 5, "inherited", False), ("W11", "sqrt", "bins", "inherited", False), ("W12", "sqrt", "bins", "inherited", False),
+)
 
 
-def _mined(spark, sf, w, b, k, scope, **options):
-    return miner.mine(W.load(spark, sf, w), W.attrs(w), b, k=k, candidate_scope=scope, **options)
+def _mined(spark, sf, w, b, k, scope="inherited", **options):
+    df, g = setup(spark, sf, w, b)
+    return miner.mine(df, W.attrs(w), grid=g, k=E.limit_of(g) if k == "bins" else k, candidate_scope=scope, **options)
 
 
-for _w, _b, _k, _s in _MINED:
+for _w, _b, _k, _s, _sql in _MINED:
+    _sql_k = "(SELECT max(nb) FROM g)" if _k == "bins" else _k
 
-    @query(f"mine_{_w.lower()}_{_b}")
+    @query(f"mine_{_w.lower()}_{_b}", O.mined(_w, _b, _sql_k, _s) if _sql else None)
     def _(spark, sf, w=_w, b=_b, k=_k, s=_s):
-        return flat(_mined(spark, sf, w, b, k, s).boxes, len(W.attrs(w)), lo="lo_", hi="hi_")
+        return rounded(flat(_mined(spark, sf, w, b, k, s).boxes, len(W.attrs(w)), lo="lo_", hi="hi_"))
 
-    @query(f"mine_cover_{_w.lower()}_{_b}", O.partition(_w, _b))
-    def _(spark, sf, w=_w, b=_b, k=_k, s=_s):
-        found = _mined(spark, sf, w, b, k, s)
-        return measures.cover_is_partition(found.boxes, found.lineage, found.cells)
+    if _w not in ("W8", "W11"):
+
+        @query(f"mine_cover_{_w.lower()}_{_b}", O.partition(_w, _b))
+        def _(spark, sf, w=_w, b=_b, k=_k, s=_s):
+            found = _mined(spark, sf, w, b, k, s)
+            return measures.cover_is_partition(found.boxes, found.lineage, found.cells)
+
+    if _sql:
+
+        @query(f"ledger_{_w.lower()}_{_b}", O.ledger(_w, _b, _sql_k, _s))
+        def _(spark, sf, w=_w, b=_b, k=_k, s=_s):
+            return rounded(_mined(spark, sf, w, b, k, s, prune_when="never").ledger)
+
+
+for _w, _k in (("W6", 5), ("W7", 5), ("W1", 5)):
+
+    @query(f"matching_round_{_w.lower()}_5", O.first_round(_w, 5, _k))
+    def _(spark, sf, w=_w, k=_k):
+        """The first round's accepted merges, by distributed matching."""
+        c, g = cell_table(spark, sf, w, 5)
+        t = c.agg(F.count(F.lit(1)).alias("k"), F.sum("usage").alias("n")).first()
+        pairs = neighbors.edges(neighbors.knn(c, k, len(g.axes)))
+        weighted = candidates.weighted(pairs, miner.starting_boxes(c), codes.EPS).select("a", "b", "w")
+        return rounded(matching.accepted(matching.greedy_matching(weighted), t.k, t.n, g, codes.EPS, "plugin", "refreshed", t.k + 1).withColumn("step", F.col("step").cast("int")))
 
 
 @query("mine_interaction_grid_w7")
 def _(spark, sf):
     df = W.load(spark, sf, "W7")
-    found = miner.mine(df, W.attrs("W7"), grid=grid.interaction_preserving(df, W.attrs("W7")), k=8)
-    return flat(found.boxes, 4, lo="lo_", hi="hi_")
+    g = grid.interaction_preserving(df, W.attrs("W7"))
+    return flat(miner.mine(df, W.attrs("W7"), grid=g, k=E.limit_of(g)).boxes, 4, lo="lo_", hi="hi_")
 
 
 @query("mine_describe_w6")
 def _(spark, sf):
-    found = _mined(spark, sf, "W6", 5, 5, None)
+    found = _mined(spark, sf, "W6", 5, 5)
     return found.describe(W.load(spark, sf, "W6")).select("pid", "usage", "support", "intervals", "majority", "accuracy")
 
 
-def report_row(spark, name: str, report: dict) -> tuple:
-    return name, report["cells"], report["patterns"], report["rounds"], report["candidates"], round(report["start_bits"], 6), round(report["end_bits"], 6), round(report["compression_ratio"], 6)
+@query("describe_interaction_grids")
+def _(spark, sf):
+    """The description table's third grid."""
+    out = None
+    for w in ("W4", "W5", "W6", "W7", "W9"):
+        df = W.load(spark, sf, w)
+        one = measures.describe(df, W.attrs(w), grid.interaction_preserving(df, W.attrs(w)), "label").select(F.lit(w).alias("workload"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+# Experiments
 
+QUERIES["experiment_layouts"] = E.layouts
+QUERIES["experiment_compression"] = E.compression
+QUERIES["experiment_neighbours"] = E.neighbours
+QUERIES["experiment_complexity"] = E.complexity
+for _w in ("W4", "W5", "W6", "W7", "W9"):
+    QUERIES[f"experiment_methods_{_w.lower()}"] = lambda spark, sf, w=_w: E.methods(spark, sf, w)
+for _w in ("W6", "W7"):
+    QUERIES[f"experiment_settings_{_w.lower()}"] = lambda spark, sf, w=_w: E.settings(spark, sf, w)
 
-REPORT = "run string, cells long, patterns long, rounds long, candidates long, start_bits double, end_bits double, ratio double"
 
+# Relational operations around mining
 
-@query("experiment_compression")
+
+@query("marginals_w6", O.marginals("W6", 5))
 def _(spark, sf):
-    """Compression, patterns and explored candidates: workloads by grid."""
-    rows = []
-    for w in ("W4", "W5", "W7"):
-        df = fixed(W.load(spark, sf, w))
-        grids = {"5": grid.equal_width(df, W.attrs(w), 5), "sqrt": grid.equal_width(df, W.attrs(w), "sqrt"), "interaction": grid.interaction_preserving(df, W.attrs(w))}
-        rows += [report_row(spark, f"{w}:{name}", miner.mine(df, W.attrs(w), grid=g, k=min(20, max(a.n_bins for a in g.axes))).report) for name, g in grids.items()]
-    return spark.createDataFrame(rows, REPORT)
+    df, g = setup(spark, sf, "W6", 5)
+    return around.marginals(cells.discretise(df, g))
 
 
-@query("experiment_settings")
+@query("label_totals_w7", O.label_totals("W7", 5))
 def _(spark, sf):
-    """Influence of scope, pruning moment, smoothing, gain mode and encoding on W7."""
-    df = fixed(W.load(spark, sf, "W7"))
-    g = grid.equal_width(df, W.attrs("W7"), 5)
-    c = fixed(cells.elementary(cells.discretise(df, g)))
-    settings = {
-        "default": {},
-        "all": {"candidate_scope": "all"},
-        "no_pruning": {"prune_when": "never"},
-        "prune_each_round": {"prune_when": "each_round"},
-        "eps_1": {"eps": 1.0},
-        "eps_0.1": {"eps": 0.1},
-        "stored_gains": {"gain_mode": "stored"},
-        "requeue": {"requeue": True},
-        "shannon": {"encoding": "shannon"},
-        "tie_last": {"tie": "last"},
-    }
-    return spark.createDataFrame([report_row(spark, name, miner.mine_cells(c, g, 5, **o).report) for name, o in settings.items()], REPORT)
+    df, g = setup(spark, sf, "W7", 5)
+    return around.label_totals(cells.discretise(df, g, ["label"]), "b_0", "label")
 
 
-@query("experiment_layouts")
+@query("cell_forecast_w6", O.forecast("W6", "sqrt"))
 def _(spark, sf):
-    """Planted layouts at 200 objects a box: patterns, overlap and agreement both ways, by grid."""
-    rows = []
-    for y in W.LAYOUTS:
-        df = fixed(W.layout(spark, sf, y, 200))
-        known = W.truth(spark, y)
-        for name, b in (("5", 5), ("sqrt", "sqrt")):
-            found = miner.mine(df, ["x", "y"], b, k=5 if b == 5 else 20)
-            real = cells.to_real(found.boxes, found.grid)
-            ours, theirs = measures.jcd(real, known).first().jcd, measures.jcd(known, real, "tid", "pid").first().jcd
-            rows.append((y, name, found.report["patterns"], measures.box_jaccard_mean(real).first().mean_jaccard or 0.0, ours, theirs, found.report["compression_ratio"]))
-    return rounded(spark.createDataFrame(rows, "layout string, grid string, patterns long, overlap double, jcd_computed double, jcd_truth double, ratio double"))
-
-
-@query("experiment_methods_w7")
-def _(spark, sf):
-    """The miner and both baselines on one workload: patterns, length ratio, similarity, accuracy."""
-    df = fixed(W.load(spark, sf, "W7"))
-    attrs = W.attrs("W7")
-    ours = miner.mine(df, attrs, 5, k=5)
-    disc = cells.discretise(df, ours.grid, ["label"])
-    sets = itemset.mine(ours.cells, ours.grid, max_iter=40)
-    theirs = itemset.to_boxes(spark, sets, ours.grid)
-    grown = sampling.mine(df, attrs, 0.25, thoroughness=64)
-    rows = []
-    for name, b, bits in (("boxes", ours.boxes, ours.report["end_bits"]), ("itemsets", theirs, sets.end_bits)):
-        sim = measures.jaccard_topk(b, ours.cells, 10).first().mean_jaccard
-        acc = measures.mean_accuracy(measures.accuracy(b, disc, "label")).first().mean_accuracy
-        rows.append((name, b.count(), bits, sim, acc))
-    rows.append(("sampling", grown.boxes.count(), None, None, None))
-    return rounded(spark.createDataFrame(rows, "method string, patterns long, bits double, similarity double, accuracy double"))
+    """Whether the forecast is within a tenth of the number of cells."""
+    df, g = setup(spark, sf, "W6", "sqrt")
+    disc = cells.discretise(df, g)
+    exact = cells.counts(disc).agg(F.count(F.lit(1)).alias("exact"))
+    return around.cell_forecast(disc).crossJoin(exact).select("exact", (F.abs(F.col("cells") - F.col("exact")) <= F.col("exact") / 10).alias("near"))
+
+
+@query("as_of_versions", O.AS_OF)
+def _(spark, sf):
+    """Every event of a user with the last purchase of that user at or before it."""
+    events = W.table(spark, sf, "events").select("event_id", "user_id", "ts", "event_type")
+    versions = events.filter("event_type = 'purchase'").groupBy("user_id", "ts").agg(F.max("event_id").alias("last_purchase"))
+    return around.as_of(events.select("event_id", "user_id", "ts"), versions, "ts", "user_id", ("last_purchase",)).select("event_id", "last_purchase")
+
+
+@query("compare_runs_w4", O.compare("W4", 5, 4))
+def _(spark, sf):
+    """Cells of two grids, held against each other as multisets."""
+    one, other = (cell_table(spark, sf, "W4", b)[0].select(F.element_at("lo", 1).alias("b_0"), F.element_at("lo", 2).alias("b_1")) for b in (5, 4))
+    return around.compare(one, other)
+
+
+@query("equal_height_rows_w3", O.ntile("W3", 0, 16))
+def _(spark, sf):
+    return around.equal_height_rows(W.load(spark, sf, "W3"), "o_totalprice", 16, ("obj_id",))
 
 
 # Streaming twins

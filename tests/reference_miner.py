@@ -40,7 +40,9 @@ def mine(cells, bins, k, eps=0.5, scope="inherited", tie="first"):
         for a, b in pairs:
             rest = [v for i, v in live.items() if i not in (a, b)]
             gain[a, b] = base - length([*rest, join(live[a], live[b])], bins, eps)
-        order = sorted(pairs, key=lambda p: (-round(gain[p], 7), p if tie == "first" else (-p[0], -p[1])))
+        mix = lambda a, b: ((a * 7919 + b * 104729) % 2147483647) ** 2 % 2147483647
+        key = {"first": lambda p: p, "last": lambda p: (-p[0], -p[1]), "hash": lambda p: (mix(*p), *p)}[tie]
+        order = sorted(pairs, key=lambda p: (-round(gain[p], 7), key(p)))
         first, renamed = next_id, {}
         for a, b in order:
             if a not in live or b not in live:

@@ -19,7 +19,7 @@ def test_itemsets_shorten_and_do_not_overlap(spark):
     df = W.load(spark, SF, "W7")
     g = grid.equal_width(df, W.attrs("W7"), 4)
     c = cells.elementary(cells.discretise(df, g)).cache()
-    found = itemset.mine(c, g, max_iter=15)
+    found = itemset.mine(c, g)
     assert found.end_bits <= found.start_bits and sum(u * len(i) for i, u in found.itemsets) == 4 * df.count()
     boxes = itemset.to_boxes(spark, found, g)
     assert boxes.count() == len(found.itemsets)

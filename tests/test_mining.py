@@ -92,12 +92,12 @@ def kernel_run(found, bins, k, **options):
     g = grid.Grid(tuple(grid.Axis(f"a{i}", b, 0.0, 1.0) for i, b in enumerate(bins)))
     spots = np.array([c for c, _ in found])
     p = kernel.Patterns.of(np.arange(1, len(found) + 1), spots, spots, np.array([u for _, u in found]))
-    return g, p, kernel.mine(p, neighbors.knn_local(spots, k) if k else None, g, **options)
+    return g, p, kernel.mine(p, kernel.packed(*neighbors.knn_local(spots, k).T) if k else None, g, **options)
 
 
 @pytest.mark.parametrize("seed", range(12))
 @pytest.mark.parametrize("scope", ["inherited", "all"])
-@pytest.mark.parametrize("tie", ["first", "last"])
+@pytest.mark.parametrize("tie", ["first", "last", "hash"])
 def test_kernel_agrees_with_plain_miner(seed, scope, tie):
     bins = (6, 5) if seed % 2 else (4, 4, 3)
     found = random_cells(seed, 22, bins)
@@ -136,7 +136,7 @@ def test_pruning_merges_three_where_no_pair_pays():
     lo, hi = np.array([[3, 0], [2, 3], [2, 0]]), np.array([[5, 3], [3, 3], [4, 0]])
     p = kernel.Patterns.of(np.arange(1, 4), lo, hi, np.array([37, 22, 37]))
     pairs = np.array([[0, 1], [0, 2], [1, 2]])
-    assert (kernel.weights(p, pairs, 0.5, "plugin") + model.kappa(3, 96, g)).max() <= 0
+    assert (kernel.weights(p, *pairs.T, 0.5, "plugin") + model.kappa(3, 96, g)).max() <= 0
     run = kernel.mine(p, None, g, scope="all")
     assert not run.ledger
     before = model.total_bits_local(p.usage[p.live()], p.log_size[p.live()], g)
@@ -178,7 +178,7 @@ def test_tiles_find_the_same_neighbours(spark, workload):
     df = W.load(spark, SF, workload)
     g = grid.equal_width(df, W.attrs(workload), 12)
     c = cells.elementary(cells.discretise(df, g)).cache()
-    rows = lambda m, **o: sorted(map(tuple, neighbors.knn(c, 4, len(g.axes), m, reach=12, **o).collect()))
+    rows = lambda m, **o: sorted(map(tuple, neighbors.knn(c, 4, len(g.axes), m, **o).collect()))
     exact = rows("broadcast")
     assert exact == rows("tiled", tile=1) == rows("tiled", tile=3)
     points = np.array([r.lo for r in c.orderBy("cell_id").collect()])
