@@ -197,6 +197,8 @@ def jcd(ours: DataFrame, others: DataFrame, key: str = "pid", other_key: str = "
 
 def describe(df: DataFrame, attrs: list[str], grid: Grid, label: str | None = None) -> DataFrame:
     """``n, k, n_intervals, classes`` of a workload under a grid."""
-    parts = [F.count_distinct(a.index(F.col(a.attr).cast("double"))) for a in grid.axes]
+    kinds = [F.count_distinct(a.index(F.col(a.attr).cast("double"))).alias(f"__kinds_{i}") for i, a in enumerate(grid.axes)]
     classes = F.count_distinct(label) if label else F.lit(0).cast("long")
-    return df.agg(F.count(F.lit(1)).alias("n"), F.lit(len(attrs)).cast("long").alias("k"), sum(parts[1:], parts[0]).alias("n_intervals"), classes.alias("classes"))
+    row = df.agg(F.count(F.lit(1)).alias("__n"), *kinds, classes.alias("__classes"))
+    total = sum((F.col(f"__kinds_{i}") for i in range(1, len(kinds))), F.col("__kinds_0"))
+    return row.select(F.col("__n").alias("n"), F.lit(len(attrs)).cast("long").alias("k"), total.alias("n_intervals"), F.col("__classes").alias("classes"))

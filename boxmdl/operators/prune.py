@@ -44,7 +44,7 @@ def search(spark, eps: float = EPS, encoding: str = "plugin"):
             return kernel.prune_pairs(p, live, range(k - 1), top_n, eps, encoding)
         compact = kernel.Patterns.of(p.ids[live], p.lo[live], p.hi[live], p.usage[live])  # at most PRUNE_PATTERNS
         shared = spark.sparkContext.broadcast(compact)
-        parts = min(k // 50, 16 * spark.sparkContext.defaultParallelism)
+        parts = min(k // 50 + 1, 16 * spark.sparkContext.defaultParallelism)
 
         def run(batches):
             for b in batches:

@@ -159,12 +159,15 @@ def test_group_gain_is_the_difference_of_totals():
             assert model.group_gain(p.usage[:m], p.log_size[:m], hull, k, int(p.usage[:k].sum()), g, eps, encoding) == pytest.approx(before - after, abs=1e-8)
 
 
-@pytest.mark.parametrize(("scope", "tie", "gain_mode"), [("inherited", "first", "refreshed"), ("all", "last", "refreshed"), ("inherited", "first", "stored")])
-def test_distributed_rounds_agree_with_the_kernel(spark, monkeypatch, scope, tie, gain_mode):
+@pytest.mark.parametrize(
+    ("scope", "options"),
+    [("inherited", {"tie": "first"}), ("all", {"tie": "last", "requeue": True}), ("inherited", {"gain_mode": "stored"}), ("inherited", {"requeue": True, "prune_when": "final"}), ("inherited", {"encoding": "shannon"})],
+)
+def test_distributed_rounds_agree_with_the_kernel(spark, monkeypatch, scope, options):
     df = W.load(spark, SF, "W6")
-    run = lambda: miner.mine(df, W.attrs("W6"), 4, k=3, candidate_scope=scope, tie=tie, gain_mode=gain_mode, prune_when="never")
+    run = lambda: miner.mine(df, W.attrs("W6"), 4, k=3, candidate_scope=scope, **({"prune_when": "never"} | options))
     local = run()
-    monkeypatch.setattr(choose, "LOCAL_PATTERNS", 15)
+    monkeypatch.setattr(choose, *(("LOCAL_CANDIDATES", 40) if "requeue" in options else ("LOCAL_PATTERNS", 15)))
     spread = run()
     boxes = lambda r: sorted((x.pid, tuple(x.lo), tuple(x.hi), x.usage) for x in r.boxes.collect())
     assert boxes(local) == boxes(spread) and local.report["explored"] == spread.report["explored"]
@@ -174,17 +177,79 @@ def test_distributed_rounds_agree_with_the_kernel(spark, monkeypatch, scope, tie
 
 
 @pytest.mark.parametrize("workload", ["W6", "W7", "W4"])
-def test_tiles_find_the_same_neighbours(spark, workload):
+def test_tiles_find_the_same_neighbours(spark, monkeypatch, workload):
     df = W.load(spark, SF, workload)
     g = grid.equal_width(df, W.attrs(workload), 12)
     c = cells.elementary(cells.discretise(df, g)).cache()
     rows = lambda m, **o: sorted(map(tuple, neighbors.knn(c, 4, len(g.axes), m, **o).collect()))
     exact = rows("broadcast")
-    assert exact == rows("tiled", tile=1) == rows("tiled", tile=3)
+    assert exact == rows("tiled", tile=1) == rows("tiled", tile=3) == rows("tiled")
     points = np.array([r.lo for r in c.orderBy("cell_id").collect()])
     assert {(a + 1, b + 1) for a, b in neighbors.knn_local(points, 4).tolist()} == {(r[0], r[1]) for r in exact}
     near = neighbors.knn(c, 4, len(g.axes), "projected")
     assert neighbors.recall(near, neighbors.knn(c, 4, len(g.axes), "broadcast")).first().recall > 0.9
+    monkeypatch.setattr(choose, "NEIGHBOR_BLOCK_BYTES", 8 * (len(g.axes) + 1) * 40)  # blocks of 40 cells
+    assert exact == rows("tiled") == rows("tiled", tile=2)
+
+
+@pytest.mark.parametrize("seed", range(8))
+def test_tiles_by_brute_force(seed):
+    rng = np.random.default_rng(seed)
+    n, d, b, k = [(300, 2, 12, 4), (500, 3, 8, 7), (400, 4, 5, 3), (50, 1, 60, 5), (200, 6, 3, 5), (30, 2, 100, 29), (30, 2, 100, 40), (900, 2, 200, 60)][seed]
+    points = np.unique(rng.integers(0, b, (n, d)), axis=0)
+    ids = np.cumsum(rng.integers(1, 4, len(points)))
+    row, near, d2 = neighbors.Tiles(ids, points, k).nearest(ids, points)
+    every = ((points[:, None] - points[None]) ** 2).sum(axis=-1)
+    for i in range(len(points)):
+        want = sorted((int(every[i, j]), int(ids[j])) for j in range(len(points)) if j != i)[:k]
+        assert sorted(zip(d2[row == i].tolist(), near[row == i].tolist())) == want
+
+
+def test_matching_rounds_do_not_follow_ties():
+    """10 000 cells of equal usage on a lattice, with their four neighbours."""
+    at = np.arange(10_000).reshape(100, 100)
+    a, b = np.concatenate([at[:, :-1].ravel(), at[:-1].ravel()]), np.concatenate([at[:, 1:].ravel(), at[1:].ravel()])
+    order = np.argsort(kernel.pair_mix(a, b), kind="stable")
+    rounds = []
+    a, b = a[order], b[order]
+    rest, alive = np.arange(len(a)), np.ones(10_000, bool)
+    taken = kernel.greedy_matching(a, b, 10_000)
+    slow = []
+    for i in range(len(a)):
+        if alive[a[i]] and alive[b[i]]:
+            slow.append(i)
+            alive[a[i]] = alive[b[i]] = False
+    assert taken.tolist() == slow
+    best = np.empty(10_000, np.int64)
+    while len(rest):
+        best[np.stack([a[rest], b[rest]], axis=1)[::-1].ravel()] = np.repeat(rest[::-1], 2)
+        won = rest[(best[a[rest]] == rest) & (best[b[rest]] == rest)]
+        gone = np.zeros(10_000, bool)
+        gone[a[won]] = gone[b[won]] = True
+        rest = rest[~(gone[a[rest]] | gone[b[rest]])]
+        rounds.append(len(won))
+    assert len(rounds) < 30
+
+
+@pytest.mark.parametrize("limit", [0, 1])
+def test_pruning_by_tasks_is_pruning_here(spark, monkeypatch, limit):
+    g, p, run = kernel_run(random_cells(5, 120, (12, 12)), (12, 12), 1)
+    boxes = miner._boxes_frame(spark, p, p.live())
+    here, moved = prune.prune(boxes, g, top_n=50)
+    monkeypatch.setattr(choose, "PRUNE_LOCAL", limit)
+    there, again = prune.prune(boxes, g, top_n=50)
+    assert sorted(map(tuple, moved.collect())) == sorted(map(tuple, again.collect()))
+    assert sorted(map(str, here.collect())) == sorted(map(str, there.collect()))
+
+
+def test_pairs_below_the_bound_never_gain():
+    g = grid.Grid((grid.Axis("x", 31, 0.0, 1.0), grid.Axis("y", 7, 0.0, 1.0)))
+    for n, k in ((10, 2), (100, 3), (5000, 40), (10**6, 3000)):
+        for eps, encoding in ((0.5, "plugin"), (0.01, "plugin"), (3.0, "plugin"), (0.5, "shannon")):
+            bound = model.hope(k, n, g, eps, encoding)
+            assert all(model.kappa(x, n, g, eps, 1, encoding) <= bound for x in range(max(2, k - k // 2), k + 1))
+            ks = np.arange(2, k + 1)
+            assert model.kappa_np(ks, n, g, eps, encoding) == pytest.approx([model.kappa(int(x), n, g, eps, 1, encoding) for x in ks], abs=1e-7)
 
 
 @pytest.mark.parametrize("options", [{}, {"candidate_scope": "all"}, {"prune_when": "each_round"}, {"requeue": True}, {"eps": 0.1}, {"encoding": "shannon"}, {"k": None, "n_bins": 3}])
@@ -213,8 +278,8 @@ def test_planted_boxes_are_found_on_the_fine_grid(spark):
     for name, coarse, fine in (("Y1", 0.4, 0.85), ("Y5", 0.4, 0.95)):
         df, known = W.layout(spark, SF, name, 1000), W.truth(spark, name)
         scores = []
-        for b, k in ((5, 5), ("sqrt", 20)):
-            found = miner.mine(df, ["x", "y"], b, k=k)
+        for b, k in ((5, 5), ("sqrt", 60)):
+            found = miner.mine(df, ["x", "y"], b, k=k, tie="first")
             real = cells.to_real(found.boxes, found.grid)
             scores.append((measures.jcd(real, known).first().jcd, measures.jcd(known, real, "tid", "pid").first().jcd))
         assert scores[1][0] > scores[0][0] and scores[1][1] > scores[0][1] and scores[1][0] > fine and scores[0][0] < coarse
@@ -240,6 +305,7 @@ def test_edge_inputs(spark, tmp_path):
     assert miner.mine(bad, ["x", "y"], 5, on_missing="drop").report["n"] == 1
     with pytest.raises(ValueError):
         neighbors.every_pair(lattice.cells, 10**6)
+    assert grid.bins_of("sqrt", ["a"], 9_000_000) == [3000]
     lattice.save(str(tmp_path / "r"))
     again = miner.MineResult.load(spark, str(tmp_path / "r"))
     assert again.report["patterns"] == lattice.report["patterns"] and again.grid.attrs == ["x", "y"] and again.boxes.count() == lattice.boxes.count()
