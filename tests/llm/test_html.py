@@ -1,7 +1,9 @@
 """Extraction from the given pages (by a plain rule for their one layout), from made pages, and edge cases."""
 
 import html
+import random
 import re
+import time
 
 import pytest
 
@@ -31,7 +33,12 @@ def test_given_pages(spark):
         ("<p>a &lt;b&gt;&nbsp;c<br>d</p>tail", "a <b> c d\ntail"),
         ("<p>one<p>two<ul><li>x<li>y <b>z</b></ul>", "one\ntwo\nx\ny z"),
         ("<nav>menu</nav><div class='side-bar sidebar'>s</div><div id=comments>c</div><div class=x>t</div>", "t"),
-        ("<article>a<aside>no</aside><div class='share'>no</div><p>b</p></article><div>other</div>", "a\nb"),
+        ("<article>a<aside>no</aside><div class='ad-box'>no</div><p>b</p></article><div>other</div>", "a\nb\nother"),
+        ("<article><div class='article-header'><h1>Title</h1></div><p>Body.</p><section id='related-work'><p>Others did.</p></section></article>", "Title\nBody.\nOthers did."),
+        ("<article><header><h1>Title</h1></header><p>Body</p><footer>no</footer></article><header>no</header>", "Title\nBody"),
+        ("<div class='site-header'>no</div><main><div class='header'><h1>T</h1></div><div class='cookie-banner'>no</div><p class='social alert'>kept</p><div id='comments'>no</div></main>", "T\nkept"),
+        ("<div class='notice-period railway'>kept</div><div class='main-nav'>no</div><ul role='navigation'><li>no</ul><form><p>no</form>", "kept"),
+        ("<p title='a > b' x=it's>one</p><p y=\"never closed>two</p>", "one\ntwo"),
         ("<main><h1>T</h1><script>if (a < b) x('</p>')</script>text<!-- <p>no</p> --></main>", "T\ntext"),
         ("<table><tr><td>1<td>2<tr><td>3</table>", "1\n2\n3"),
         ("a<span hidden>no</span>b<div style='display: none'>no</div>c", "ab\nc"),
@@ -50,6 +57,55 @@ def test_deep_nesting_and_length():
     assert len(text("<p>" + "word " * 200_000)) == 999_999
 
 
+@pytest.mark.parametrize(
+    "page",
+    ["<a x " * 200_000, "<a x=\"" * 150_000, "<a x='b' " * 100_000 + ">", "<div>" * 200_000, "<button><p>" + "<div>" * 100_000, "<b>" * 200_000 + "</i>" * 100_000, "<b><div>" + "<i>" * 150_000 + "</b>" * 100_000, "<p " + "x" * 1_000_000 + " class=a>t", "<!-- " * 200_000, "= " * 500_000 + "<p =" + " " * 500_000 + ">t", "</p>" * 150_000, "<table><tr><td>" * 60_000, "<script>" * 120_000, "&amp;" * 200_000],
+    ids=str.__len__,
+)
+def test_long_pages_take_linear_time(page):
+    began = time.monotonic()
+    root = html_text.parse(page)
+    html_text.page_subtrees(root)
+    text(page)
+    assert time.monotonic() - began < 10  # a second or two each; quadratic work would take hours
+
+
+def plain_recurring(pages, least, share, many):
+    """Subtrees to delete by host, counted page by page."""
+    seen, held = {}, {}
+    for host, page in pages:
+        for kind, digest, subtrees in html_text.page_subtrees(html_text.parse(page)):
+            if (host, kind, digest) not in seen:
+                seen[host, kind, digest] = subtrees
+    for (host, kind, _), subtrees in seen.items():
+        held[host, None] = held.get((host, None), 0) + (kind == "page")
+        for x in subtrees:
+            held[host, x] = held.get((host, x), 0) + 1
+    return {(host, x) for (host, x), n in held.items() if x is not None and n >= least and (n >= share * held[host, None] or n >= many)}
+
+
+def test_templates_by_counting_alone(spark):
+    """Hosts without article, tags or class names that tell anything: what recurs goes, the rest stays."""
+    rng = random.Random(4)
+    words = lambda n: " ".join(rng.choice("ab cde fgh ijk lmno pq rstu vw xyz".split()) + str(rng.randrange(999)) for _ in range(n))
+    rows, expected = [], {}
+    for h in range(4):
+        top, side, end = words(5), [words(3) for _ in range(3)], words(4)
+        for i in range(30):
+            body = [words(12) for _ in range(rng.randrange(1, 4))]
+            extra = side[i % 3]
+            page = f"<div class=a1><div>{top}</div><div><p>{'</p><p>'.join(body)}</p></div><div><span>{extra}</span></div><div>{end}</div></div>"
+            rows.append((1000 * h + i, f"http://h{h}.example/{i}", page))
+            expected[1000 * h + i] = "\n".join(body)
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for bound in (10**6, 0):
+        got = {r.page_id: r.text for r in html_text.extract(pages, broadcast_rows=bound).collect()}
+        assert got == expected
+    hosts = [(u.split("/")[2], p) for _, u, p in rows]
+    counted = {(r.host, r.subtree) for r in html_text.recurring_subtrees(pages, "html", "url").collect()}
+    assert counted == plain_recurring(hosts, html_text.LEAST_PAGES, html_text.SHARE, html_text.MANY_PAGES)
+
+
 def test_templates_are_found_by_repetition(spark):
     def page(i):
         return f"<div class=x><div>Site name<b>tagline</b></div><div><p>story {i} has words</p></div><div>All rights of site</div></div>"
