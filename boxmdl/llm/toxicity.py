@@ -1,19 +1,28 @@
 """Toxicity by a weighted finite-state grammar over clauses.
 
 Texts are cut into clauses.  In each clause that holds a word of the lexicon,
-the words become symbols (insult, threat, target, negation, report, quote, or
-other) and run through a transducer composed of three: one remembers a target
-close by, one a negation just before, one reported or quoted speech.  The
-composed transducer marks every insult and threat with what holds at that
-place, so the same word counts differently in "you are a ...", "not a ..."
-and "he said that ...".  A clause's score is the sum of the weights of its
-marked matches.
+the words are read by a cascade of weighted transducers, composed into one:
+
+*   lexical transducers, tries over the letters of a word, read a word as an
+    insult or threat (at the weight of the word), a target, a negation, a verb
+    of reporting or a quotation mark; every word can also be read as any other,
+    at no weight;
+*   the target transducer marks a match that has a target within reach before
+    it, or promises one within reach after it; a path whose promise is not kept
+    has no end.  A threat is only a match with a target;
+*   the negation transducer marks matches just after a negation, and the
+    reported-speech transducer those after a verb of reporting or in quotes.
+
+Every arc has a weight in log odds, a path weighs the sum of its arcs, and a
+clause has the matches of its heaviest path.  So the same word counts
+differently in "you are a ...", "not a ..." and "he said that ...".
 
 The target, negation, report and threat words, and some insults, are fixed
 lists in four languages.  Further insult patterns (whole words, or beginnings
-of words) and all weights are learned from labelled documents as log odds; a logistic model
-over the marked sums then turns a document's matches into a score.  Learning
-uses at most `max_labelled` labelled documents, those of the lowest hash.
+of words) and all their weights are learned from labelled documents as log
+odds; a logistic model over the sums of the marked matches then turns a
+document's clauses into a score.  Learning uses at most `max_labelled` labelled
+documents, those of the lowest hash.
 
 Edge cases: a null or empty text has no match and gets the score of clean
 text; documents without a label are not learned from; without labels of both
@@ -24,8 +33,10 @@ not read.
 
 from __future__ import annotations
 
+import heapq
 import re
 from collections import Counter
+from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -37,8 +48,6 @@ from .common import documents, pieces, train_split
 
 #: Labelled documents that learning may use.
 MAX_LABELLED = 30_000
-#: Patterns that a lexicon may hold.
-MAX_PATTERNS = 2_000
 MIN_LOG_ODDS = 3.0
 #: Least likelihood-ratio statistic of a pattern, so that chance finds among many candidates stay out.
 MIN_EVIDENCE = 20.0
@@ -64,64 +73,149 @@ CLAUSE_END = re.compile(r"[.!?;:\n]+")
 TOKEN = re.compile(r"[^\W\d_]+(?:['’][^\W\d_]+)?|[\"“”«»]")
 #: How far a target or a negation reaches, in words.
 TARGET_REACH, NEGATION_REACH = 5, 2
+#: Arc weights, in log odds: of a threat, and what a target, a negation and reported speech add to a match.
+THREAT_WEIGHT, TARGETED, NEGATED, REPORTED = 4.0, 1.0, -2.0, -2.0
 
 
 @dataclass(frozen=True)
 class Transducer:
-    """A finite-state transducer: ``step(state, symbol) -> (state, mark)``, with the marks of all parts in one tuple."""
+    """A weighted letter transducer: ``arcs(state, symbol)`` gives (output, weight, next state); ``final(state)`` whether a path may end there."""
 
-    start: tuple
-    step: object
+    start: object
+    arcs: Callable[[object, object], Iterable[tuple]]
+    final: Callable[[object], bool] = lambda state: True
 
-    def __mul__(self, other: Transducer) -> Transducer:
-        """Both in step over the same symbols; states and marks side by side."""
+    def __matmul__(self, other: Transducer) -> Transducer:
+        """Composition: `other` reads what this one writes."""
 
-        def step(state, symbol):
-            (a, x), (b, y) = self.step(state[0], symbol), other.step(state[1], symbol)
-            return (a, b), x + y
+        def arcs(state, symbol):
+            for middle, w, a in self.arcs(state[0], symbol):
+                for out, v, b in other.arcs(state[1], middle):
+                    yield out, w + v, (a, b)
 
-        return Transducer((self.start, other.start), step)
+        return Transducer((self.start, other.start), arcs, lambda state: self.final(state[0]) and other.final(state[1]))
 
-    def compiled(self) -> Transducer:
+    def compiled(self, alphabet: Iterable) -> Transducer:
         """Its reachable states numbered, its arcs in one table."""
-        number, arcs, todo = {self.start: 0}, {}, [self.start]
+        number, table, ends, todo = {self.start: 0}, {}, [self.final(self.start)], [self.start]
+        alphabet = list(alphabet)
         while todo:
             state = todo.pop()
-            for symbol in range(7):
-                to, mark = self.step(state, symbol)
-                if to not in number:
-                    number[to] = len(number)
-                    todo.append(to)
-                arcs[number[state], symbol] = number[to], mark
-        return Transducer(0, lambda state, symbol: arcs[state, symbol])
-
+            for symbol in alphabet:
+                found = []
+                for out, w, to in self.arcs(state, symbol):
+                    if to not in number:
+                        number[to] = len(number)
+                        ends.append(self.final(to))
+                        todo.append(to)
+                    found.append((out, w, number[to]))
+                table[number[state], symbol] = tuple(found)
+        return Transducer(0, lambda state, symbol: table[state, symbol], ends.__getitem__)
+
+    def best(self, readings: list[list[tuple]]) -> tuple[float, list]:
+        """Weight and outputs of the heaviest path over a sequence of readings, each a choice of (symbol, weight); earlier arcs win ties."""
+        front: dict = {self.start: (0.0, None)}
+        for choice in readings:
+            ahead: dict = {}
+            for state, (w, path) in front.items():
+                for symbol, v in choice:
+                    for out, u, to in self.arcs(state, symbol):
+                        if to not in ahead or w + v + u > ahead[to][0] + 1e-12:
+                            ahead[to] = w + v + u, (path, out)
+            front = ahead
+        weight, path = max(((w, p) for s, (w, p) in front.items() if self.final(s)), key=lambda x: x[0], default=(-np.inf, None))
+        out = []
+        while path is not None:
+            path, last = path
+            out.append(last)
+        return weight, out[::-1]
+
+
+def targets(reach: int = TARGET_REACH) -> Transducer:
+    """Reads word classes; writes (class, targeted).  State: words for which a target before still counts, and words left to keep a promise in."""
+
+    def arcs(state, symbol):
+        seen, promised = state
+        if symbol == TARGET:
+            yield (symbol, False), 0.0, (reach, 0)
+            return
+        if promised == 1:
+            return  # the last word in which the target could have come
+        after = max(0, seen - 1), max(0, promised - 1)
+        if symbol in (INSULT, THREAT):
+            if seen:
+                yield (symbol, True), TARGETED, after
+            else:
+                yield (symbol, True), TARGETED, (0, after[1] or reach)
+                if symbol == INSULT:
+                    yield (symbol, False), 0.0, after
+        else:
+            yield (symbol, False), 0.0, after
 
-def reach(symbol_seen: int, words: int) -> Transducer:
-    """Marks places within `words` words after a symbol."""
+    return Transducer((0, 0), arcs, lambda state: not state[1])
 
-    def step(left, symbol):
-        mark = (int(left > 0),)
-        return (words if symbol == symbol_seen else max(0, left - 1)), mark
 
-    return Transducer(0, step)
+def negations(reach: int = NEGATION_REACH) -> Transducer:
+    """Reads (class, targeted); writes (class, targeted, negated)."""
 
+    def arcs(left, symbol):
+        negated = symbol[0] in (INSULT, THREAT) and left > 0
+        yield (*symbol, negated), NEGATED if negated else 0.0, reach if symbol[0] == NEGATION else max(0, left - 1)
 
-def quoted() -> Transducer:
-    """Marks places inside quotation marks and after a verb of reporting, to the end of the clause."""
+    return Transducer(0, arcs)
 
-    def step(state, symbol):
-        said, inside = state
-        mark = (int(said or inside),)
-        return (said or symbol == REPORT, inside ^ (symbol == QUOTE)), mark
 
-    return Transducer((False, False), step)
+def reports() -> Transducer:
+    """Reads (class, targeted, negated); writes (class, targeted, negated, reported): in quotes, or after a verb of reporting."""
 
+    def arcs(state, symbol):
+        said, quoted = state
+        reported = symbol[0] in (INSULT, THREAT) and (said or quoted)
+        yield (*symbol, reported), REPORTED if reported else 0.0, (said or symbol[0] == REPORT, quoted ^ (symbol[0] == QUOTE))
 
-def grammar() -> Transducer:
-    return (reach(TARGET, TARGET_REACH) * reach(NEGATION, NEGATION_REACH) * quoted()).compiled()
+    return Transducer((False, False), arcs)
 
 
-#: Features of a document: the summed insult weights plain, with a target, negated, reported; threats with a target; the highest clause score; all clause scores; number of insults.
+def grammar() -> Transducer:
+    return (targets() @ negations() @ reports()).compiled(range(7))
+
+
+class Lexicon:
+    """The lexical transducers in one trie over letters: a word's readings as (class, weight)."""
+
+    def __init__(self, words: dict[str, float], beginnings: dict[str, float]):
+        self.root: dict = {}
+        for word, weight in beginnings.items():
+            node = self._at(word)
+            node["begin"] = max(weight, node.get("begin", 0.0))
+        for word, weight in words.items():
+            self._at(word)["insult"] = weight
+        for kind, listed in ((THREAT, THREATS), (TARGET, TARGETS), (NEGATION, NEGATIONS), (REPORT, REPORTS), (QUOTE, "\"“”«»")):
+            for word in listed:
+                self._at(word).setdefault("kind", kind)
+
+    def _at(self, word: str) -> dict:
+        node = self.root
+        for letter in word:
+            node = node.setdefault((letter,), {})
+        return node
+
+    def readings(self, word: str) -> list[tuple[int, float]]:
+        """As an insult (of the whole word, or of its heaviest beginning) or the listed class first; a match can always be read as no match."""
+        node, weight = self.root, 0.0
+        for letter in word:
+            weight = max(weight, node.get("begin", 0.0))
+            node = node.get((letter,))
+            if node is None:
+                return [(INSULT, weight), (WORD, 0.0)] if weight else [(WORD, 0.0)]
+        weight = max(weight, node.get("begin", 0.0), node.get("insult", 0.0))
+        if weight:
+            return [(INSULT, weight), (WORD, 0.0)]
+        kind = node.get("kind", WORD)
+        return [(THREAT, THREAT_WEIGHT), (WORD, 0.0)] if kind == THREAT else [(kind, 0.0)]
+
+
+#: Features of a document: the summed insult weights plain, with a target, negated, reported; threats; the heaviest clause; all clauses; number of insults.
 N_FEATURES = 8
 
 
@@ -149,20 +243,12 @@ class Grammar:
             for pattern in {*self.words, *self.beginnings, *THREATS}:
                 scan.add_word(pattern, len(pattern))
             scan.make_automaton()
-            self._ready = scan, sorted({len(b) for b in self.beginnings}), grammar()
+            self._ready = scan, Lexicon(self.words, self.beginnings), grammar()
         return self._ready
 
-    def insult(self, word: str, lengths: list[int]) -> float:
-        """Weight of a word: of the whole, or of its heaviest beginning; 0 if neither is in the lexicon."""
-        weight = self.words.get(word, 0.0)
-        for n in lengths:
-            if n <= len(word):
-                weight = max(weight, self.beginnings.get(word[:n], 0.0))
-        return weight
-
     def clauses(self, text: str) -> list[tuple[float, list[tuple]]]:
-        """The clauses with a match: score and (word, weight, targeted, negated, reported) of each match."""
-        scan, lengths, machine = self._compiled()
+        """The clauses with a match: weight of the heaviest path and its matches (word, weight, threat, targeted, negated, reported)."""
+        scan, lexicon, machine = self._compiled()
         text = text.lower()
         if next(scan.iter(text), None) is None:
             return []
@@ -170,27 +256,14 @@ class Grammar:
         for clause in CLAUSE_END.split(text):
             if next(scan.iter(clause), None) is None:
                 continue
-            state, matches = machine.start, []
-            for word in TOKEN.findall(clause):
-                weight = self.insult(word, lengths)
-                if weight:
-                    symbol = INSULT
-                elif word in THREATS:
-                    symbol, weight = THREAT, 1.0
-                elif word in TARGETS:
-                    symbol = TARGET
-                elif word in NEGATIONS:
-                    symbol = NEGATION
-                elif word in REPORTS:
-                    symbol = REPORT
-                else:
-                    symbol = QUOTE if word in "\"“”«»" else WORD
-                state, mark = machine.step(state, symbol)
-                if symbol in (INSULT, THREAT):
-                    matches.append((word, weight, symbol == THREAT, *mark))
+            words = TOKEN.findall(clause)
+            readings = [lexicon.readings(w) for w in words]
+            if all(len(r) == 1 for r in readings):
+                continue
+            weight, path = machine.best(readings)
+            matches = [(word, r[0][1], out[0] == THREAT, *out[1:]) for word, r, out in zip(words, readings, path, strict=True) if out[0] in (INSULT, THREAT)]
             if matches:
-                score = sum(w * (0.5 if neg else 1.0) * (0.5 if rep else 1.0) * (1.5 if tgt else 1.0) for _, w, threat, tgt, neg, rep in matches if tgt or not threat)
-                found.append((score, matches))
+                found.append((weight, matches))
         return found
 
     def features(self, text: str | None) -> np.ndarray:
@@ -201,7 +274,7 @@ class Grammar:
         for _, matches in clauses:
             for _, weight, threat, targeted, negated, reported in matches:
                 if threat:
-                    out[4] += targeted and not negated and not reported
+                    out[4] += not negated and not reported
                 else:
                     out[2 if negated else 3 if reported else 1 if targeted else 0] += weight
                     out[7] += 1
@@ -269,14 +342,24 @@ def cover(found: list[dict[str, int]], odds: dict[str, float], least: float, eno
         for p in held:
             holders.setdefault(p, []).append(k)
     words, picked = [0] * len(found), []
-    while True:
-        gains = {p: sum(max(0, min(found[k][p], enough - words[k])) for k in ks) for p, ks in holders.items()}
-        best = max(gains, key=lambda p: (gains[p], odds[p], p[0] == "=", len(p), p), default=None)
-        if best is None or gains[best] < least or len(picked) >= MAX_PATTERNS:
-            return picked
-        picked.append(best)
-        for k in holders.pop(best):
-            words[k] += found[k][best]
+    gain = lambda p: sum(max(0, min(found[k][p], enough - words[k])) for k in holders[p])
+    rank = lambda n, p: (-n, -odds[p], p[0] != "=", -len(p), tuple(-ord(c) for c in p))
+    # a gain never grows, so only the pattern in front has to be looked at again
+    queue = [(rank(gain(p), p), p) for p in holders]
+    heapq.heapify(queue)
+    while queue:
+        (before, *_), p = queue[0]
+        now = gain(p)
+        if now != -before:
+            heapq.heapreplace(queue, (rank(now, p), p))
+            continue
+        if now < least:
+            break
+        heapq.heappop(queue)
+        picked.append(p)
+        for k in holders[p]:
+            words[k] += found[k][p]
+    return picked
 
 
 def _lexicon(labelled: DataFrame, n_toxic: int, n_clean: int) -> tuple[dict, dict]:

@@ -108,28 +108,77 @@ def test_toxicity_held_out(spark):
 def test_grammar_marks_matches():
     g = toxicity.Grammar(words={"idiot": 4.0}, beginnings={"lowei": 3.0})
     marks = lambda text: [m for _, c in g.clauses(text) for m in c]
-    assert marks("You are an idiot.") == [("idiot", 4.0, False, 1, 0, 0)]
-    assert marks("he is not an idiot") == [("idiot", 4.0, False, 1, 1, 0)]
-    assert marks('the paper said "idiot" today') == [("idiot", 4.0, False, 0, 0, 1)]
-    assert marks("said nothing. what idiot") == [("idiot", 4.0, False, 0, 0, 0)]
-    assert marks("das loweischaft war") == [("loweischaft", 3.0, False, 0, 0, 0)]
-    assert marks("idiotic or flowei") == [] and marks("") == [] and g.clauses("i will kill you")[0][0] == 0
-    assert g.clauses("you idiot")[0][0] > g.clauses("an idiot")[0][0] > g.clauses("not idiot")[0][0]
-
+    weight = lambda text: sum(w for w, _ in g.clauses(text))
+    assert marks("You are an idiot.") == [("idiot", 4.0, False, True, False, False)]
+    assert marks("what an idiot you are") == [("idiot", 4.0, False, True, False, False)]
+    assert marks("idiot of the very worst sort ever, you") == [("idiot", 4.0, False, False, False, False)]
+    assert marks("he is not an idiot") == [("idiot", 4.0, False, True, True, False)]
+    assert marks('the paper said "idiot" today') == [("idiot", 4.0, False, False, False, True)]
+    assert marks("said nothing. what idiot") == [("idiot", 4.0, False, False, False, False)]
+    assert marks("das loweischaft war") == [("loweischaft", 3.0, False, False, False, False)]
+    assert marks("idiotic or flowei") == [] and marks("") == []
+    assert marks("i will kill you") == [("kill", toxicity.THREAT_WEIGHT, True, True, False, False)] and weight("i will kill you") == 5.0
+    assert weight("you, i will kill") == 5.0 and marks("to kill time on a rainy afternoon at home") == [] and weight("i will not kill you") == 3.0
+    assert marks("kill or destroy you") == [("kill", 4.0, True, True, False, False), ("destroy", 4.0, True, True, False, False)]
+    assert weight("you idiot") > weight("an idiot") > weight("not idiot")
+
+
+def test_heaviest_path_by_enumeration():
+    """All readings of all words, every reading judged on its own from the whole clause."""
+    import itertools
+    import random
 
-def test_composition_equals_parts():
+    rng = random.Random(2)
+    machine = toxicity.grammar()
+    T = toxicity
+
+    def weight_of(symbols):
+        total, marks, kind = 0.0, [], [s for s, _ in symbols]
+        for i, (s, w) in enumerate(symbols):
+            total += w
+            if s in (T.INSULT, T.THREAT):
+                before = T.TARGET in kind[max(0, i - T.TARGET_REACH) : i]
+                after = T.TARGET in kind[i + 1 : i + 1 + T.TARGET_REACH]
+                if s == T.THREAT and not (before or after):
+                    return -np.inf, None
+                negated = T.NEGATION in kind[max(0, i - T.NEGATION_REACH) : i]
+                said = T.REPORT in kind[:i] or kind[:i].count(T.QUOTE) % 2 == 1
+                total += T.TARGETED * (before or after) + T.NEGATED * negated + T.REPORTED * said
+                marks.append((i, before or after, negated, said))
+        return total, marks
+
+    for _ in range(400):
+        readings = []
+        for _ in range(rng.randrange(1, 12)):
+            kind = rng.choice([T.WORD, T.WORD, T.WORD, T.INSULT, T.THREAT, T.TARGET, T.NEGATION, T.REPORT, T.QUOTE])
+            readings.append([(kind, round(rng.uniform(0.5, 5), 3)), (T.WORD, 0.0)] if kind in (T.INSULT, T.THREAT) else [(kind, 0.0)])
+        best = max((weight_of(p) for p in itertools.product(*readings)), key=lambda x: x[0])
+        weight, path = machine.best(readings)
+        assert weight == pytest.approx(best[0])
+        assert [(i, *o[1:]) for i, o in enumerate(path) if o[0] in (T.INSULT, T.THREAT)] == best[1]
+
+
+def test_composition_has_the_paths_of_its_parts():
     import random
 
-    random.seed(2)
-    parts = toxicity.reach(toxicity.TARGET, 5), toxicity.reach(toxicity.NEGATION, 2), toxicity.quoted()
+    rng = random.Random(3)
+    parts = toxicity.targets(), toxicity.negations(), toxicity.reports()
     whole = toxicity.grammar()
-    state, states = whole.start, [p.start for p in parts]
-    for _ in range(500):
-        symbol = random.randrange(7)
-        state, mark = whole.step(state, symbol)
-        stepped = [p.step(s, symbol) for p, s in zip(parts, states)]
-        states = [s for s, _ in stepped]
-        assert mark == tuple(x for _, m in stepped for x in m)
+    for _ in range(60):
+        symbols = [rng.randrange(7) for _ in range(rng.randrange(1, 9))]
+        paths = [((), 0.0, tuple(p.start for p in parts))]
+        for x in symbols:
+            ahead = []
+            for outs, w, (a, b, c) in paths:
+                for o, u, a2 in parts[0].arcs(a, x):
+                    for q, v, b2 in parts[1].arcs(b, o):
+                        ahead += [((*outs, r), w + u + v + z, (a2, b2, c2)) for r, z, c2 in parts[2].arcs(c, q)]
+            paths = ahead
+        ours = [((), 0.0, whole.start)]
+        for x in symbols:
+            ours = [((*outs, o), w + u, to) for outs, w, state in ours for o, u, to in whole.arcs(state, x)]
+        ends = lambda found, ok: sorted((o, round(w, 9)) for o, w, s in found if ok(s))
+        assert ends(ours, whole.final) == ends(paths, lambda s: all(p.final(x) for p, x in zip(parts, s)))
 
 
 def test_copies_do_not_make_a_lexicon():
