@@ -29,31 +29,97 @@ def test_languages_held_out(spark):
 def model(texts):
     counts = {}
     for lang, text in texts:
-        for g in langid.grams(langid.encoded(text)).tolist():
-            counts[lang, g] = counts.get((lang, g), 0) + 1
-    lang, gram = zip(*counts)
-    return langid.Models.fit(np.array(lang, object), np.array(gram), np.array(list(counts.values())))
+        keys = langid.encoded(text)
+        for c, x in zip(langid.triples(keys)[:-1].tolist(), keys[3:].tolist(), strict=True):
+            counts[lang, c, x] = counts.get((lang, c, x), 0) + 1
+    lang, context, symbol = zip(*counts)
+    return langid.Models.fit(np.array(lang, object), np.array(context), np.array(symbol), np.array(list(counts.values())))
+
+
+def pack(context):
+    out = 0
+    for c in context:
+        out = out << langid.BITS | ord(c)
+    return out
+
+
+class PlainKneserNey:
+    """Interpolated Kneser-Ney of one language straight from its definition, with dictionaries of strings."""
+
+    def __init__(self, texts, n_seen):
+        self.counts = {4: {}, 3: {}, 2: {}, 1: {}}
+        for t in texts:
+            s = "".join(map(chr, langid.encoded(t).tolist()))
+            for i in range(3, len(s)):
+                self.counts[4][s[i - 3 : i + 1]] = self.counts[4].get(s[i - 3 : i + 1], 0) + 1
+        for m in (3, 2, 1):
+            for gram in self.counts[m + 1]:
+                self.counts[m][gram[1:]] = self.counts[m].get(gram[1:], 0) + 1
+        self.discount, self.n_seen = {}, n_seen
+        for m, c in self.counts.items():
+            once, twice = list(c.values()).count(1), list(c.values()).count(2)
+            self.discount[m] = min(0.95, max(0.05, once / (once + 2 * twice))) if once else 0.5
+
+    def prob(self, context, x):
+        m = len(context) + 1
+        below = self.prob(context[1:], x) if context else 1 / (self.n_seen + 1)
+        after = {g: c for g, c in self.counts[m].items() if g[:-1] == context}
+        if not after:
+            return below
+        total, d = sum(after.values()), self.discount[m]
+        return max(0, after.get(context + x, 0) - d * (context + x in after)) / total + d * len(after) / total * below
+
+
+TEXTS = [("a", "the cat sat on the mat with that hat"), ("a", "the dog 日本語 sat 日本 𐐷 there"), ("b", "die katze sitzt auf der matte mit dem hut"), ("b", "日の katze")]
+
+
+def test_models_equal_a_plain_kneser_ney():
+    m = model(TEXTS)
+    seen = {c for _, t in TEXTS for c in langid.encoded(t).tolist()}
+    plain = [PlainKneserNey([t for x, t in TEXTS if x == lang], len(seen)) for lang in ("a", "b")]
+    alphabet = sorted({chr(c) for c in seen} | {"q", "語", "𐐀"})
+    rng = np.random.default_rng(5)
+    texts = ["the mat", "日本語", "katze 𐐷", "qqq", "xthe"]
+    contexts = ["   ", *("".join(rng.choice(alphabet, 3)) for _ in range(120)), *(t[i : i + 3] for _, t in TEXTS for i in range(0, 20, 3))]
+    for c in contexts:
+        c = "".join(chr(x) for x in [*c.lower().encode("utf-32-le")[:0], *map(ord, c.lower())]).ljust(3)
+        logs = m.logs(np.full(len(alphabet), pack(c)), np.array([ord(x.lower()) for x in alphabet]))
+        for k in range(2):
+            assert np.exp2(logs[:, k].astype(float)) == pytest.approx([plain[k].prob(c, x.lower()) for x in alphabet], rel=1e-4)
+    entropy, size = m.entropies(texts)
+    for r, t in enumerate(texts):
+        s = "".join(map(chr, langid.encoded(t).tolist()))
+        for k in range(2):
+            bits = [-np.log2(plain[k].prob(s[i - 3 : i], s[i])) for i in range(3, len(s))]
+            assert size[r] == len(bits) and entropy[r, k] == pytest.approx(np.mean(bits), rel=1e-4)
+
+
+def test_counting_by_either_packing(monkeypatch):
+    keys = langid.encoded("abc abd 日本語 abc " * 20)
+    context, symbol = langid.triples(keys)[:-1], keys[3:]
+    get = lambda: sorted(zip(*(x.tolist() for x in langid.counted(context, symbol))))
+    one = get()
+    monkeypatch.setattr(langid, "PACKED_KINDS", 0)
+    assert get() == one and sum(n for *_, n in one) == len(symbol)
 
 
 def test_probabilities_sum_to_one():
-    m = model([("a", "the cat sat on the mat with that hat"), ("b", "die katze sitzt auf der matte mit dem hut")])
+    m = model(TEXTS[:1] + TEXTS[2:3])
     known = m.keys[1].tolist() + [5]  # the unigram floor leaves room for one unseen character
     for context in ("the", "xqz", "th ", "zzz"):
-        head = 0
-        for c in context:
-            head = head << langid.BITS | ord(c)
-        logs = m.logs(np.array([head << langid.BITS | k for k in known]))
+        logs = m.logs(np.full(len(known), pack(context)), np.array(known))
         assert np.exp2(logs.astype(float)).sum(axis=0) == pytest.approx([1, 1], abs=1e-4)
 
 
-def test_entropy_by_hand():
-    m = model([("a", "abab")])
-    keys = langid.encoded("ab!")
-    assert [chr(k) for k in keys] == [" ", " ", " ", "a", "b", " "]
-    entropy, n = m.entropies(["ab", None, "12"])
-    assert n.tolist() == [3, 0, 0]
-    logs = m.logs(langid.grams(keys))[:, 0]
-    assert entropy[0, 0] == pytest.approx(-logs.mean())
+def test_long_texts_and_ties(monkeypatch):
+    m = model(TEXTS)
+    text = "the cat 日本 sat " * 50
+    whole = m.entropies([text, "die matte", None, "12"])
+    monkeypatch.setattr(langid, "CHUNK", 64)
+    parts = m.entropies([text, "die matte", None, "12"])
+    assert np.allclose(whole[0], parts[0]) and whole[1].tolist() == parts[1].tolist() and whole[1][2:].tolist() == [0, 0]
+    even = model([("y", "same words"), ("x", "same words")])
+    assert even.predict(["same words", "other"])[0] == ["x", "x"]
 
 
 def test_language_edges(spark):
@@ -68,31 +134,46 @@ def test_language_edges(spark):
     assert langid.identify(docs.limit(0), models).count() == 0
 
 
-def test_rejection_levels_are_quantiles_of_all_training_texts(spark):
+def test_rejection_levels_are_quantiles_of_texts_held_out(spark):
     import random
 
     rng = random.Random(8)
     say = lambda letters: " ".join("".join(rng.choices(letters, k=rng.randrange(2, 7))) for _ in range(6))
-    rows = [(i, say("abcde"), "many") for i in range(9000)] + [(9000 + i, say("vwxyz"), "few") for i in range(30)]
+    rows = [(i, say("abcde"), "many") for i in range(9000)] + [(9000 + i, say("vwxyz"), "few") for i in range(3)]
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
     models = langid.train(docs)
+    aside = {r.doc_id for r in docs.filter(langid.F.expr("pmod(xxhash64(text, 'held out'), 10) = 0")).collect()}
+    assert 700 < len(aside) < 1100
     for k, name in enumerate(models.langs):
-        own = np.sort(models.entropies([t for _, t, x in rows if x == name])[0][:, k])
+        theirs = [(i, t) for i, t, x in rows if x == name]
+        own = np.sort(models.entropies([t for i, t in theirs if i in aside] or [t for _, t in theirs])[0][:, k])
         assert models.limits[k] == pytest.approx(1.02 * own[int(np.ceil(langid.REJECT_QUANTILE * len(own))) - 1], rel=1e-3)
+    learned = {c for i, t, _ in rows if i not in aside for c in langid.triples(langid.encoded(t)).tolist()}
+    assert set(models.keys[3].tolist()) == learned
+    for text in {t for i, t, _ in rows if i in aside and i < 9000}:
+        alone = langid.train(spark.createDataFrame([(1, text, "one")], "doc_id long, text string, lang string"))
+        assert alone.langs == ["one"] and np.isfinite(alone.limits[0])
+        break
 
 
 def test_no_ngram_is_left_out_of_a_large_table(spark):
     letters = np.array([c for c in range(0x61, 0x600) if chr(c).isalpha() and chr(c).lower() == chr(c)])
-    texts = ["".join(map(chr, np.random.default_rng(k).choice(letters, 110_000))) for k in range(40)]
+    texts = ["".join(map(chr, np.random.default_rng(k).choice(letters, 60_000))) for k in range(40)]
     docs = spark.createDataFrame([(k, t, "x") for k, t in enumerate(texts)], "doc_id long, text string, lang string").repartition(8)
-    seen = np.unique(np.concatenate([langid.grams(langid.encoded(t)) for t in texts]))
-    assert len(seen) > 4_000_000
-    assert np.array_equal(langid.train(docs).keys[langid.ORDER], seen)
+    aside = {r.doc_id for r in docs.filter(langid.F.expr("pmod(xxhash64(text, 'held out'), 10) = 0")).collect()}
+    seen = set()
+    for k, t in enumerate(texts):
+        if k not in aside:
+            keys = langid.encoded(t)
+            seen.update(zip(langid.triples(keys)[:-1].tolist(), keys[3:].tolist()))
+    models = langid.train(docs)
+    assert len(seen) > 1_500_000 and len(models.keys[langid.ORDER]) == len(seen)
 
 
-def test_marks_are_part_of_words_and_scripts_have_keys_of_their_own():
+def test_marks_are_part_of_words_and_every_character_is_itself():
     assert len(langid.encoded("हिन्दी")) == langid.ORDER + len("हिन्दी")
-    assert len(set(langid.encoded("".join(map(chr, range(0xE01, 0xE2F)))).tolist())) == 0xE2F - 0xE01 + 1
+    text = "".join(chr(c) for c in [*range(0xE01, 0xE2F), *range(0x4E00, 0x9000), *range(0x20000, 0x20400)])
+    assert len(set(langid.encoded(text).tolist())) == len(text) + 1
 
 
 def test_toxicity_held_out(spark):
