@@ -15,12 +15,15 @@ among their K-grams, which depends on their bytes alone.  So
 4.  the bytes under all repeats are removed.
 
 A shard is read as a stream of anchors and sorted in batches of at least
-`batch_bytes`; only the segments of one anchor must be in one batch.  The
-segments of anchors seen more than `hot_segments` times are not sorted: their
-strings are grouped by content (a 128-bit hash), over all tasks, so no batch is
-larger than `batch_bytes` and `hot_segments` segments together.  Which
-segments step 1 can skip is told during the scan by a Bloom filter of fixed
-size; a filter that is too full lets more segments through, never fewer.
+`batch_bytes`; only the segments of one anchor must be in one batch.  The sort
+holds its queues in bounded memory and writes runs to the folder that executors
+share beyond it.  The segments of anchors seen more than `hot_segments` times
+are not sorted: their strings are grouped by content (a 128-bit hash), over all
+tasks.  Which segments step 1 can skip is told during the scan by a Bloom filter
+sized by the number of repeated anchors, up to `MOST_WORDS`; a filter that is too full
+lets more segments through, never fewer.  Places of anchors seen more than
+`SALTED` times meet their verdicts under salted keys.  Segments are compared by
+64-bit hashes beside the 64-bit hash of their anchor.
 
 Edge cases: a null text counts as empty; texts below LENGTH bytes are left
 alone; every byte of a text that has a copy goes, in all the copies; repeated
@@ -38,13 +41,15 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, pieces, stored
+from .common import documents, pieces, shared_dir, stored
 from .induced import repeated_starts
 
 LENGTH = 200
 GRAM = 48
-#: Words of 64 bits in each Bloom filter (2 MB).
-BLOOM_WORDS = 1 << 18
+#: Words of 64 bits in a Bloom filter: one for every four anchors, within these bounds (32 KB and 32 MB).
+LEAST_WORDS, MOST_WORDS = 1 << 12, 1 << 22
+#: Occurrences of an anchor from which on its places are salted, and the number of salts.
+SALTED, SALTS = 500, 64
 BATCH_BYTES = 2 << 20
 #: Occurrences of an anchor up to which one task sorts its segments.
 HOT_SEGMENTS = 10_000
@@ -116,18 +121,22 @@ def _utf8(text: str | None) -> bytes:
 
 
 def _bloom(anchors: DataFrame) -> np.ndarray:
-    """Bloom filter over anchors (two probes each); at most BLOOM_WORDS rows come to the driver."""
-    probes = F.array(F.struct(F.pmod(F.shiftright("anchor", 6), F.lit(BLOOM_WORDS)).alias("w"), F.pmod("anchor", F.lit(64)).alias("b")), F.struct(F.pmod(F.shiftright("anchor", 36), F.lit(BLOOM_WORDS)).alias("w"), F.pmod(F.shiftright("anchor", 30), F.lit(64)).alias("b")))
-    bits = anchors.select(F.explode(probes).alias("p")).groupBy(F.col("p.w").cast("int").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p.b as int))")).alias("bits")).toPandas()
-    words = np.zeros(BLOOM_WORDS, np.int64)
+    """Bloom filter over anchors (two probes each), sized by their number; at most MOST_WORDS rows come to the driver."""
+    size = LEAST_WORDS
+    n = anchors.count()
+    while size < MOST_WORDS and 4 * size < n:
+        size *= 2
+    probe = lambda word, bit: F.struct(F.pmod(F.shiftright("anchor", word), F.lit(size)).alias("w"), F.pmod(F.shiftright("anchor", bit), F.lit(64)).alias("b"))
+    bits = anchors.select(F.explode(F.array(probe(6, 0), probe(36, 30))).alias("p")).groupBy(F.col("p.w").cast("int").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p.b as int))")).alias("bits")).toArrow()
+    words = np.zeros(size, np.int64)
     words[bits["w"].to_numpy()] = bits["bits"].to_numpy()
     return words.view(np.uint64)
 
 
 def _hits(words: np.ndarray, anchors: np.ndarray) -> np.ndarray:
-    one = np.uint64(1)
-    first = words[(anchors >> 6) % BLOOM_WORDS] >> (anchors % 64).astype(np.uint64) & one
-    return (first & (words[(anchors >> 36) % BLOOM_WORDS] >> ((anchors >> 30) % 64).astype(np.uint64)) & one).astype(bool)
+    one, size = np.uint64(1), len(words)
+    first = words[(anchors >> 6) % size] >> (anchors % 64).astype(np.uint64) & one
+    return (first & (words[(anchors >> 36) % size] >> ((anchors >> 30) % 64).astype(np.uint64)) & one).astype(bool)
 
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -177,6 +186,8 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     again = stored(repeated_anchors(docs, text_col, length, gram), "anchors")
     any_words = spark.sparkContext.broadcast(_bloom(again))
     mixed_words = spark.sparkContext.broadcast(_bloom(again.filter("mixed")))
+    hot_words = spark.sparkContext.broadcast(_bloom(again.filter(F.col("held") > SALTED)))
+    folder = shared_dir(spark)
     keyed = _keyed(docs, id_col, text_col)
     id_type = dict(keyed.dtypes)["__id"]
 
@@ -192,7 +203,8 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                     continue
                 lo, hi, anchor = lo[hit], hi[hit], anchor[hit]
                 mixed = _hits(mixed_words.value, anchor).tolist()
-                for x, y, a, m in zip(lo.tolist(), hi.tolist(), anchor.tolist(), mixed, strict=True):
+                salt = np.where(_hits(hot_words.value, anchor), (lo * 31 + hi + xxhash.xxh3_64_intdigest(data) % SALTS) % SALTS, 0).tolist()
+                for x, y, a, m, z in zip(lo.tolist(), hi.tolist(), anchor.tolist(), mixed, salt, strict=True):
                     s, own = _segment_hash(data, x, y, length), None
                     if m and (a, s) not in sent:
                         if len(sent) >= REMEMBERED:
@@ -200,21 +212,21 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                         sent.add((a, s))
                         own = data[x : y + length]
                     row.append(k)
-                    rows.append((x, y, a, s, own))
+                    rows.append((x, y, a, s, z, own))
             at = pa.array(row, pa.int64())
-            rest = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [[]] * 5, (*[pa.int64()] * 4, pa.binary()), strict=True)]
-            yield pa.RecordBatch.from_arrays([b.column(0).take(at), b.column(1).take(at), *rest], names=["__id", "__text", "lo", "hi", "anchor", "segment", "bytes"])
+            rest = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [[]] * 6, (*[pa.int64()] * 4, pa.int32(), pa.binary()), strict=True)]
+            yield pa.RecordBatch.from_arrays([b.column(0).take(at), b.column(1).take(at), *rest], names=["__id", "__text", "lo", "hi", "anchor", "segment", "salt", "bytes"])
 
-    found = stored(keyed.mapInArrow(find, f"__id {id_type}, __text long, lo long, hi long, anchor long, segment long, bytes binary"), "segments")
-    places = found.select("__id", "__text", "lo", "hi", "anchor", "segment").join(again, "anchor")
-    kinds = found.select("anchor", "segment").join(again.filter("mixed"), "anchor").groupBy("anchor", "segment").agg(F.count(F.lit(1)).alias("n"))
+    found = stored(keyed.mapInArrow(find, f"__id {id_type}, __text long, lo long, hi long, anchor long, segment long, salt int, bytes binary"), "segments")
+    # one row for each kind of segment from here on; anchors that only the filter let through go in the join
+    kinds = found.groupBy("anchor", "segment").agg(F.count(F.lit(1)).alias("n"), F.collect_set("salt").alias("salts")).join(again.select("anchor", "mixed"), "anchor")
 
     def sort_shard(batches):
         held: list[tuple[int, int, bytes]] = []
         size = 0
 
         def settle(rows):
-            starts = repeated_starts([x[2] for x in rows], length)
+            starts = repeated_starts([x[2] for x in rows], length, folder=folder)
             out = []
             for (anchor, segment, _), s in zip(rows, starts, strict=True):
                 if len(s):
@@ -241,13 +253,14 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     shards = unlike.repartition(parts, "anchor").sortWithinPartitions("anchor").select("anchor", "segment", "bytes").mapInArrow(sort_shard, "anchor long, segment long, starts array<struct<lo:long,hi:long>>")
     if not again.filter(hot).isEmpty():
         shards = shards.unionByName(_shared_strings(once.join(again.filter(hot).select("anchor"), "anchor"), length))
-    verdicts = stored(kinds.join(shards, ["anchor", "segment"], "left").filter("n > 1 or starts is not null"), "verdicts")
-
-    alike = places.filter("not mixed").select("__id", "__text", "lo", "hi")
-    judged = places.filter("mixed").select("__id", "__text", "lo", "hi", "anchor", "segment").join(verdicts, ["anchor", "segment"])
-    copied = judged.filter("n > 1").select("__id", "__text", "lo", "hi")
-    partly = judged.filter("n = 1").select("__id", "__text", F.col("lo").alias("at"), F.explode("starts").alias("s")).select("__id", "__text", (F.col("at") + F.col("s.lo")).alias("lo"), (F.col("at") + F.col("s.hi")).alias("hi"))
-    spans = alike.unionByName(copied).unionByName(partly)
+    judged = kinds.join(shards, ["anchor", "segment"], "left").filter("not mixed or n > 1 or starts is not null")
+    whole = ~F.col("mixed") | (F.col("n") > 1)
+    verdicts = stored(judged.select("anchor", "segment", F.explode("salts").alias("salt"), F.when(~whole, F.col("starts")).alias("starts")), "verdicts")
+
+    placed = found.select("__id", "__text", "lo", "hi", "anchor", "segment", "salt").join(verdicts, ["anchor", "segment", "salt"])
+    every = placed.filter("starts is null").select("__id", "__text", "lo", "hi")
+    partly = placed.filter("starts is not null").select("__id", "__text", F.col("lo").alias("at"), F.explode("starts").alias("s")).select("__id", "__text", (F.col("at") + F.col("s.lo")).alias("lo"), (F.col("at") + F.col("s.hi")).alias("hi"))
+    spans = every.unionByName(partly)
     return spans.groupBy("__id", "__text").agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))  # at most a document's own segments
 
 

@@ -13,11 +13,14 @@ from boxmdl.llm import induced, suffix_dedup
 random.seed(11)
 
 
-@pytest.mark.parametrize("seed", range(60))
-def test_suffix_order_and_common_prefixes(seed):
+@pytest.mark.parametrize("seed", range(120))
+def test_suffix_order_and_common_prefixes(seed, monkeypatch):
     rng = random.Random(seed)
     text = [rng.randrange(1, rng.choice([2, 3, 4, 7])) for _ in range(rng.randrange(1, 70))] + [0]
-    blocks = list(induced.sorted_suffixes(np.array(text, np.uint16), symbols=9, depth=250, budget=rng.choice([0, 64, 1 << 20])))
+    monkeypatch.setattr(induced, "BLOCK", rng.choice([1, 2, 5, 1 << 16]))
+    spill = induced.Spill()
+    blocks = list(induced.sorted_suffixes(np.array(text, np.uint16), symbols=9, depth=250, budget=rng.choice([0, 64, 300, 1 << 20]), memory=rng.choice([0, 3, 1 << 20]), spill=spill))
+    spill.close()
     order = np.concatenate([p for p, _ in blocks]).tolist()
     assert order == sorted(range(len(text)), key=lambda i: text[i:], reverse=True)
     values = np.concatenate([v for _, v in blocks]).tolist()
@@ -26,6 +29,28 @@ def test_suffix_order_and_common_prefixes(seed):
         assert values[k] == next(i for i in range(len(text)) if i >= min(len(a), len(b)) or a[i] != b[i])
 
 
+def test_a_shard_far_larger_than_its_memory(tmp_path):
+    """Every queue and tape holds 4 KB; the names are sorted by two further levels; files are gone afterwards."""
+    rng = random.Random(3)
+    words = ["".join(rng.choices("abcd", k=rng.randrange(2, 9))) for _ in range(40)]
+    data = [" ".join(rng.choices(words, k=400)).encode() for _ in range(40)]
+    data += [data[3][200:900], data[5][:500] + b"end"]
+    levels, deepest = [], induced._suffix_order
+    induced._suffix_order = lambda text, *rest: levels.append(len(text)) or deepest(text, *rest)
+    written = []
+    write = induced.Spill.write
+    induced.Spill.write = lambda self, *c: written.append(sum(x.nbytes for x in c)) or write(self, *c)
+    try:
+        found = induced.repeated_starts(data, 40, budget=4096, memory=2000, folder=f"file://{tmp_path}")
+    finally:
+        induced._suffix_order, induced.Spill.write = deepest, write
+    assert len(levels) >= 2 and levels[0] > levels[1] and len(written) > 50 and sum(written) > 50 * 4096
+    assert list(tmp_path.iterdir()) == []
+    seen = Counter(w for d in data for w in windows(d, 40))
+    for d, s in zip(data, found, strict=True):
+        assert s.tolist() == [i for i, w in enumerate(windows(d, 40)) if seen[w] > 1]
+
+
 def windows(data, n):
     return (data[i : i + n] for i in range(len(data) - n + 1))
 
