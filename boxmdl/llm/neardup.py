@@ -12,9 +12,10 @@
     documents left with too little are taken off the lists, and pairs are
     skipped where the bound of either rules out the similarity asked for.
 4.  Postings are merged without writing out all pairs of a list: every list has
-    two pivots, and each of its documents meets the pivots only.  Pairs with
-    at least `T` equal coordinates are confirmed on the full shingle sets, and
-    confirmed links join components.  Then the documents outside a list's
+    two pivots, and each of its documents meets the pivots only.  The collisions
+    of a pair that meets are counted over all coordinates, merged and skipped
+    lists alike; pairs with at least `T` are confirmed on the full shingle sets,
+    and confirmed links join components.  Then the documents outside a list's
     largest component meet the members of other components where a longer
     signature of `LONG_K` coordinates lets them, so a link between two documents
     can only be left out when they already are connected.
@@ -47,6 +48,8 @@ SHINGLE = 5
 PERCENT = 75
 K = 64
 T = 31
+#: Parts that the classes of one component are spread over when they get its label.
+SALTS = 32
 LONG_K = 512
 LONG_T = 337
 
@@ -284,16 +287,16 @@ def _between_components(labelled: DataFrame, texts: DataFrame, percent: int) ->
     return meet.select(F.greatest("xnode", "ynode").alias("a"), F.least("xnode", "ynode").alias("b")).distinct()
 
 
-def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, threshold: int = T) -> tuple[DataFrame, DataFrame | None]:
-    """The rows (``doc_id``, ``n_shingles``, ``text_hash``, ``node``: the representative of the row's class, null for an empty set) and ``node``, ``root`` of the linked representatives (None without links)."""
+def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, threshold: int = T) -> tuple[DataFrame, DataFrame, DataFrame | None]:
+    """The rows (``doc_id``, ``n_shingles``, ``text_hash``, ``set_digest``), the classes of equal sets (``set_digest``, ``node``: its representative, ``least_id``), and ``node``, ``root`` of the linked representatives (None without links)."""
     rows = stored(signatures(docs, id_col, text_col), "signatures")
     full = rows.filter("n_shingles > 0")
-    classes = stored(full.groupBy("set_digest").agg(F.min("row").alias("node")), "classes")
+    classes = stored(full.groupBy("set_digest").agg(F.min("row").alias("node"), F.min("doc_id").alias("least_id")), "classes")
     reps = stored(full.join(classes.select(F.col("node").alias("row")), "row", "left_semi").select(F.col("row").alias("node"), "doc_id", "n_shingles", "set_digest", "sig"), "representatives")
-    members = rows.select("row", "doc_id", "n_shingles", "set_digest", "text_hash").join(classes, "set_digest", "left").select("doc_id", "n_shingles", "text_hash", F.when(F.col("n_shingles") > 0, F.col("node")).alias("node"))
+    members = rows.select("doc_id", "n_shingles", "text_hash", "set_digest")
     posted = stored(prefix_postings(reps, threshold), "postings")
     if posted.isEmpty():
-        return members, None
+        return members, classes, None
     texts = stored(candidate_texts(docs, reps, posted, id_col, text_col), "texts")
     postings = stored(posted.join(shared_parts(texts, reps, percent), "node").select("key", "count", "node", "n", "e"), "shared")
     links = stored(confirmed(likely(_with_pivots(postings, percent), reps, threshold), texts, percent), "links")
@@ -302,17 +305,20 @@ def link(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percen
     more = stored(confirmed(_between_components(labelled, texts, percent), texts, percent), "links")
     if not more.isEmpty():
         roots = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more))
-    return members, roots
+    return members, classes, roots
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT) -> DataFrame:
     """``doc_id``, ``n_shingles``, ``component_id`` (the least id in the component), ``kept``, ``text_hash``."""
-    members, roots = link(docs, id_col, text_col, percent)
-    placed = members.withColumn("root", F.col("node"))
+    members, classes, roots = link(docs, id_col, text_col, percent)
+    # labels are worked out for classes, so a group of copies is one row until the last join
+    labels = classes.select("set_digest", F.col("least_id").alias("component_id"))
     if roots is not None:
-        placed = members.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    least = placed.filter("root is not null").groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    out = placed.join(least, "root", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
+        least = roots.join(classes.select("node", "least_id"), "node").groupBy("root").agg(F.min("least_id").alias("least"))
+        salted = least.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        named = roots.withColumn("salt", F.pmod(F.xxhash64("node"), F.lit(SALTS)).cast("int")).join(salted, ["root", "salt"]).select("node", "least")
+        labels = classes.join(named, "node", "left").select("set_digest", F.coalesce("least", "least_id").alias("component_id"))
+    out = members.join(labels, "set_digest", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.col("component_id").isNull()).alias("kept"), "text_hash")
 
 
