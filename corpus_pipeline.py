@@ -3,6 +3,14 @@
 Every stage works on all rows that its predecessor kept, and is written as
 Parquet into the shared folder and read again before the next.  All but the
 last return the columns of `documents`; the last returns packed pieces.
+
+Edge cases, by stage: a null or empty text is clean, has no near-duplicate and
+no repeat, counts no words in the mix and is packed as its closing token alone;
+rows that repeat an id and a text are one document from the second stage on;
+of documents with equal texts the one of the least id stays; rows without an
+id are kept apart from each other unless their texts are alike; very long texts
+are cut into pieces only when packed; extra columns, whatever their names, are
+carried to the mix; an empty table gives no rows at any stage.
 """
 
 from __future__ import annotations
