@@ -70,6 +70,21 @@ def test_lines_above_the_limit_are_removed(spark):
     assert line_rules.line_rules(small(spark, rows).limit(0)).count() == 0
 
 
+def test_a_line_of_many_documents_of_a_large_host(spark):
+    rows = [(i, ("Read more here\n" if i < 40 else "") + "unique " + " ".join("abcdefghij"[int(c)] * 3 for c in f"{i:04d}") + " tail" * 50, "h") for i in range(5000)]
+    for many, gone in ((40, 0), (39, 3)):
+        got = line_rules.line_rules(small(spark, rows), many_docs=many).toPandas().set_index("doc_id")
+        assert got.words_removed[0] == gone and got.words_removed[4999] == 0
+
+
+def test_repeated_ids_and_very_long_texts(spark):
+    long = "a line of its own\n" * 100_000 + " ".join(f"w{i}" for i in range(400_000))
+    rows = [(7, long, "h"), (7, long, "h"), (7, "other words " * 40, "h"), (8, "word " * 500_000, "h")]
+    got = line_rules.line_rules(small(spark, rows)).toPandas().sort_values("n_words")
+    assert got.doc_id.tolist() == [7, 8, 7, 7] and got.n_words.tolist() == [80, 500_000, 900_000, 900_000]
+    assert got.n_dup_lines.tolist() == [0, 0, 99_999, 99_999] and got.n_repeat_words.tolist()[:2] == [80, 500_000] and got.base_failed.tolist() == [True, True, True, True]
+
+
 def test_copies_are_no_boilerplate(spark):
     text = "\n".join(f"line {c} of a clean text with words {c}{c}" for c in "abcdefghijklmnop")
     got = line_rules.line_rules(small(spark, [(i, text, "h") for i in range(60)])).toPandas()
