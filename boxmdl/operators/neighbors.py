@@ -164,8 +164,13 @@ def _count(cells: DataFrame, n_cells: int | None) -> int:
     return cells.count() if n_cells is None else n_cells
 
 
-def knn(cells: DataFrame, k: int, n_attrs: int, method: str = "auto", n_cells: int | None = None, tile: int | None = None, projections: int = 6, width: int = 32, seed: int = 7) -> DataFrame:
-    """The k nearest cells of every cell; exact unless `method` is 'projected'."""
+def knn(cells: DataFrame, k: int, n_attrs: int, method: str = "auto", n_cells: int | None = None, tile: int | None = None, projections: int = 12, width: int | None = None, seed: int = 7) -> DataFrame:
+    """The k nearest cells of every cell; exact unless `method` is 'projected'.
+
+    'projected' compares a cell with those up to `width` places (by default 16
+    for each neighbour asked for) away on each of the `projections`; how many
+    of the neighbours it finds depends on the data: measure it with `recall`.
+    """
     if method == "auto":
         method = choose.knn_plan(_count(cells, n_cells))
     if method == "broadcast":
@@ -173,7 +178,7 @@ def knn(cells: DataFrame, k: int, n_attrs: int, method: str = "auto", n_cells: i
     if method == "tiled":
         return _top(_tiled(cells, k, _count(cells, n_cells), n_attrs, tile), k)
     if method == "projected":
-        return _projected(cells, k, n_attrs, projections, width, seed)
+        return _projected(cells, k, n_attrs, projections, width or max(32, 16 * k), seed)
     raise ValueError(method)
 
 
