@@ -104,6 +104,12 @@ def pair_mix(a, b):
     return x * x % 2147483647
 
 
+def different(x: np.ndarray) -> np.ndarray:
+    """The different values, ascending."""
+    x = np.sort(x)
+    return x[np.append(True, x[1:] != x[:-1])] if len(x) else x
+
+
 def _lgammas(joint: np.ndarray, eps: float) -> np.ndarray:
     """log2 of the gamma function of usages plus eps, from a table where that is less work."""
     most = int(joint.max(initial=0))
@@ -212,17 +218,17 @@ def mine(p: Patterns, edges: np.ndarray | None, grid: Grid, eps: float = EPS, sc
         total = total_bits_local(p.usage[p.live()], p.log_size[p.live()], grid, eps, encoding)
     next_id = int(p.ids[: p.size].max(initial=0)) + 1
     if edges is not None:
-        edges = np.unique(edges)
-        blocks = [edges if first_pairs is None else np.unique(first_pairs)]
+        edges = different(edges)
+        blocks = [edges if first_pairs is None else different(first_pairs)]
     else:
         edges = np.zeros(0, np.int64)
-        blocks = _every_pair(p.live()) if first_pairs is None else [np.unique(first_pairs)]
+        blocks = _every_pair(p.live()) if first_pairs is None else [different(first_pairs)]
     left = np.zeros(0, np.int64) if left is None else left
     while True:
         k = len(p.live())
         limit = -hope(k, n, grid, eps, encoding)
         if requeue:  # pairs are carried on even if they have no hope yet
-            blocks = [np.unique(np.concatenate([left, *blocks]))]
+            blocks = [different(np.concatenate([left, *blocks]))]
             blocks = [b[p.alive[b >> 32] & p.alive[b & _LOW]] for b in blocks]
             left = blocks[0]
         pairs, w, seen = _hopeful(p, blocks, limit, eps, encoding)
@@ -256,7 +262,7 @@ def mine(p: Patterns, edges: np.ndarray | None, grid: Grid, eps: float = EPS, sc
             at = run.roots()
             x, y = at[edges >> 32], at[edges & _LOW]
             moved = (x != edges >> 32) | (y != edges & _LOW)
-            new = np.unique(packed(x, y)[moved & (x != y)])
+            new = different(packed(x, y)[moved & (x != y)])
             edges = np.concatenate([edges[~moved], new])
             # an unmoved edge has old ends only, so it is not among the new; packed pairs with a new row at the end keep the order by ends
             blocks = [new[(new & _LOW) >= start]]
@@ -301,18 +307,27 @@ class Holders:
 def prune_pairs(p: Patterns, live: np.ndarray, rows, top_n: int | None, eps: float, encoding: str) -> list[tuple[float, int, int]]:
     """(weight, a, b) of the `top_n` pairs of largest weight whose hull holds another pattern; a is among `rows` (places in `live`)."""
     holders = Holders(p.lo[live], p.hi[live])
-    found: list[tuple[float, int, int]] = []
-    key = lambda x: (-round(x[0], TIE), p.ids[x[1]], p.ids[x[2]])
+    few = Patterns.of(p.ids[live], p.lo[live], p.hi[live], p.usage[live])
+    best = np.zeros((0, 2), np.int64), np.zeros(0)
+
+    def better(pairs: list[np.ndarray], best: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        new = np.concatenate(pairs)
+        every = np.concatenate([best[0], new])
+        w = np.concatenate([best[1], weights(few, new[:, 0], new[:, 1], eps, encoding)])
+        order = np.lexsort((every[:, 1], every[:, 0], -np.round(w, TIE)))[:top_n]  # places ascend with ids
+        return every[order], w[order]
+
+    held, size = [], 0
     for i in rows:
         j = holders.of(i)
         if len(j):
-            a, b = np.full(len(j), live[i]), live[j]
-            found += zip(weights(p, a, b, eps, encoding).tolist(), a.tolist(), b.tolist(), strict=True)
-            if top_n and len(found) > 20 * top_n + 100_000:
-                found.sort(key=key)
-                del found[top_n:]
-    found.sort(key=key)
-    return found[:top_n] if top_n else found
+            held.append(np.stack([np.full(len(j), i), j], axis=1))
+            size += len(j)
+        if size > CHUNK:
+            best, held, size = better(held, best), [], 0
+    if held:
+        best = better(held, best)
+    return list(zip(best[1].tolist(), live[best[0][:, 0]].tolist(), live[best[0][:, 1]].tolist(), strict=True))
 
 
 def prune(p: Patterns, run: Run, grid: Grid, eps: float = EPS, top_n: int | None = 1000, order: str = "id", encoding: str = "plugin", search=None) -> int:

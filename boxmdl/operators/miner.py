@@ -90,7 +90,7 @@ def _near_rows(elementary: DataFrame, ids: np.ndarray, points: np.ndarray, k: in
     if method == "auto" and len(ids) <= choose.ALL_PAIRS_CELLS:
         found = neighbors.knn_local(points, k)
         return kernel.packed(found[:, 0], found[:, 1])
-    return np.unique(_rows(neighbors.neighbor_pairs(elementary, k, n_attrs, method, len(ids)).toDF("a", "b"), ids))
+    return kernel.different(_rows(neighbors.neighbor_pairs(elementary, k, n_attrs, method, len(ids)).toDF("a", "b"), ids))
 
 
 def _boxes_frame(spark, p: kernel.Patterns, live: np.ndarray) -> DataFrame:
