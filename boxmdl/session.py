@@ -24,5 +24,12 @@ def fixed(df: DataFrame) -> DataFrame:
     """A reliable checkpoint of `df` in the folder that spark.checkpoint.dir names: cuts lineage between mining rounds."""
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="boxmdl-checkpoint-"))
+        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or local_folder(sc.master))
     return df.checkpoint(eager=True)
+
+
+def local_folder(master: str) -> str:
+    """A temporary folder, where driver and tasks are one process; on a cluster the session has to name a shared one."""
+    if not master.startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+    return "file://" + tempfile.mkdtemp(prefix="boxmdl-checkpoint-")

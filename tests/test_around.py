@@ -2,14 +2,16 @@
 
 import math
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
-from boxmdl import sources, streaming
+from boxmdl import experiments, session, sources, streaming
 from boxmdl.functions import codes, sqlapi
 from boxmdl.operators import baselines, cells, grid, measures, miner
 from boxmdl.operators.baselines import itemset, sampling
+from boxmdl.operators.baselines.limits import Limits
 from boxmdl.sources import workloads as W
 
 SF = "/root/testdata/sf0.001"
@@ -125,3 +127,58 @@ def test_driver_contract(spark):
     assert entry.entry(spark).count() > 0
     names = entry.queries()
     assert set(entry.oracle_sql()) <= set(names) and len(names) > 100
+
+
+def test_limits_are_reported(spark):
+    df = W.load(spark, SF, "W7")
+    g = grid.equal_width(df, W.attrs("W7"), 5)
+    c = cells.elementary(cells.discretise(df, g)).cache()
+    assert itemset.mine(c, g).status == "ok" and itemset.mine(c, g, seconds=0.0).status == "time"
+    assert sampling.mine(df, W.attrs("W7"), 0.25, seconds=0.0).status == "time"
+    limits = Limits(memory=1000)
+    assert not limits.over_memory(1000) and limits.over_memory(1001) and limits.status == "memory"
+    with pytest.raises(ValueError):
+        session.local_folder("spark://host:7077")
+    assert session.local_folder("local[4]").startswith("file://")
+
+
+def test_itemset_covers_stay_right_through_changes():
+    """Usages kept up to date row by row equal those of covering all rows anew."""
+    rng = np.random.default_rng(2)
+    rows = np.unique(rng.integers(0, 3, (60, 4)) + np.array([0, 3, 6, 9]), axis=0)
+    table = itemset.CodeTable(rows, rng.integers(1, 5, len(rows)).astype(float))
+
+    def anew():
+        usage, covers = {}, table._cover(np.arange(len(rows)))
+        for r, parts in covers.items():
+            for s in parts:
+                usage[s] = usage.get(s, 0) + table.weight[r]
+        return usage
+
+    for _ in range(40):
+        if table.support and rng.random() < 0.3:
+            undo = table.change(drop=list(table.support)[int(rng.integers(len(table.support)))])
+        else:
+            joint = frozenset(rng.choice(rows[int(rng.integers(len(rows)))], int(rng.integers(2, 5)), replace=False).tolist())
+            if joint in table.support:
+                continue
+            undo = table.change(add=joint)
+        if rng.random() < 0.3:
+            undo()
+        assert {s: u for s, u in table.usage.items() if u} == anew()
+
+
+def test_layout_runs_of_all_methods(spark):
+    got = experiments.layouts(spark, SF, sizes=(100,), names=("Y1", "Y5")).toPandas()
+    assert len(got) == 18 and (got.status == "ok").all() and got.notna().all().all()
+    fine = got[(got.method == "boxes") & (got.setting == "sqrt")]
+    assert (fine.jcd_computed > got[got.method == "itemsets"].jcd_computed.max()).all()
+
+
+def test_local_interaction_cuts_are_those_on_rows(spark):
+    rng = np.random.default_rng(0)
+    x = np.round(rng.random(900), 3)
+    values = np.stack([x, (x > 0.5) * 5 + np.round(rng.random(900), 3)], axis=1)
+    df = spark.createDataFrame([tuple(map(float, v)) for v in values], "x double, y double")
+    here, there = grid.interaction_cuts(values, 20), grid.interaction_preserving(df, ["x", "y"], 20)
+    assert [a.cuts for a in there.axes] == here
