@@ -22,11 +22,14 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share, from spark.checkpoint.dir.
 
-    Only where the session names none (tests, a laptop) a temporary folder is set.
+    Only where the session names none and driver and tasks are one process
+    (tests, a laptop) a temporary folder is set.
     """
     sc = spark.sparkContext
     at = sc.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not at:
+        if not sc.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         at = "file://" + tempfile.mkdtemp(prefix="boxmdl-checkpoint-")
     if sc.getCheckpointDir() is None:
         sc.setCheckpointDir(at)
