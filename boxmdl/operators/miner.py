@@ -120,14 +120,15 @@ def _distributed(boxes, edges, lineage, grid, n, k, eps, scope, gain_mode, tie,
     left = None
     total = model.total_bits(boxes, grid, eps, encoding).first().total
     next_id = boxes.agg(F.max("pid")).first()[0] + 1
-    n_edges = edges.count()
+    n_edges = seen = edges.count()
     while choose.rounds_plan(k, n_edges) != "local":
         if requeue and left is not None:
-            pairs = pairs.unionByName(left).dropDuplicates()
-        weighted = fixed(candidates.weighted(pairs, boxes, eps, encoding).select("a", "b", "w"))
-        left = weighted.select("a", "b") if requeue else None
-        report["explored"].append(weighted.count())
-        hopeful = weighted.filter(F.col("w") > -model.hope(k, n, grid, eps, encoding))
+            pairs = fixed(pairs.unionByName(left).dropDuplicates())
+            seen = pairs.count()
+        left = pairs if requeue else None
+        report["explored"].append(seen)
+        # only pairs that can gain are written: most of the candidates never leave their tasks
+        hopeful = fixed(candidates.weighted(pairs, boxes, eps, encoding).select("a", "b", "w").filter(F.col("w") > -model.hope(k, n, grid, eps, encoding)))
         if hopeful.isEmpty():
             return boxes, edges, lineage, k, None, None, total
         merges = matching.accepted(matching.greedy_matching(hopeful, tie), k, n, grid, eps, encoding, gain_mode, next_id)
@@ -150,7 +151,8 @@ def _distributed(boxes, edges, lineage, grid, n, k, eps, scope, gain_mode, tie,
         first_new = next_id
         next_id += made
         pairs = edges.filter((F.col("a") >= first_new) | (F.col("b") >= first_new)) if scope == "inherited" else candidates.with_new(boxes, first_new)
-        n_edges = edges.count() if scope == "inherited" else made * k
+        seen = pairs.count() if scope == "inherited" else made * (k - made) + made * (made - 1) // 2
+        n_edges = edges.count() if scope == "inherited" else seen
         if requeue:
             gone = merges.select(F.explode(F.array("a", "b")).alias("v"))
             left = fixed(left.join(gone, F.col("a") == F.col("v"), "left_anti").join(gone, F.col("b") == F.col("v"), "left_anti"))

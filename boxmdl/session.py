@@ -30,6 +30,6 @@ def fixed(df: DataFrame) -> DataFrame:
 
 def local_folder(master: str) -> str:
     """A temporary folder, where driver and tasks are one process; on a cluster the session has to name a shared one."""
-    if not master.startswith("local["):
+    if master != "local" and not master.startswith("local["):
         raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     return "file://" + tempfile.mkdtemp(prefix="boxmdl-checkpoint-")
