@@ -12,7 +12,10 @@ and cut off at time 1; the copy that is being served then is cut there.
 Running sums are taken in two steps, within digest buckets of a source and
 over the buckets' totals; with as many buckets as a bucket has rows, neither
 step grows faster than the root of the source, and a source that holds most
-rows is dealt out over many tasks.  Only DataFrame functions are used.
+rows is dealt out over many tasks.  The sources themselves are ranked and
+summed up by one window while they are few, and through range partitions and
+their totals (`sharding.with_global_prefix`) when they are many, as where every
+host is a source.  Only DataFrame functions are used.
 
 Edge cases: a null text or source counts as size 0 and as a source of its own,
 last in order; documents of size 0 take nothing; repeated rows are separate
@@ -26,32 +29,45 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import documents, stored, word_count
+from .sharding import with_global_prefix
 
 #: Weights of the sources in their order, repeated.
 WEIGHTS = (5, 2, 1)
 MAX_REPEAT = 3
-#: Sources (some 100 bytes each) up to which their plan is sent to every task.
+#: Sources (some 100 bytes each) up to which one task ranks them and their plan is sent to every task.
 BROADCAST_SOURCES = 100_000
 
 
-def source_targets(sizes: DataFrame, weights=WEIGHTS, max_repeat: int = MAX_REPEAT) -> DataFrame:
-    """Targets of the sources in `sizes` (``__null``, ``__src``, ``source_size``): a row each with ``weight`` and ``target``.
+def source_targets(sizes: DataFrame, weights=WEIGHTS, max_repeat: int = MAX_REPEAT, many: bool = False) -> DataFrame:
+    """Targets of the sources in `sizes` (``__null``, ``__src``, ``source_size``): its rows with ``weight`` and ``target``.
 
     In order of cap per weight, the first k sources are capped and the others
     share what is left by weight; k is the smallest number for which the next
-    source stays within its cap.
+    source stays within its cap.  many: rank and sum in many tasks, with the
+    same result (to the last bit where weights are whole numbers).
     """
-    by_name = Window.orderBy("__null", "__src")
-    ranked = sizes.withColumn("__nth", F.pmod(F.row_number().over(by_name) - 1, F.lit(len(weights))))
-    weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.col("__nth") + 1).cast("int"))
+    names = sizes.columns
+    weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.pmod("__nth", F.lit(len(weights))) + 1).cast("int"))
+    if many:
+        ranked = with_global_prefix(sizes.withColumn("__one", F.lit(1)), "__one", ["__null", "__src"]).withColumn("__nth", F.col("__row")).drop("__one", "__row", "__before", "__total")
+    else:
+        ranked = sizes.withColumn("__nth", F.row_number().over(Window.orderBy("__null", "__src")) - 1)
     ranked = ranked.withColumn("weight", weight).withColumn("__cap", max_repeat * F.col("source_size").cast("double"))
     ranked = ranked.withColumn("__ratio", F.col("__cap") / F.col("weight"))
-    by_ratio = Window.orderBy("__ratio", "__null", "__src").rowsBetween(Window.unboundedPreceding, -1)
-    everything = Window.partitionBy(F.lit(0))
-    level = (F.sum("source_size").over(everything) - F.coalesce(F.sum("__cap").over(by_ratio), F.lit(0.0))) / (F.sum("weight").over(everything) - F.coalesce(F.sum("weight").over(by_ratio), F.lit(0.0)))
-    ranked = ranked.withColumn("__level", level)
-    water = F.min(F.when(F.col("__level") <= F.col("__ratio"), F.struct("__ratio", "__null", "__src", "__level"))).over(everything)["__level"]
-    return ranked.withColumn("target", F.least(F.col("__cap"), F.coalesce(water, F.lit(0.0)) * F.col("weight"))).select("__null", "__src", "source_size", "weight", "target")
+    order = ["__ratio", "__null", "__src"]
+    if many:
+        for c in ("__cap", "weight"):
+            ranked = with_global_prefix(ranked, c, order).withColumn(f"{c}_before", F.col("__before").cast("double")).drop("__row", "__before", "__total")
+        whole = ranked.agg(F.sum("source_size").alias("size"), F.sum("weight").alias("weight")).first()
+        all_size, all_weight = F.lit(whole.size), F.lit(whole.weight)
+    else:
+        ahead, everything = Window.orderBy(*order).rowsBetween(Window.unboundedPreceding, -1), Window.partitionBy(F.lit(0))
+        ranked = ranked.withColumns({f"{c}_before": F.coalesce(F.sum(c).over(ahead), F.lit(0.0)) for c in ("__cap", "weight")})
+        all_size, all_weight = F.sum("source_size").over(everything), F.sum("weight").over(everything)
+    ranked = ranked.withColumn("__level", (all_size - F.col("__cap_before")) / (all_weight - F.col("weight_before")))
+    least = F.min(F.when(F.col("__level") <= F.col("__ratio"), F.struct(*order, "__level")))
+    water = F.lit(ranked.agg(least["__level"].alias("level")).first().level).cast("double") if many else least.over(everything)["__level"]
+    return ranked.withColumn("target", F.least(F.col("__cap"), F.coalesce(water, F.lit(0.0)) * F.col("weight"))).select(*names, "weight", "target")
 
 
 def serve(docs: DataFrame, size: str, id_col: str = "doc_id", source_col: str = "source", seed: str = "mix-1", weights=WEIGHTS, max_repeat: int = MAX_REPEAT) -> DataFrame:
@@ -65,11 +81,11 @@ def serve(docs: DataFrame, size: str, id_col: str = "doc_id", source_col: str =
         "__src": F.coalesce(F.col(source_col).cast("string"), F.lit("")),
         "__mix": F.conv(F.substring(F.md5(F.concat(F.lit(seed + ":"), F.coalesce(F.col(id_col).cast("string"), F.lit(""))).cast("binary")), 1, 15), 16, 10).cast("long"),
     })
-    held = rows.groupBy("__null", "__src").agg(F.sum(size).alias("source_size"), F.count(F.lit(1)).alias("__rows"))
-    targets = source_targets(held.select("__null", "__src", "source_size"), weights, max_repeat)
-    share = held.select("__null", "__src", F.ceil(F.sqrt(F.col("__rows").cast("double"))).cast("long").alias("__buckets"))
-    plan = stored(targets.join(share, ["__null", "__src"]), "sources")
-    if plan.count() <= BROADCAST_SOURCES:  # beyond that, a join that Spark deals out by source
+    buckets = F.ceil(F.sqrt(F.count(F.lit(1)).cast("double"))).cast("long")
+    held = stored(rows.groupBy("__null", "__src").agg(F.sum(size).alias("source_size"), buckets.alias("__buckets")), "held")
+    many = held.count() > BROADCAST_SOURCES
+    plan = stored(source_targets(held, weights, max_repeat, many), "sources")
+    if not many:  # beyond that, a join that Spark deals out by source
         plan = F.broadcast(plan)
     rows = rows.join(plan, ["__null", "__src"]).withColumn("__bucket", F.expr("__mix div ((1152921504606846976 + __buckets - 1) div __buckets)"))
 

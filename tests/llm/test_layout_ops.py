@@ -116,3 +116,16 @@ def test_mix_edges(spark):
     zero = mixing.mix(sized.filter("size = 0"), "size")
     assert zero.count() == 2
     assert isinstance(zero.toPandas(), pd.DataFrame)
+
+
+def test_mixing_of_many_sources(spark, monkeypatch):
+    rows = [(i, " ".join(["w"] * (1 + (i * 7 % 23) ** 2 // 4)), None if i % 29 == 0 else f"host{i * 7 % 23}") for i in range(300)]
+    sized = spark.createDataFrame(rows, "doc_id long, text string, source string").withColumn("size", mixing.word_count("text"))
+    columns = ["doc_id", "epoch", "target", "words", "finish"]
+    few = mixing.serve(sized, "size").select(*columns).toPandas()
+    monkeypatch.setattr(mixing, "BROADCAST_SOURCES", 5)
+    many = mixing.serve(sized, "size").select(*columns).toPandas()
+    key = ["doc_id", "epoch"]
+    assert few.sort_values(key).values.tolist() == many.sort_values(key).values.tolist()
+    assert few.target.nunique() > 5
+    assert mixing.mix(sized.limit(0), "size").count() == 0
