@@ -3,6 +3,7 @@
 import hashlib
 
 import duckdb
+import pytest
 
 from boxmdl.llm import fingerprint, line_rules
 
@@ -94,3 +95,15 @@ def test_copies_are_no_boilerplate(spark):
 def test_measures():
     (n, chars, symbols, again, repeat), lines = line_rules.measure("a b#\na b#\n\né x |")
     assert (n, chars, symbols, again) == (6, 10, 3, 1) and sum(lines.values()) == 6
+
+
+@pytest.mark.parametrize("broadcast", [200_000, 0])
+def test_frequent_lines_leave_the_text(spark, monkeypatch, broadcast):
+    monkeypatch.setattr(line_rules, "BROADCAST_LINES", broadcast)
+    own = lambda i: " ".join(f"{chr(97 + i // 10)}{chr(97 + i % 10)}x{chr(65 + j)}" for j in range(57))  # noqa: E731  digits are folded
+    rows = [(i, f"{own(i)}\n\nShare page {i % 10}\nend {i}{own(i)}", "h") for i in range(60)] + [(100, "share Page 7", "g"), (101, None, None), (102, " share\tPAGE 3 \nx", "h")]
+    got = line_rules.line_rules(small(spark, rows)).toPandas().set_index("doc_id")
+    for i in range(60):
+        assert got.loc[i, "clean_text"] == f"{own(i)}\n\nend {i}{own(i)}" and got.loc[i, "words_removed"] == 3
+    assert got.loc[100, "clean_text"] == "share Page 7" and got.loc[101, "clean_text"] is None and got.loc[102, "clean_text"] == "x"
+    assert got["words_removed"].loc[[100, 101, 102]].tolist() == [0, 0, 3]
