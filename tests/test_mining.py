@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from boxmdl.functions import codes
-from boxmdl.operators import cells, grid, kernel, measures, miner, model, neighbors, prune
+from boxmdl.operators import cells, grid, intasks, kernel, measures, miner, model, neighbors, prune
 from boxmdl.plans import choose
 from boxmdl.sources import workloads as W
 from tests import reference_miner as R
@@ -341,3 +341,25 @@ def test_prune_on_frames(spark):
     boxes, moved = prune.prune(found.boxes, found.grid)
     after = model.total_bits(boxes, found.grid).first().total
     assert after <= t["end_bits"] + 1e-9 and boxes.count() <= t["patterns"] and moved.count() == t["patterns"] and listed.count() >= 0
+
+
+@pytest.mark.parametrize(
+    ("scope", "options"),
+    [("inherited", {}), ("inherited", {"tie": "first", "requeue": True}), ("inherited", {"tie": "last", "prune_when": "each_round"}), ("inherited", {"gain_mode": "stored", "encoding": "shannon"}), ("all", {}), ("all", {"k": None, "tie": "last", "eps": 0.1})],
+)
+def test_rounds_in_tasks_agree_with_the_kernel(spark, monkeypatch, scope, options):
+    df = W.load(spark, SF, "W6")
+    run = lambda: miner.mine(df, W.attrs("W6"), 5, candidate_scope=scope, **({"k": 4, "prune_when": "never"} | options))
+    local = run()
+    monkeypatch.setattr(choose, "LOCAL_CANDIDATES", 30)
+    monkeypatch.setattr(intasks, "SENT", 1)
+    monkeypatch.setattr(intasks, "BLOCK", 50)
+    seen, whole = [], kernel.mine
+    monkeypatch.setattr(kernel, "mine", lambda p, *rest, **options: seen.append(len(p.live())) or whole(p, *rest, **options))
+    tasks = run()
+    assert all(n < local.report["cells"] for n in seen)
+    boxes = lambda r: sorted((x.pid, tuple(x.lo), tuple(x.hi), x.usage) for x in r.boxes.collect())
+    assert boxes(local) == boxes(tasks) and local.report["explored"] == tasks.report["explored"]
+    assert sorted(map(tuple, local.lineage.collect())) == sorted(map(tuple, tasks.lineage.collect()))
+    ledger = lambda r: [(x.round, x.step, x.a, x.b, x.pid, round(x.total_after, 6)) for x in r.ledger.orderBy("round", "step", "pid").collect()]
+    assert ledger(local) == ledger(tasks)
