@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from boxmdl.functions import codes
-from boxmdl.operators import cells, grid, intasks, kernel, measures, miner, model, neighbors, prune
+from boxmdl.operators import cells, grid, intasks, kernel, matching, measures, miner, model, neighbors, prune
 from boxmdl.plans import choose
 from boxmdl.sources import workloads as W
 from tests import reference_miner as R
@@ -363,3 +363,18 @@ def test_rounds_in_tasks_agree_with_the_kernel(spark, monkeypatch, scope, option
     assert sorted(map(tuple, local.lineage.collect())) == sorted(map(tuple, tasks.lineage.collect()))
     ledger = lambda r: [(x.round, x.step, x.a, x.b, x.pid, round(x.total_after, 6)) for x in r.ledger.orderBy("round", "step", "pid").collect()]
     assert ledger(local) == ledger(tasks)
+
+
+@pytest.mark.parametrize("tie", ["hash", "first", "last"])
+def test_matching_by_frames_is_matching_here(spark, monkeypatch, tie):
+    rng = np.random.default_rng(4)
+    a, b = rng.integers(1, 60, 300), rng.integers(61, 120, 300)
+    edges = sorted(set(zip(a.tolist(), b.tolist(), strict=True)))
+    frame = spark.createDataFrame([(x, y, float((x * y) % 7)) for x, y in edges], "a long, b long, w double")
+    got = []
+    for limit in (100_000, 20, 0):
+        monkeypatch.setattr(choose, "MATCHING_LOCAL", limit)
+        got.append(sorted((r.a, r.b, r.w) for r in matching.greedy_matching(frame, tie).collect()))
+    assert got[0] == got[1] == got[2]
+    empty = matching.greedy_matching(frame.limit(0), tie)
+    assert empty.count() == 0 and "o" in empty.columns
