@@ -378,3 +378,57 @@ def test_matching_by_frames_is_matching_here(spark, monkeypatch, tie):
     assert got[0] == got[1] == got[2]
     empty = matching.greedy_matching(frame.limit(0), tie)
     assert empty.count() == 0 and "o" in empty.columns
+
+
+@pytest.mark.parametrize("options", [{}, {"top_n": 20}, {"top_n": 30, "order": "usage"}])
+def test_pruning_looks_through_all_pairs_once_or_twice(options, monkeypatch):
+    """What a search of all pairs found is kept; a search from the start each time gives the same merges."""
+    ledgers, whole = [], []
+    for again in (False, True):
+        g, p, run = kernel_run(random_cells(3, 700, (40, 40)), (40, 40), 1, tie="hash")
+
+        def find(few, rows, top_n, floor):
+            whole.append(len(rows) == few.size - 1)
+            return kernel.prune_pairs(few, rows.tolist(), 5_000, 0.5, "plugin", floor)
+
+        whole.clear()
+        if again:
+            monkeypatch.setattr(kernel.Holding, "best", fresh_search(kernel.Holding.best))
+        merges = kernel.prune(p, run, g, find=find, **options)
+        ledgers.append([x[:5] + tuple(round(v, 6) for v in x[5:]) for x in run.ledger])
+        if not again:
+            assert merges > 20 and sum(whole) * 2 < len(whole)
+    assert ledgers[0] == ledgers[1]
+
+
+def fresh_search(best):
+    def run(self):
+        self.pairs = None
+        return best(self)
+
+    return run
+
+
+def test_holders_with_and_without_bit_sets(monkeypatch):
+    rng = np.random.default_rng(2)
+    lo = rng.integers(0, 12, (200, 6))
+    hi = lo + rng.integers(0, 3, (200, 6))
+    found = []
+    for limit in (1 << 26, 0):
+        monkeypatch.setattr(kernel, "HOLDER_BYTES", limit)
+        holders = kernel.Holders(lo, hi)
+        found.append([holders.holding(y, np.arange(y)).tolist() for y in range(1, 200)])
+    assert found[0] == found[1] and any(map(any, found[0]))
+
+
+@pytest.mark.parametrize("encoding", ["plugin", "shannon"])
+def test_weights_of_earlier_pairs_above_a_floor(encoding):
+    rng = np.random.default_rng(6)
+    lo = rng.integers(0, 9, (80, 10))
+    p = kernel.Patterns.of(np.arange(80), lo, lo + rng.integers(0, 3, lo.shape), rng.integers(1, 9, 80))
+    earlier = kernel.EarlierPairs(kernel._compact(p, p.live()), 0.5, encoding)
+    for y in range(1, 80):
+        w = kernel.weights(p, np.arange(y), np.full(y, y), 0.5, encoding)
+        for floor in (-np.inf, float(np.round(np.median(w), kernel.TIE))):
+            x, got = earlier.of(y, floor)
+            assert x.tolist() == np.flatnonzero(np.round(w, kernel.TIE) >= floor).tolist() and got == pytest.approx(w[x], abs=1e-9)
