@@ -4,6 +4,7 @@ import math
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -432,3 +433,27 @@ def test_weights_of_earlier_pairs_above_a_floor(encoding):
         for floor in (-np.inf, float(np.round(np.median(w), kernel.TIE))):
             x, got = earlier.of(y, floor)
             assert x.tolist() == np.flatnonzero(np.round(w, kernel.TIE) >= floor).tolist() and got == pytest.approx(w[x], abs=1e-9)
+
+
+def test_stored_pairs_come_back():
+    rng = np.random.default_rng(1)
+    for n in (0, 1, 5000):
+        pairs = kernel.different(kernel.packed(rng.integers(0, 1 << 20, n), rng.integers(0, 1 << 31, n)))
+        held = intasks._stored(pairs)
+        assert (intasks._read(pa.scalar(held, pa.binary())) == pairs).all()
+    many = kernel.packed(np.repeat(np.arange(1000), 100), np.tile(np.arange(100), 1000) + 1000)
+    assert len(intasks._stored(many)) < len(many)
+
+
+def test_more_patterns_than_pruning_takes_are_mined_in_tasks(spark, monkeypatch):
+    """Neighbours that are packed where they are found; the same boxes, and no pruning beyond its bound."""
+    df = W.load(spark, SF, "W6")
+    run = lambda: miner.mine(df, W.attrs("W6"), 6, k=4, prune_when="never")
+    local = run()
+    for name, limit in (("LOCAL_CANDIDATES", 30), ("ALL_PAIRS_CELLS", 1), ("PRUNE_PATTERNS", 1)):
+        monkeypatch.setattr(choose, name, limit)
+    monkeypatch.setattr(intasks, "BLOCK", 50)
+    with pytest.warns(UserWarning, match="not pruned"):
+        tasks = miner.mine(df, W.attrs("W6"), 6, k=4)
+    boxes = lambda r: sorted((x.pid, tuple(x.lo), tuple(x.hi), x.usage) for x in r.boxes.collect())
+    assert boxes(local) == boxes(tasks) and not tasks.report["pruned"] and choose.rounds_plan(400_000, 10**9, n_attrs=4) == "tasks"
