@@ -194,3 +194,38 @@ def test_code_queries_read_a_table(spark, name):
     con = duckdb.connect()
     con.sql("CREATE VIEW lineitem AS SELECT * FROM '/root/testdata/sf0.01/lineitem.parquet'")
     assert sorted(map(tuple, made.collect())) == sorted(con.sql(Q.ORACLES[name]).fetchall())
+
+
+def test_sampled_boxes_keep_no_other_bounds():
+    """A box that is a view would keep the bounds of every step of its growth."""
+    rng = np.random.default_rng(3)
+    lo, hi = sampling._grow(rng.random((500, 2)), 0, 10, 1000, 2)
+    assert lo.base is None and hi.base is None
+
+
+@pytest.mark.parametrize("seed", [0, 5])
+def test_samples_numbered_by_tasks_are_those_chosen_here(spark, monkeypatch, seed):
+    df = W.load(spark, SF, "W6")
+    here = sampling._sampled(df, W.attrs("W6"), 300, seed)
+    monkeypatch.setattr(sampling, "CHOSEN_HERE", 0)
+    assert len(here) == 300 and (sampling._sampled(df, W.attrs("W6"), 300, seed) == here).all()
+
+
+def test_itemsets_are_searched_by_a_task(spark, monkeypatch):
+    """The driver holds no code table; the result is that of the search here."""
+    df = W.load(spark, SF, "W7")
+    g = grid.equal_width(df, W.attrs("W7"), 5)
+    c = cells.elementary(cells.discretise(df, g)).cache()
+    found = c.orderBy("cell_id").collect()
+    here = itemset.mine_rows(np.array([r.lo for r in found]) + np.array(itemset.offsets(g)), np.array([float(r.usage) for r in found]))
+    monkeypatch.setattr(itemset, "CodeTable", None)
+    got = itemset.mine(c, g)
+    assert (got.itemsets, got.start_bits, got.end_bits, got.evaluated) == (here.itemsets, here.start_bits, here.end_bits, here.evaluated)
+
+
+def test_code_tables_hold_changed_covers_only():
+    rows = np.array([[0, 3], [0, 4], [1, 3]])
+    table = itemset.CodeTable(rows, np.ones(3))
+    assert not table.covers
+    table.change(add=frozenset([0, 3]))
+    assert list(table.covers) == [0] and table.cover_of(1) == [frozenset([0]), frozenset([4])]

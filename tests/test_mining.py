@@ -457,3 +457,26 @@ def test_more_patterns_than_pruning_takes_are_mined_in_tasks(spark, monkeypatch)
         tasks = miner.mine(df, W.attrs("W6"), 6, k=4)
     boxes = lambda r: sorted((x.pid, tuple(x.lo), tuple(x.hi), x.usage) for x in r.boxes.collect())
     assert boxes(local) == boxes(tasks) and not tasks.report["pruned"] and choose.rounds_plan(400_000, 10**9, n_attrs=4) == "tasks"
+
+
+def test_ledgers_are_columns():
+    ledger = kernel.Ledger()
+    ledger.append((0, 1, 1, 2, 9, 5, 0.5, 7.5))
+    ledger.extend(1, np.arange(1, 3), np.array([3, 4]), np.array([5, 6]), np.array([10, 11]), np.array([4, 3]), np.array([1.0, 2.0]), np.array([6.5, 4.5]))
+    rows = [(0, 1, 1, 2, 9, 5, 0.5, 7.5), (1, 1, 3, 5, 10, 4, 1.0, 6.5), (1, 2, 4, 6, 11, 3, 2.0, 4.5)]
+    assert len(ledger) == 3 and list(ledger) == rows and ledger[-1] == rows[-1]
+    assert [c.nbytes for c in ledger.columns()] == [12, 12, 24, 24, 24, 24, 24, 24]
+
+
+def test_rounds_in_tasks_leave_no_broadcast(spark, monkeypatch):
+    """What a step sends to the tasks goes when the step is over."""
+    from pyspark.core.broadcast import Broadcast
+
+    made, gone = [], []
+    send, destroy = type(spark.sparkContext).broadcast, Broadcast.destroy
+    monkeypatch.setattr(type(spark.sparkContext), "broadcast", lambda self, value: made.append(b := send(self, value)) or b)
+    monkeypatch.setattr(Broadcast, "destroy", lambda self, blocking=False: gone.append(self) or destroy(self, blocking))
+    for name, limit in (("LOCAL_CANDIDATES", 30), ("ALL_PAIRS_CELLS", 1)):
+        monkeypatch.setattr(choose, name, limit)
+    miner.mine(W.load(spark, SF, "W6"), W.attrs("W6"), 6, k=4, prune_when="never")
+    assert made and {id(b) for b in made} == {id(b) for b in gone}
