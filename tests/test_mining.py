@@ -480,3 +480,20 @@ def test_rounds_in_tasks_leave_no_broadcast(spark, monkeypatch):
         monkeypatch.setattr(choose, name, limit)
     miner.mine(W.load(spark, SF, "W6"), W.attrs("W6"), 6, k=4, prune_when="never")
     assert made and {id(b) for b in made} == {id(b) for b in gone}
+
+
+def test_sides_are_held_in_few_bits(monkeypatch):
+    """Half the bytes, and the same merges as in 32 bits."""
+    rng = np.random.default_rng(8)
+    spots, usage = np.unique(rng.integers(0, 40, (200, 3)), axis=0, return_counts=True)
+    g = grid.Grid(tuple(grid.Axis(f"a{i}", 40, 0.0, 1.0) for i in range(3)), int(usage.sum()))
+    found = []
+    for narrow, kind in ((1 << 14, np.int16), (0, np.int32)):
+        monkeypatch.setattr(kernel, "NARROW", narrow)
+        p = kernel.Patterns.of(np.arange(1, len(spots) + 1), spots, spots, usage)
+        run = kernel.mine(p, kernel.packed(*neighbors.knn_local(spots, 8).T), g, tie="hash")
+        kernel.prune(p, run, g)
+        assert p.lo.dtype == p.hi.dtype == kind
+        found.append((list(run.ledger), p.lo[p.live()].tolist(), p.hi[p.live()].tolist()))
+    assert found[0] == found[1] and len(found[0][0]) > 10
+    assert kernel.Patterns.of([1], [[0]], [[1 << 15]], [1]).hi[0, 0] == 1 << 15
