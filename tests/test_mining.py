@@ -497,3 +497,27 @@ def test_sides_are_held_in_few_bits(monkeypatch):
         found.append((list(run.ledger), p.lo[p.live()].tolist(), p.hi[p.live()].tolist()))
     assert found[0] == found[1] and len(found[0][0]) > 10
     assert kernel.Patterns.of([1], [[0]], [[1 << 15]], [1]).hi[0, 0] == 1 << 15
+
+
+def test_tiles_that_reach_all_points_are_looked_from_together(monkeypatch):
+    rng = np.random.default_rng(5)
+    points = np.unique(np.clip(np.round(rng.normal(2, 1, (2500, 64))), 0, 4).astype(np.int64), axis=0)
+    ids, wide = np.arange(10, 10 + len(points)), []
+    found_by = neighbors.Tiles._distances
+
+    def counted(self, queries, rows):
+        d = found_by(self, queries, rows)
+        wide.append(d.shape[1] == len(points))
+        return d
+
+    monkeypatch.setattr(neighbors.Tiles, "_distances", counted)
+    for k in (5, 300):
+        wide.clear()
+        row, near, d2 = neighbors.Tiles(ids, points, k).nearest(ids, points)
+        assert sum(wide) <= 1 + len(points) ** 2 // neighbors.CHUNK
+        d = ((points[:, None] - points[None]) ** 2).sum(axis=2)
+        np.fill_diagonal(d, 1 << 40)
+        best = np.argsort(d, axis=1, kind="stable")[:, :k]
+        order = np.lexsort((near, d2, row))
+        assert (near[order].reshape(-1, k) == ids[best]).all()
+        assert (d2[order].reshape(-1, k) == np.take_along_axis(d, best, axis=1)).all()
