@@ -521,3 +521,19 @@ def test_tiles_that_reach_all_points_are_looked_from_together(monkeypatch):
         order = np.lexsort((near, d2, row))
         assert (near[order].reshape(-1, k) == ids[best]).all()
         assert (d2[order].reshape(-1, k) == np.take_along_axis(d, best, axis=1)).all()
+
+
+def test_local_rounds_leave_no_broadcast_and_no_garbage(spark, monkeypatch):
+    sent, freed, broadcast = [], [], type(spark.sparkContext).broadcast
+    monkeypatch.setattr(type(spark.sparkContext), "broadcast", lambda self, value: sent.append(broadcast(self, value)) or sent[-1])
+    let_go = miner.released
+    monkeypatch.setattr(miner, "released", lambda s: freed.append(len(sent)) or let_go(s))
+    df = W.load(spark, SF, "W3")
+    g = grid.equal_width(df, W.attrs("W3"), "sqrt")
+    plain = miner.mine(df, W.attrs("W3"), grid=g, k=4)
+    assert not freed
+    monkeypatch.setattr(choose, "ALL_PAIRS_CELLS", 50)
+    found = miner.mine(df, W.attrs("W3"), grid=g, k=4)
+    assert len(freed) == 3 and sent
+    assert not [b for b in sent if b._jbroadcast.isValid()]
+    assert sorted(map(tuple, found.boxes.collect())) == sorted(map(tuple, plain.boxes.collect()))
