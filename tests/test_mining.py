@@ -537,3 +537,32 @@ def test_local_rounds_leave_no_broadcast_and_no_garbage(spark, monkeypatch):
     assert len(freed) == 3 and sent
     assert not [b for b in sent if b._jbroadcast.isValid()]
     assert sorted(map(tuple, found.boxes.collect())) == sorted(map(tuple, plain.boxes.collect()))
+
+
+@pytest.mark.parametrize("options", [{"prune_when": "each_round"}, {"prune_when": "each_round", "requeue": True}, {"prune_when": "each_round", "candidate_scope": "all"}, {}])
+def test_many_patterns_are_pruned_like_few(spark, monkeypatch, options):
+    """Rounds on DataFrames to the end, then pruning, and after it further rounds."""
+    df = W.load(spark, SF, "W6")
+    run = lambda: miner.mine(df, W.attrs("W6"), 7, **({"k": 3, "eps": 0.1} | options))
+    local = run()
+    monkeypatch.setattr(choose, "LOCAL_PATTERNS", 2)
+    spread = run()
+    boxes = lambda r: sorted((x.pid, tuple(x.lo), tuple(x.hi), x.usage) for x in r.boxes.collect())
+    assert boxes(local) == boxes(spread) and spread.report["pruned"] and not choose.unpruned(10**9)
+    assert local.report["explored"] == spread.report["explored"] and local.report["rounds"] == spread.report["rounds"]
+    assert local.report["end_bits"] == pytest.approx(spread.report["end_bits"])
+    assert sorted(map(tuple, local.lineage.collect())) == sorted(map(tuple, spread.lineage.collect()))
+
+
+def test_few_pairs_of_a_search_for_pruning_are_looked_into(monkeypatch):
+    """The best pairs of a pattern first: with a floor the others need no look."""
+    _, p, _ = kernel_run(random_cells(3, 700, (40, 40)), (40, 40), 1, tie="hash")
+    few = kernel._compact(p, p.live())
+    holding, seen, found = kernel.Holders.holding, [], []
+    monkeypatch.setattr(kernel.Holders, "holding", lambda self, i, j: seen.append(len(j)) or holding(self, i, j))
+    for size in (1 << 12, 16):
+        monkeypatch.setattr(kernel, "LOOKED_INTO", size, raising=False)
+        seen.clear()
+        pairs, w, floor = kernel.prune_pairs(few, range(few.size - 1, 0, -1), 30, 0.5, "plugin")
+        found.append((pairs.tolist(), w.tolist(), floor, sum(seen)))
+    assert found[0][:3] == found[1][:3] and found[1][3] * 1.2 < found[0][3]
