@@ -566,3 +566,19 @@ def test_few_pairs_of_a_search_for_pruning_are_looked_into(monkeypatch):
         pairs, w, floor = kernel.prune_pairs(few, range(few.size - 1, 0, -1), 30, 0.5, "plugin")
         found.append((pairs.tolist(), w.tolist(), floor, sum(seen)))
     assert found[0][:3] == found[1][:3] and found[1][3] * 1.2 < found[0][3]
+
+
+def test_tiles_meet_few_other_tiles(monkeypatch):
+    """A tile is held against those near it along the first attribute, not against all; the neighbours are those of brute force."""
+    points = np.unique(np.random.default_rng(4).integers(0, 3000, (4000, 2)), axis=0)
+    points = np.concatenate([points, [[3600, 3900]]])
+    tiles, met = neighbors.Tiles(np.arange(len(points)), points, 4), []
+    rings = neighbors.Tiles._rings
+    monkeypatch.setattr(neighbors.Tiles, "_rings", lambda self, spot, r: met.append(len((out := rings(self, spot, r))[1])) or out)
+    row, near, d2 = tiles.nearest(np.arange(len(points)), points)
+    assert sum(met) < len(tiles.spots) ** 2 / 2
+    for q in (0, 17, 2000, len(points) - 1):
+        far = ((points - points[q]) ** 2).sum(axis=1)
+        far[q] = far.max() + 1
+        best = np.lexsort((np.arange(len(points)), far))[:4]
+        assert sorted(near[row == q].tolist()) == sorted(best.tolist()) and sorted(d2[row == q].tolist()) == sorted(far[best].tolist())
