@@ -582,3 +582,27 @@ def test_tiles_meet_few_other_tiles(monkeypatch):
         far[q] = far.max() + 1
         best = np.lexsort((np.arange(len(points)), far))[:4]
         assert sorted(near[row == q].tolist()) == sorted(best.tolist()) and sorted(d2[row == q].tolist()) == sorted(far[best].tolist())
+
+
+def test_contracted_pairs_are_stored_by_place(spark, monkeypatch):
+    """After merges rows lie in no spatial order; pairs are numbered by place, so they stay small and are the same."""
+    rng = np.random.default_rng(6)
+    spots = np.unique(rng.integers(0, 200, (6000, 2)), axis=0)
+    n = len(spots)
+    p = kernel.Patterns.of(np.arange(1, n + 1), spots, spots, np.ones(n))
+    near = neighbors.knn_local(spots, 60)
+    merged = rng.permutation(n)[: n // 2 * 2].reshape(2, -1)  # into rows without any order
+    run = kernel.Run(p)
+    rows = p.add_pairs(merged[0], merged[1], n + 1)
+    run.parent[merged] = rows
+    want = kernel.packed(*run.roots()[near].T)
+    want = kernel.different(want[want >> 32 != want & kernel._LOW])
+    frame = spark.createDataFrame((near[:2000] + 1).tolist(), "a long, b long")
+    few = intasks.contracted(intasks.from_neighbors(frame, p, 2000), p, run.roots())
+    some = kernel.packed(*run.roots()[near[:2000]].T)
+    assert few.rows().tolist() == kernel.different(some[some >> 32 != some & kernel._LOW]).tolist() and few.order is not None
+    again = intasks.contracted(few, p, run.roots())
+    assert again.rows().tolist() == few.rows().tolist() and len(want) > few.n
+    # rows in the order of places, as neighbours' pairs are stored
+    live = p.live()
+    assert (np.diff(p.lo[few.order][:, 0].astype(int)) >= 0).all() and sorted(few.order.tolist()) == live.tolist()
