@@ -229,3 +229,13 @@ def test_code_tables_hold_changed_covers_only():
     assert not table.covers
     table.change(add=frozenset([0, 3]))
     assert list(table.covers) == [0] and table.cover_of(1) == [frozenset([0]), frozenset([4])]
+
+
+def test_baselines_run_whatever_their_memory(spark, monkeypatch):
+    """The size of the input does not decide whether a baseline runs."""
+    df = W.load(spark, SF, "W9")
+    g = grid.equal_width(df, W.attrs("W9"), 5)
+    c = cells.elementary(cells.discretise(df, g)).cache()
+    monkeypatch.setattr(Limits, "over_memory", lambda self, needed: setattr(self, "status", "memory") or True)
+    sets, grown = itemset.mine(c, g), sampling.mine(df, W.attrs("W9"), 20)
+    assert sets.status == grown.status == "ok" and sets.itemsets and grown.evaluated
