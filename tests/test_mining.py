@@ -606,3 +606,9 @@ def test_contracted_pairs_are_stored_by_place(spark, monkeypatch):
     # rows in the order of places, as neighbours' pairs are stored
     live = p.live()
     assert (np.diff(p.lo[few.order][:, 0].astype(int)) >= 0).all() and sorted(few.order.tolist()) == live.tolist()
+
+
+def test_a_million_patterns_are_mined_in_tasks():
+    """Pairs on DataFrames take many times the disk."""
+    assert choose.rounds_plan(951_352, 2 * 10**9, n_attrs=2) == choose.rounds_plan(1_200_000, 10**9, n_attrs=4) == "tasks"
+    assert choose.rounds_plan(1_200_001, 10**9) == "distributed"
